@@ -7,6 +7,54 @@ from pyspark.sql import DataFrame, SparkSession
 from simweave.sources.tables import table
 
 
+def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from simweave.llm.mixing import mix_documents
+
+    mixed = mix_documents(table(spark, sf_dir, "documents", "doc_id", "text", "source"))
+    return mixed.select("doc_id", "size", "source_size", "target", "taken")
+
+
+def op4_host_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from simweave.llm.quality import judge_documents
+
+    judged = judge_documents(table(spark, sf_dir, "documents", "doc_id", "text", "source"))
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
+OP4_SQL = r"""
+WITH d AS (
+  SELECT doc_id, source, coalesce(text, '') AS t, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w
+  FROM documents
+), windows AS (
+  SELECT doc_id, unnest(range(1, len(w) - 1)) AS i, unnest(list_transform(range(1, len(w) - 1), lambda i: w[i] || ' ' || w[i + 1] || ' ' || w[i + 2])) AS g
+  FROM d WHERE len(w) >= 3
+), twice AS (
+  SELECT doc_id, i FROM windows QUALIFY count(*) OVER (PARTITION BY doc_id, g) > 1
+), gains AS (
+  SELECT doc_id, least(3, i - lag(i, 1, -9) OVER (PARTITION BY doc_id ORDER BY i)) AS n FROM twice
+), repeats AS (
+  SELECT doc_id, sum(n) AS n FROM gains GROUP BY doc_id
+), measured AS (
+  SELECT d.doc_id, source, len(w)::BIGINT AS n_words, coalesce(list_sum(list_transform(w, lambda x: length(x))), 0)::BIGINT AS word_chars,
+    length(regexp_replace(t, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols,
+    (len(list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')))
+     - len(list_distinct(list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')))))::BIGINT AS n_dup_lines,
+    coalesce(r.n, 0)::BIGINT AS n_repeat_words
+  FROM d LEFT JOIN repeats r ON r.doc_id = d.doc_id
+), ruled AS (
+  SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM measured
+), hosts AS (
+  SELECT source, count(*) AS n, sum(base_failed::INT) AS f, sum(base_failed::INT) / count(*)::DOUBLE AS rate FROM ruled GROUP BY source
+), prior AS (
+  SELECT avg(rate) AS m, CASE WHEN var_pop(rate) > 0 THEN greatest(least(avg(rate) * (1 - avg(rate)) / var_pop(rate) - 1, 1e6), 1.0) ELSE 1e6 END AS k FROM hosts
+), verdicts AS (
+  SELECT source, (f + m * k) / (n + k) <= 0.5 AS good FROM hosts, prior
+)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND good AS kept
+FROM ruled JOIN verdicts v ON v.source IS NOT DISTINCT FROM ruled.source
+"""
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     from simweave.llm.sharding import shard_documents
 
@@ -14,6 +62,10 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op3_mixing": op3_mixing,
+    "op4_host_quality": op4_host_quality,
     "op10_sharding": op10_sharding,
 }
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op4_host_quality": OP4_SQL,
+}
