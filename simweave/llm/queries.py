@@ -2,11 +2,34 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 
 from simweave.sources.tables import table
 
 
+def op2_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from simweave.llm.warc import archive_round_trip
+    from simweave.plans.staging import shared_dir
+
+    path = f"{shared_dir(spark)}/archives-{uuid.uuid4().hex[:10]}"
+    read = archive_round_trip(table(spark, sf_dir, "pages", "page_id", "url", "html"), path)
+    return read.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+OP2_SQL = """
+WITH p AS (SELECT page_id, coalesce(html, '') AS h FROM pages), g AS (SELECT h, max(page_id) AS first_id FROM p GROUP BY h),
+d AS (SELECT page_id, p.h, first_id, sha1(p.h) AS x FROM p JOIN g ON p.h = g.h),
+b AS (SELECT *, list_reduce(list_transform(range(0, 4), lambda k: list_reduce(list_transform(range(0, 8), lambda j:
+    substring('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', 1 + ((('0x' || substring(x, 1 + 10 * k::INT, 10))::BIGINT >> (35 - 5 * j::INT)) & 31)::INT, 1)),
+    lambda a, c: a || c)), lambda a, c: a || c) AS digest FROM d)
+SELECT page_id, strlen(h)::BIGINT AS payload_bytes, digest AS payload_digest,
+  CASE WHEN page_id = first_id THEN 'response' ELSE 'revisit' END AS record_type,
+  CASE WHEN page_id <> first_id THEN first_id END AS refers_to FROM b
+"""
+
+
 def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from simweave.llm.mixing import mix_documents
 
@@ -62,10 +85,12 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op2_warc": op2_warc,
     "op3_mixing": op3_mixing,
     "op4_host_quality": op4_host_quality,
     "op10_sharding": op10_sharding,
 }
 ORACLES: dict[str, str] = {
+    "op2_warc": OP2_SQL,
     "op4_host_quality": OP4_SQL,
 }
