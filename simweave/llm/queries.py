@@ -78,6 +78,12 @@ FROM ruled JOIN verdicts v ON v.source IS NOT DISTINCT FROM ruled.source
 """
 
 
+def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from simweave.llm.packing import pack_documents
+
+    return pack_documents(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     from simweave.llm.sharding import shard_documents
 
@@ -88,6 +94,7 @@ QUERIES = {
     "op2_warc": op2_warc,
     "op3_mixing": op3_mixing,
     "op4_host_quality": op4_host_quality,
+    "op8_packing": op8_packing,
     "op10_sharding": op10_sharding,
 }
 ORACLES: dict[str, str] = {
