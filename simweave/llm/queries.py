@@ -78,6 +78,32 @@ FROM ruled JOIN verdicts v ON v.source IS NOT DISTINCT FROM ruled.source
 """
 
 
+def op5_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from simweave.llm.minhash_dedup import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+OP5_SQL = r"""
+WITH RECURSIVE d AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents
+), s AS (
+  SELECT DISTINCT doc_id, unnest(CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+    ELSE list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) END) AS g FROM d
+), n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+pairs AS (
+  SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS i FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL
+), links AS (
+  SELECT a, b FROM pairs JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * i >= 75 * (x.n + y.n - i)
+), both_ways AS (SELECT a, b FROM links UNION SELECT b, a FROM links),
+reach(node, root) AS (
+  SELECT doc_id, doc_id FROM d UNION SELECT e.b, r.root FROM reach r JOIN both_ways e ON e.a = r.node
+), c AS (SELECT node, min(root) AS component_id FROM reach GROUP BY node)
+SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, component_id, d.doc_id = component_id AS kept
+FROM d LEFT JOIN n ON n.doc_id = d.doc_id JOIN c ON c.node = d.doc_id
+"""
+
+
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from simweave.llm.packing import pack_documents
 
@@ -94,10 +120,12 @@ QUERIES = {
     "op2_warc": op2_warc,
     "op3_mixing": op3_mixing,
     "op4_host_quality": op4_host_quality,
+    "op5_minhash_dedup": op5_minhash_dedup,
     "op8_packing": op8_packing,
     "op10_sharding": op10_sharding,
 }
 ORACLES: dict[str, str] = {
+    "op5_minhash_dedup": OP5_SQL,
     "op2_warc": OP2_SQL,
     "op4_host_quality": OP4_SQL,
 }
