@@ -104,6 +104,28 @@ FROM d LEFT JOIN n ON n.doc_id = d.doc_id JOIN c ON c.node = d.doc_id
 """
 
 
+def op7_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from simweave.llm.embedding_dedup import link_embeddings
+
+    return link_embeddings(table(spark, sf_dir, "embeddings", "vec_id", "embedding", "label"))
+
+
+OP7_SQL = """
+WITH RECURSIVE v AS (
+  SELECT vec_id, label, embedding::DOUBLE[] AS e FROM embeddings
+  WHERE label IS NOT NULL AND embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+    AND list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE)) > 0
+), links AS (
+  SELECT a.vec_id AS a, b.vec_id AS b FROM v a JOIN v b ON a.label = b.label AND a.vec_id <> b.vec_id AND len(a.e) = len(b.e)
+  WHERE list_cosine_similarity(a.e, b.e) >= 0.93
+), reach(node, root) AS (
+  SELECT vec_id, vec_id FROM embeddings UNION SELECT l.b, r.root FROM reach r JOIN links l ON l.a = r.node
+), c AS (SELECT node, min(root) AS component_id FROM reach GROUP BY node), n AS (SELECT a, count(*) AS n FROM links GROUP BY a)
+SELECT vec_id, coalesce(n, 0)::BIGINT AS n_links, component_id, vec_id = component_id AS kept
+FROM embeddings JOIN c ON node = vec_id LEFT JOIN n ON a = vec_id
+"""
+
+
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from simweave.llm.packing import pack_documents
 
@@ -121,10 +143,12 @@ QUERIES = {
     "op3_mixing": op3_mixing,
     "op4_host_quality": op4_host_quality,
     "op5_minhash_dedup": op5_minhash_dedup,
+    "op7_embedding_dedup": op7_embedding_dedup,
     "op8_packing": op8_packing,
     "op10_sharding": op10_sharding,
 }
 ORACLES: dict[str, str] = {
+    "op7_embedding_dedup": OP7_SQL,
     "op5_minhash_dedup": OP5_SQL,
     "op2_warc": OP2_SQL,
     "op4_host_quality": OP4_SQL,
