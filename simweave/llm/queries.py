@@ -132,6 +132,12 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op9_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from simweave.llm.html_text import extract_pages
+
+    return extract_pages(table(spark, sf_dir, "pages", "page_id", "url", "html"))
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     from simweave.llm.sharding import shard_documents
 
@@ -145,6 +151,7 @@ QUERIES = {
     "op5_minhash_dedup": op5_minhash_dedup,
     "op7_embedding_dedup": op7_embedding_dedup,
     "op8_packing": op8_packing,
+    "op9_html_text": op9_html_text,
     "op10_sharding": op10_sharding,
 }
 ORACLES: dict[str, str] = {
