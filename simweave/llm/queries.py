@@ -9,6 +9,12 @@ from pyspark.sql import DataFrame, SparkSession
 from simweave.sources.tables import table
 
 
+def op1_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from simweave.llm.surrogates import replace_entities
+
+    return replace_entities(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op2_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     from simweave.llm.warc import archive_round_trip
     from simweave.plans.staging import shared_dir
@@ -145,6 +151,7 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_surrogates": op1_surrogates,
     "op2_warc": op2_warc,
     "op3_mixing": op3_mixing,
     "op4_host_quality": op4_host_quality,
