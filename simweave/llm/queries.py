@@ -110,6 +110,12 @@ FROM d LEFT JOIN n ON n.doc_id = d.doc_id JOIN c ON c.node = d.doc_id
 """
 
 
+def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from simweave.llm.suffix_dedup import remove_repeats
+
+    return remove_repeats(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op7_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from simweave.llm.embedding_dedup import link_embeddings
 
@@ -156,6 +162,7 @@ QUERIES = {
     "op3_mixing": op3_mixing,
     "op4_host_quality": op4_host_quality,
     "op5_minhash_dedup": op5_minhash_dedup,
+    "op6_suffix_dedup": op6_suffix_dedup,
     "op7_embedding_dedup": op7_embedding_dedup,
     "op8_packing": op8_packing,
     "op9_html_text": op9_html_text,
