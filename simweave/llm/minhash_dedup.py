@@ -249,3 +249,14 @@ def _rest_pairs(crowded: DataFrame, sizes: DataFrame, parts: DataFrame, done: Da
     pairs = met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(done, ["a", "b"], "left_anti")
     pairs = stage(pairs, "rest-pairs")
     return pairs if pairs.limit(1).count() else None
+
+
+def keep_one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """The rows of docs that near_duplicates() keeps, one a class, with their own columns. Rows with a null id stay."""
+    ids = docs.select(id_col)
+    repeated = ids.where(F.col(id_col).isNotNull()).groupBy(id_col).agg(F.count(F.lit(1)).alias("n")).where("n > 1").limit(1).count()
+    if repeated:
+        single = docs.where(F.col(id_col).isNotNull()).dropDuplicates([id_col])
+        docs = stage(single.unionByName(docs.where(F.col(id_col).isNull())), "single-rows")
+    gone = stage(near_duplicates(docs, id_col, text_col, **options).where("not kept").select(F.col("doc_id").alias("__gone")), "near-copies")
+    return docs.join(broadcast_if_small(gone, 8), F.col(id_col) == F.col("__gone"), "left_anti")

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from simweave.plans.staging import stage
+from simweave.plans.staging import broadcast_if_small, stage
 
 #: Fixed source weights, repeating over the sources in code point order (null last), and the mix's size.
 WEIGHTS, SHARE, REPEATS = (5, 2, 1), 1.5, 2
@@ -126,15 +126,15 @@ def draw_counts(slots: list[int], n_shards: int, seed: int) -> np.ndarray:
     return out
 
 
-def position_documents(docs: DataFrame, id_col: str, text_col: str, source_col: str) -> DataFrame:
+def position_documents(docs: DataFrame, id_col: str, text_col: str, source_col: str, row_col: str | None = None) -> DataFrame:
     """row, doc_id, source, size and start: the place of each document in its source's stream of words.
 
     Starts are a two-level running sum, by buckets of ids inside a source, so no task holds a whole source.
     """
     words = F.size(F.split(F.btrim("t", F.lit(" \t\n\x0b\x0c\r")), "[\\x20\\x09-\\x0D]+", -1))
     slim = stage(
-        docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), F.coalesce(F.col(text_col), F.lit("")).alias("t"))
-        .select(F.monotonically_increasing_id().alias("row"), "doc_id", "source", F.when(F.btrim("t", F.lit(" \t\n\x0b\x0c\r")) == "", 0).otherwise(words).cast("long").alias("size")),
+        docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), F.coalesce(F.col(text_col), F.lit("")).alias("t"), (F.col(row_col) if row_col else F.monotonically_increasing_id()).alias("row"))
+        .select("row", "doc_id", "source", F.when(F.btrim("t", F.lit(" \t\n\x0b\x0c\r")) == "", 0).otherwise(words).cast("long").alias("size")),
         "mix-sizes",
     )
     buckets = max(256, slim.count() // 50_000)
@@ -192,10 +192,10 @@ class Mix:
     block: int
 
 
-def plan_mix(docs: DataFrame, n_shards: int = 64, block: int = 1024, seed: int = 23, id_col="doc_id", text_col="text", source_col="source") -> Mix:
+def plan_mix(docs: DataFrame, n_shards: int = 64, block: int = 1024, seed: int = 23, id_col="doc_id", text_col="text", source_col="source", row_col: str | None = None) -> Mix:
     """Plan the mix of all documents. Null text has no words, a null source is a source of its own and comes last."""
     spark = docs.sparkSession
-    placed = stage(position_documents(docs, id_col, text_col, source_col), "mix-placed")
+    placed = stage(position_documents(docs, id_col, text_col, source_col, row_col), "mix-placed")
     sizes = placed.groupBy("source").agg(F.sum("size").alias("size")).limit(MAX_SOURCES + 1).collect()
     if len(sizes) > MAX_SOURCES:
         raise ValueError(f"more than {MAX_SOURCES} sources")
@@ -229,6 +229,19 @@ def mix_documents(docs: DataFrame, **options) -> DataFrame:
     )
 
 
+def repeat_by_mix(docs: DataFrame, **options) -> DataFrame:
+    """The rows of docs as often as the mix takes them: the taken words over the size, rounded, so 0 to 2 times.
+
+    Documents stay whole. Rows without a word are never taken.
+    """
+    own = "__mix_row"
+    rows = stage(docs.withColumn(own, F.monotonically_increasing_id()), "mix-rows")
+    mixed = mix_documents(rows, row_col=own, **options)
+    uses = stage(mixed.where("size > 0").select("row", F.floor(F.col("taken") / F.col("size") + 0.5).cast("int").alias("__uses")).where("__uses > 0"), "mix-uses")
+    joined = rows.join(broadcast_if_small(uses, 16), F.col(own) == F.col("row")).drop("row", own)
+    return joined.withColumn("__use", F.explode(F.sequence(F.lit(1), F.col("__uses")))).drop("__use", "__uses")
+
+
 def mixed_blocks(docs: DataFrame, id_col="doc_id", text_col="text", **options) -> DataFrame:
     """The mix itself: shard, place, source_index, block and words (array of at most block words), one row per slot."""
     mix = plan_mix(docs, id_col=id_col, text_col=text_col, **options)

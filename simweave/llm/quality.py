@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from simweave.plans.staging import stage
+from simweave.plans.staging import broadcast_if_small, stage
 
 #: White space between words, as the class of a pattern and as its characters.
 SPACE_CLASS = "[\\x20\\x09-\\x0D]"
@@ -46,12 +46,13 @@ def _words_in_repeated_windows(words: Column) -> Column:
     return _let(F.transform(heads, lambda w, i: F.xxhash64(w, F.get(words, i + 1), F.get(words, i + 2))), ranked)
 
 
-def measure_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source") -> DataFrame:
+def measure_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", carry: str | None = None) -> DataFrame:
     """doc_id, host, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words and base_failed of each row.
 
-    Null text has no words; an empty or very long text is measured whole. No shuffle; other columns are not read.
+    Null text has no words; an empty or very long text is measured whole. No shuffle; of the
+    other columns only carry is passed through.
     """
-    slim = docs.select(F.col(id_col).alias("doc_id"), F.col(host_col).alias("host"), F.coalesce(F.col(text_col), F.lit("")).alias("t"))
+    slim = docs.select(F.col(id_col).alias("doc_id"), F.col(host_col).alias("host"), F.coalesce(F.col(text_col), F.lit("")).alias("t"), *([carry] if carry else []))
     trimmed = F.btrim("t", F.lit(SPACES))
     words = F.split(trimmed, f"{SPACE_CLASS}+", -1)
 
@@ -62,6 +63,7 @@ def measure_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     counted = slim.select(
         "doc_id",
         "host",
+        *([carry] if carry else []),
         F.char_length(F.translate("t", SPACES, "")).cast("long").alias("word_chars"),
         (F.char_length("t") - F.char_length(F.translate("t", SYMBOLS, ""))).cast("long").alias("n_symbols"),
         lines(F.col("t")).alias("n_dup_lines"),
@@ -70,7 +72,7 @@ def measure_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
         .alias("w"),
     )
     return counted.select(
-        "doc_id", "host", F.col("w.n").alias("n_words"), "word_chars", "n_symbols", "n_dup_lines", F.col("w.r").alias("n_repeat_words")
+        "doc_id", "host", *([carry] if carry else []), F.col("w.n").alias("n_words"), "word_chars", "n_symbols", "n_dup_lines", F.col("w.r").alias("n_repeat_words")
     ).withColumn("base_failed", (F.col("n_words") < LEAST_WORDS) | (100 * F.col("n_repeat_words") > REPEAT_PERCENT * F.col("n_words")))
 
 
@@ -103,3 +105,17 @@ def judge_documents(docs: DataFrame, host_rate: float = HOST_RATE, **columns: st
         measured.join(hosts, measured["host"].eqNullSafe(hosts["host"])).drop(hosts["host"])
         .withColumn("kept", ~F.col("base_failed") & (F.col("shrunk_rate") <= host_rate))
     )
+
+
+def keep_good_documents(docs: DataFrame, host_rate: float = HOST_RATE, id_col="doc_id", text_col="text", host_col="source") -> DataFrame:
+    """The rows of docs that judge_documents() keeps, with their own columns.
+
+    Rows are staged together with their verdict, so no join by id moves the texts; host verdicts are joined to them.
+    """
+    own = "__base_failed"
+    measured = measure_documents(docs.select("*", F.struct("*").alias("__row")), id_col, text_col, host_col, carry="__row")
+    rows = stage(measured.select("__row", F.col("host").alias("__host"), F.col("base_failed").alias(own)), "judged-rows")
+    rates = host_rates(rows.select(F.col("__host").alias("host"), F.col(own).alias("base_failed")))
+    bad = stage(rates.where(F.col("shrunk_rate") > host_rate).select(F.col("host").alias("__bad")), "bad-hosts")
+    good = rows.where(~F.col(own)).join(broadcast_if_small(bad, 256), F.col("__host").eqNullSafe(F.col("__bad")), "left_anti")
+    return good.select("__row.*")
