@@ -9,11 +9,13 @@ confirmed on full sets, and what a bucket's star leaves apart is compared again
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
+from operator import add
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from simweave.operators.components import connected_components
@@ -25,6 +27,10 @@ BANDS, ROWS = 50, 5
 BINS = BANDS * ROWS
 #: Bits of the sketch, and the fewest that agree for a pair at 0.75 (expected 112 of 128, 4.6 deviations lower).
 SKETCH_BITS, LEAST_AGREE = 128, 95
+#: Words of a parity bitmap over a document's shingles. Bits that differ are at most the shingles that differ, so
+#: more than a seventh of both sizes (at 0.75) rules a pair out, without any error.
+PARITY_WORDS = 16
+PARITY = [f"x{k}" for k in range(PARITY_WORDS)]
 #: Entries of a task's table of word hashes.
 WORD_TABLE = 1 << 20
 
@@ -116,7 +122,14 @@ class Signatures:
         return int(low), int(high)
 
 
-SIGNED = "row long, doc_id long, n_shingles long, set_a long, set_b long, sketch_a long, sketch_b long, keys array<long>"
+def parity_bitmap(shingles: np.ndarray) -> np.ndarray:
+    """Parity of the number of shingles that fall on each of 64 * PARITY_WORDS bits, as signed words."""
+    with np.errstate(over="ignore"):
+        at = ((shingles * np.uint64(0xC2B2AE3D27D4EB4F)) >> np.uint64(32)) % np.uint64(64 * PARITY_WORDS)
+    return np.packbits((np.bincount(at.astype(np.int64), minlength=64 * PARITY_WORDS) & 1).astype(np.uint8)).view(np.int64)
+
+
+SIGNED = "doc_id long, n_shingles long, set_a long, set_b long, sketch_a long, sketch_b long, " + ", ".join(f"{x} long" for x in PARITY) + ", keys array<long>"
 
 
 def sign_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bands: int = BANDS, rows: int = ROWS) -> DataFrame:
@@ -127,12 +140,13 @@ def sign_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         for b in batches:
             for lo in range(0, b.num_rows, 2000):
                 part = b.slice(lo, 2000)
-                sizes, fps, sketches, keys = [], [], [], []
+                sizes, fps, sketches, bitmaps, keys = [], [], [], [], []
                 for text in part.column(1):
                     s = shingle_set(text.as_py(), hashes)
                     sizes.append(len(s))
                     fp = xxhash.xxh3_128_digest(s.tobytes())
                     fps.append(np.frombuffer(fp, np.int64))
+                    bitmaps.append(parity_bitmap(s))
                     if len(s):
                         sig = signs.bins_of(s)
                         sketches.append(signs.sketch(sig))
@@ -140,15 +154,15 @@ def sign_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                     else:
                         sketches.append((0, 0))
                         keys.append(np.empty(0, np.int64))
-                fp, sk = np.array(fps).reshape(-1, 2), np.array(sketches, np.int64).reshape(-1, 2)
+                fp, sk, bits = np.array(fps).reshape(-1, 2), np.array(sketches, np.int64).reshape(-1, 2), np.array(bitmaps).reshape(-1, PARITY_WORDS)
                 at = np.concatenate([[0], np.cumsum([len(k) for k in keys])]).astype(np.int32)
                 flat = np.concatenate(keys) if keys else np.empty(0, np.int64)
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(0), part.column(0), pa.array(sizes, pa.int64()), *map(pa.array, (fp[:, 0], fp[:, 1], sk[:, 0], sk[:, 1])), pa.ListArray.from_arrays(pa.array(at), pa.array(flat))],
+                    [part.column(0), pa.array(sizes, pa.int64()), *map(pa.array, (fp[:, 0], fp[:, 1], sk[:, 0], sk[:, 1], *bits.T)), pa.ListArray.from_arrays(pa.array(at), pa.array(flat))],
                     [x.split()[0] for x in SIGNED.split(", ")],
                 )
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(sign, SIGNED).drop("row")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(sign, SIGNED)
 
 
 def _sets(docs: DataFrame, ids: DataFrame) -> DataFrame:
@@ -172,7 +186,7 @@ def confirm(docs: DataFrame, pairs: DataFrame, similarity: float = SIMILARITY) -
     docs: doc_id and text, one row an id. The sets of the documents in pairs are built once and joined by id.
     """
     percent = round(100 * similarity)
-    ids = stage(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "pair-ids")
+    ids = stage(pairs.select(F.col("a").alias("doc_id")).distinct().union(pairs.select(F.col("b").alias("doc_id")).distinct()).distinct(), "pair-ids")
     sets = stage(_sets(docs, ids), "pair-sets")
     left = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("sa"))
     right = sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("sb"))
@@ -198,20 +212,25 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     copies = stage(copies, "set-copies")
     facts = stage(
         signed.where("n_shingles > 0").join(broadcast_if_small(copies.select(F.col("b").alias("doc_id")), 8), "doc_id", "left_anti")
-        .select("doc_id", "n_shingles", "sketch_a", "sketch_b", "keys"),
+        .select("doc_id", "n_shingles", "sketch_a", "sketch_b", *PARITY, "keys"),
         "set-reps",
     )
     entries = facts.select("doc_id", F.explode("keys").alias("key"))
     heads = entries.groupBy("key").agg(F.min("doc_id").alias("head"), F.count(F.lit(1)).alias("n")).where("n > 1").select("key", "head")
     heads = stage(heads, "bucket-heads")
     crowded = stage(entries.join(broadcast_if_small(heads, 16), "key"), "crowded")
-    sizes = facts.select("doc_id", "n_shingles", "sketch_a", "sketch_b")
+    sizes = facts.drop("keys")
     stars = crowded.where("doc_id <> head").select(F.col("head").alias("a"), F.col("doc_id").alias("b")).distinct()
     pairs = stage(_plausible(stars, sizes, percent), "star-pairs")
     links = stage(confirm(slim, pairs, similarity), "star-links")
-    parts = connected_components(links)
-    rest = _rest_pairs(crowded, sizes, parts, pairs, percent)
-    if rest is not None:
+    inside = _mixed_buckets(crowded, sizes, connected_components(links))
+    if inside is not None:
+        best = stage(_apart(inside, percent).groupBy("b").agg(F.min(F.struct("differ", "a")).alias("m")).select(F.least("m.a", "b").alias("a"), F.greatest("m.a", "b").alias("b")).distinct(), "best-pairs")
+        links = stage(links.unionByName(confirm(slim, best, similarity)), "more-links")
+        inside = _mixed_buckets(crowded, sizes, connected_components(links))
+    if inside is not None:
+        rest = _apart(inside, percent).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        rest = stage(rest.join(pairs.union(best), ["a", "b"], "left_anti"), "rest-pairs")
         links = links.unionByName(confirm(slim, rest, similarity))
     classes = connected_components(links.unionByName(copies))
     found = signed.select("doc_id", "n_shingles").dropDuplicates(["doc_id"]).join(classes, F.col("doc_id") == F.col("node"), "left")
@@ -219,36 +238,47 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return found.withColumn("kept", F.col("doc_id") == F.col("component_id"))
 
 
+def _side(sizes: DataFrame, side: str, *more) -> DataFrame:
+    """Columns of one side of a pair, named after it."""
+    facts = [("doc_id", side), ("n_shingles", f"n{side}"), ("sketch_a", f"p{side}"), ("sketch_b", f"q{side}"), *((x, x + side) for x in PARITY)]
+    return sizes.select(*more, *(F.col(c).alias(n) for c, n in facts))
+
+
 def _plausible(pairs: DataFrame, sizes: DataFrame, percent: int) -> DataFrame:
-    """Pairs whose set sizes allow the similarity and whose sketches agree often enough."""
-    a = sizes.select(*(F.col(c).alias(n) for c, n in (("doc_id", "a"), ("n_shingles", "na"), ("sketch_a", "pa"), ("sketch_b", "qa"))))
-    b = sizes.select(*(F.col(c).alias(n) for c, n in (("doc_id", "b"), ("n_shingles", "nb"), ("sketch_a", "pb"), ("sketch_b", "qb"))))
-    return pairs.join(b, "b").join(a, "a").where(_could_link(percent)).select("a", "b")
+    """Pairs whose set sizes and bitmaps allow the similarity and whose sketches agree often enough."""
+    return pairs.join(_side(sizes, "b"), "b").join(_side(sizes, "a"), "a").where(_could_link(percent)).select("a", "b")
 
 
-def _could_link(percent: int):
-    agree = F.lit(SKETCH_BITS) - F.bit_count(F.col("pa").bitwiseXOR(F.col("pb"))) - F.bit_count(F.col("qa").bitwiseXOR(F.col("qb")))
-    return (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (agree >= LEAST_AGREE)
+def _differ() -> Column:
+    return reduce(add, (F.bit_count(F.col(x + "a").bitwiseXOR(F.col(x + "b"))) for x in PARITY))
 
 
-def _rest_pairs(crowded: DataFrame, sizes: DataFrame, parts: DataFrame, done: DataFrame, percent: int) -> DataFrame | None:
-    """Pairs that share a bucket but not yet a component, behind sizes and sketches; None if there are none.
+def _could_link(percent: int) -> Column:
+    agree = F.lit(SKETCH_BITS) - F.bit_count(F.col("pa").bitwiseXOR(F.col("pb"))) - F.bit_count(F.col("qa").bitwiseXOR(F.col("qb")))
+    alike = (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (agree >= LEAST_AGREE)
+    return alike & ((100 + percent) * _differ() <= (100 - percent) * (F.col("na") + F.col("nb")))
 
-    Only buckets that hold several components take part. In each, members outside the component of its head meet
-    all members of other components; the sketch test sits in the join condition, so other pairs are never rows.
-    """
+
+def _mixed_buckets(crowded: DataFrame, sizes: DataFrame, parts: DataFrame) -> DataFrame | None:
+    """Members of the buckets that hold several components, with the component of the bucket's head; None if there are none."""
     members = crowded.join(parts, F.col("doc_id") == F.col("node"), "left").select("key", "doc_id", "head", F.coalesce("component", "doc_id").alias("c"))
     members = stage(members, "bucket-members")
     mixed = members.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.max(F.when(F.col("doc_id") == F.col("head"), F.col("c"))).alias("main")).where("lo <> hi")
     mixed = stage(mixed.select("key", "main"), "mixed-buckets")
-    inside = stage(members.join(broadcast_if_small(mixed, 16), "key").join(sizes, "doc_id").select("key", "doc_id", "c", "main", "n_shingles", "sketch_a", "sketch_b"), "mixed-members")
-    minor = inside.where("c <> main").select("key", *(F.col(c).alias(n) for c, n in (("doc_id", "b"), ("c", "cb"), ("n_shingles", "nb"), ("sketch_a", "pb"), ("sketch_b", "qb"))))
-    every = inside.select("key", F.col("main").alias("ma"), *(F.col(c).alias(n) for c, n in (("doc_id", "a"), ("c", "ca"), ("n_shingles", "na"), ("sketch_a", "pa"), ("sketch_b", "qa"))))
+    if not mixed.limit(1).count():
+        return None
+    return stage(members.join(broadcast_if_small(mixed, 16), "key").join(sizes, "doc_id").drop("head"), "mixed-members")
+
+
+def _apart(inside: DataFrame, percent: int) -> DataFrame:
+    """Pairs of one bucket but of two components that could link: members outside the component of the bucket's head meet all others.
+
+    The tests sit in the join condition, so other pairs are never rows.
+    """
+    minor = _side(inside.where("c <> main"), "b", "key", F.col("c").alias("cb"))
+    every = _side(inside, "a", "key", F.col("main").alias("ma"), F.col("c").alias("ca"))
     apart = (F.col("ca") != F.col("cb")) & ((F.col("ca") == F.col("ma")) | (F.col("a") < F.col("b")))
-    met = every.join(minor, (every["key"] == minor["key"]) & apart & _could_link(percent))
-    pairs = met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(done, ["a", "b"], "left_anti")
-    pairs = stage(pairs, "rest-pairs")
-    return pairs if pairs.limit(1).count() else None
+    return every.join(minor, (every["key"] == minor["key"]) & apart & _could_link(percent)).select("a", "b", _differ().alias("differ"))
 
 
 def keep_one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
