@@ -7,6 +7,8 @@ Unlike a local checkpoint, a staged table outlives the executors that wrote it;
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -17,6 +19,7 @@ from pyspark.sql import functions as F
 BROADCAST_BYTES = 32 << 20
 
 _RUN = uuid.uuid4().hex[:12]
+_CLEANED: list[bool] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -24,6 +27,9 @@ def shared_dir(spark: SparkSession) -> str:
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         root = f"{tempfile.gettempdir()}/simweave-staged"
+        if not _CLEANED:
+            _CLEANED.append(True)
+            atexit.register(shutil.rmtree, f"{root}/simweave-{_RUN}", ignore_errors=True)
     return f"{root.rstrip('/')}/simweave-{_RUN}"
 
 
