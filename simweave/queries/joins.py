@@ -156,10 +156,16 @@ def c10(spark, d):
     return C.collapse_duplicates(collection(spark, d, "page_links"))[1]
 
 
-def _estimate_sql(measure: str, tail: str = "WHERE status <> 'pruned'") -> str:
+def _prefix_cands(measure: str) -> str:
+    g = GRID[measure]
+    prefix = _prefix_sql(g["name"], g["t"])
+    return f"SELECT DISTINCT a.id AS id_a, b.id AS id_b FROM ({prefix}) a JOIN ({prefix}) b ON a.feature = b.feature AND a.id < b.id"
+
+
+def _estimate_sql(measure: str, tail: str = "WHERE status <> 'pruned'", cands: str | None = None) -> str:
     g = GRID[measure]
     table = decision_of(SIDE[measure], g["t"], g["cap"])
-    return f"""WITH h AS MATERIALIZED ({_hash_sql(measure)}), c AS MATERIALIZED ({_cands_sql(measure)}), k AS ({S.walk('h', 'SELECT * FROM c', table)})
+    return f"""WITH h AS MATERIALIZED ({_hash_sql(measure)}), c AS MATERIALIZED ({cands or _cands_sql(measure)}), k AS ({S.walk('h', 'SELECT * FROM c', table)})
       SELECT id_a, id_b, round({S.estimate(SIDE[measure])}, 6) AS similarity, n_used::INT AS n_used, matches::INT AS matches, CASE WHEN status = 'continue' THEN 'capped' ELSE status END AS status FROM k {tail}"""
 
 
@@ -168,14 +174,14 @@ def _truth_join(measure: str, source: str, op: str = ">") -> str:
     return f"SELECT t.id_a, t.id_b, round(t.similarity, 6) AS similarity FROM ({S.truth(g['name'], measure, 0.0001)}) t JOIN ({source}) c ON c.id_a = t.id_a AND c.id_b = t.id_b WHERE round(t.similarity, 9) {op} {g['t']}"
 
 
-def _prune_exact_sql(measure: str) -> str:
+def _prune_exact_sql(measure: str, cands: str | None = None) -> str:
     from simweave.plans.decision import JoinParams, decision_table
     from simweave.plans.planner import default_posterior
 
     g = GRID[measure]
     h = 64 if measure == "jaccard" else 128
     table = decision_table(default_posterior(measure), JoinParams(g["t"], cap=h), False)
-    return f"WITH h AS MATERIALIZED ({_hash_sql(measure)}), c AS MATERIALIZED ({_cands_sql(measure)}), k AS MATERIALIZED ({S.walk('h', 'SELECT * FROM c', table)}) " + _truth_join(measure, "SELECT * FROM k WHERE status <> 'pruned'")
+    return f"WITH h AS MATERIALIZED ({_hash_sql(measure)}), c AS MATERIALIZED ({cands or _cands_sql(measure)}), k AS MATERIALIZED ({S.walk('h', 'SELECT * FROM c', table)}) " + _truth_join(measure, "SELECT * FROM k WHERE status <> 'pruned'")
 
 
 def _classical_sql(measure: str) -> str:
@@ -313,7 +319,7 @@ def _grid_sql(method: str, m: str) -> str | None:
         return exact if generator != "bands" else _exact_sql(m)
     if generator == "bands":
         return {"estimate": _estimate_sql, "prune_exact": _prune_exact_sql, "classical": _classical_sql}[verifier](m)
-    return None
+    return {"estimate": _estimate_sql, "prune_exact": _prune_exact_sql}[verifier](m, cands=_prefix_cands(m))
 
 
 for _method in METHODS:
