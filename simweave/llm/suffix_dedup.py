@@ -23,8 +23,10 @@ from simweave.plans.staging import broadcast_if_small, stage
 #: Bytes of a removed string and of an anchor's gram.
 LENGTH, GRAM = 400, 32
 #: Suffixes are sorted in batches of about this many bytes; a gram with more different stretches than GROUP is matched by
-#: window hashes instead, spread over tasks.
-BATCH, GROUP = 1 << 20, 256
+#: hashes of ever shorter stretches instead, spread over tasks.
+BATCH, GROUP = 1 << 20, 4096
+#: Lists of places are broadcast to the texts below this size, counted first; beyond it the texts are shuffled.
+LISTS = 64 << 20
 #: Texts longer than this are scanned in overlapping parts.
 PART = 1 << 22
 
@@ -332,33 +334,62 @@ def _spans(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["row", "lo", "hi"])
 
 
-def _hash_windows(length: int):
-    """Window hashes of the contexts of crowded grams: key, row, place of the window and whether it is to be marked."""
+STRETCHES = "key long, cover long, gram long, row long, lo int, a int, z int, single boolean"
 
-    def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+
+def _hash_stretches(length: int, width: int):
+    """Stretches of at most width windows that the asked ranges hold: a hash of all their bytes, and one of the bytes that every
+    window of their class covers."""
+
+    def hashes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = [x.split() for x in STRETCHES.split(", ")]
+        types = {"long": pa.int64(), "int": pa.int32(), "boolean": pa.bool_()}
         for b in batches:
-            for k in range(b.num_rows):
-                gram, row, lo, rel, n, single, _, body = (b.column(c)[k].as_py() for c in range(8))
-                data = np.frombuffer(body, np.uint8)
-                key = np.full(n, np.uint64(gram & (2**64 - 1)))
-                with np.errstate(over="ignore"):
-                    level, width, at = data.astype(np.uint64) + np.uint64(1), 1, 0
-                    while width <= length:
-                        if length & width:
-                            key = (key ^ level[at : at + n]) * np.uint64(0xD6E8FEB86659FD93)
-                            key ^= key >> np.uint64(32)
-                            at += width
-                        level = level[:-width] * _ODD + (level[width:] ^ (level[width:] >> np.uint64(31))) if len(level) > width else level
-                        width *= 2
-                        level = level * np.uint64(0xBF58476D1CE4E5B9)
-                        level ^= level >> np.uint64(29)
-                    key = (key + (rel - np.arange(n)).astype(np.uint64)) * np.uint64(0x94D049BB133111EB)
-                yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(np.full(n, row)), pa.array(lo + np.arange(n)), pa.array(np.full(n, single))], ["key", "row", "p", "single"])
-
-    return windows
-
-
-def repeated_spans(docs: DataFrame, length: int = LENGTH) -> DataFrame:
+            for begin in range(0, b.num_rows, 1000):
+                rows, part = [], b.slice(begin, 1000)
+                for k in range(part.num_rows):
+                    gram, row, lo, rel, body, ranges = (part.column(c)[k].as_py() for c in range(6))
+                    for r in ranges:
+                        for c in range((rel - r["z"]) // width, (rel - r["a"]) // width + 1):
+                            a, z = max(r["a"], rel - c * width - width + 1), min(r["z"], rel - c * width)
+                            seed = (gram * 31 + c * 0x9E3779B97F4A7C15) & (2**64 - 1)
+                            key = xxhash.xxh3_64_intdigest(body[a : z + length], seed=(seed + (rel - a) * 0xD6E8FEB86659FD93) & (2**64 - 1))
+                            cover = xxhash.xxh3_64_intdigest(body[rel - c * width : rel - c * width - width + 1 + length], seed=seed)
+                            rows.append((_signed(key), _signed(cover), gram, row, lo, a, z, r["single"]))
+                cols = list(zip(*rows, strict=True)) if rows else [[]] * len(names)
+                yield pa.RecordBatch.from_arrays([pa.array(c, types[t]) for c, (_, t) in zip(cols, names, strict=True)], [n for n, _ in names])
+
+    return hashes
+
+
+def _signed(x: int) -> int:
+    return x - (1 << 64) if x >> 63 else x
+
+
+def _crowded_spans(contexts: DataFrame, length: int) -> DataFrame:
+    """Repeated spans of the contexts whose gram has too many of them for one task.
+
+    Ranges of windows are split in classes of CLASS, then 6, then one window. A stretch that occurs twice as a whole is repeated; one
+    whose common bytes occur once is not; the others go on to the next width, equal stretches as one. No group is gathered.
+    """
+    ask = F.array(F.struct(F.lit(0).alias("a"), (F.col("n") - 1).alias("z"), F.col("single").alias("single")))
+    todo = contexts.select("gram", "row", "lo", "rel", "body", ask.alias("ranges"))
+    out = None
+    for width in (CLASS, 6, 1):
+        rows = stage(todo.mapInArrow(_hash_stretches(length, width), STRETCHES), "stretch-hashes")
+        by_key = rows.groupBy("key", "cover").agg(F.count(F.lit(1)).alias("m"), F.max("single").alias("some"), F.min(F.struct("gram", "row", "lo", "a", "z")).alias("at"))
+        by_key = stage(by_key, "stretch-keys")
+        found = rows.where("single").join(by_key.where("m > 1").select("key", "cover"), ["key", "cover"], "left_semi")
+        found = found.select("row", (F.col("lo") + F.col("a")).cast("long").alias("lo"), (F.col("lo") + F.col("z") + F.lit(length)).cast("long").alias("hi"))
+        out = found if out is None else out.unionByName(found)
+        left = by_key.withColumn("single", F.col("some") & (F.col("m") == 1))
+        shared = left.groupBy("cover").agg(F.count(F.lit(1)).alias("k"), F.max("single").alias("any")).where("k > 1 and any").select("cover")
+        left = left.join(shared, "cover", "left_semi").groupBy("at.gram", "at.row", "at.lo").agg(F.collect_list(F.struct("at.a", "at.z", "single")).alias("ranges"))
+        todo = contexts.select("gram", "row", "lo", "rel", "body").join(left, ["gram", "row", "lo"]).select("gram", "row", "lo", "rel", "body", "ranges")
+    return out
+
+
+def repeated_spans(docs: DataFrame, length: int = LENGTH, group: int = GROUP) -> DataFrame:
     """row, lo, hi: byte ranges of docs (row long, text string) that repeated strings of length bytes cover (may overlap)."""
     found = stage(docs.select("row", "text").mapInArrow(_find_anchors(length), ANCHORS), "anchors")
     repeated = stage(found.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("gram"), "repeated-grams")
@@ -372,12 +403,10 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     wanted = stage(fine.groupBy("at.row").agg(F.collect_list(F.struct("gram", "at.lo", "at.hi", "at.rel", "n", "k")).alias("wanted"), F.count(F.lit(1)).alias("m")), "wanted")
     total = wanted.agg(F.coalesce(F.sum("m"), F.lit(0))).first()[0]
     lists = wanted.drop("m")
-    joined = docs.select("row", "text").join(F.broadcast(lists) if total * 64 < 32 << 20 else lists, "row")
+    joined = docs.select("row", "text").join(F.broadcast(lists) if total * 64 < LISTS else lists, "row")
     contexts = stage(joined.select("row", "text", "wanted").mapInArrow(_cut_contexts(length), CONTEXTS), "contexts")
-    sorted_ = contexts.where(f"crowd <= {GROUP}").repartition("gram").sortWithinPartitions("gram").mapInArrow(_sort_suffixes(length), SPANS)
-    hashed = stage(contexts.where(f"crowd > {GROUP}").mapInArrow(_hash_windows(length), "key long, row long, p long, single boolean"), "windows")
-    keys = hashed.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.max("single").alias("any")).where("n > 1 and any").select("key")
-    crowded = hashed.where("single").join(keys, "key", "left_semi").select("row", F.col("p").alias("lo"), (F.col("p") + F.lit(length)).alias("hi"))
+    sorted_ = contexts.where(f"crowd <= {group}").repartition("gram").sortWithinPartitions("gram").mapInArrow(_sort_suffixes(length), SPANS)
+    crowded = _crowded_spans(contexts.where(f"crowd > {group}"), length)
     return whole.unionByName(sorted_).unionByName(crowded)
 
 
@@ -391,7 +420,7 @@ def _merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
-def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, with_text: bool = False) -> DataFrame:
+def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, with_text: bool = False, group: int = GROUP) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, with_text, the kept bytes (binary) of every row.
 
     A byte goes if any string of length bytes over it starts anywhere else in the corpus too, the same text included; strings
@@ -400,7 +429,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     """
     kind = docs.schema[id_col].dataType.simpleString()
     keyed = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("row", F.xxhash64("doc_id", "text"))
-    spans = repeated_spans(keyed, length).groupBy("row").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))
+    spans = repeated_spans(keyed, length, group).groupBy("row").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))
 
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -427,5 +456,5 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                 arrays = [part.column(0), *(pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary()), strict=True))]
                 yield pa.RecordBatch.from_arrays(arrays[: 5 + with_text], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"][: 5 + with_text])
 
-    joined = keyed.join(F.broadcast(spans) if total * 32 < 32 << 20 else spans, "row", "left")
+    joined = keyed.join(F.broadcast(spans) if total * 32 < LISTS else spans, "row", "left")
     return joined.select("doc_id", "text", "spans").mapInArrow(cut, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_text)
