@@ -146,5 +146,8 @@ def extend_signatures(objects: DataFrame, alive: DataFrame, lo: int, hi: int, me
 
 
 def signatures(objects: DataFrame, measure: str, n_hashes: int, seed: int = 1, family: str = "parity") -> DataFrame:
-    """Signatures for a measure: minwise hashes for 'jaccard', packed sign bits for 'cosine' and 'cosine_binary'."""
-    return minhash(objects, n_hashes, seed, family) if measure == "jaccard" else sign_bits(objects, n_hashes, seed, family)
+    """Signatures for a measure: minwise hashes for 'jaccard', packed sign bits for 'cosine' and 'cosine_binary'.
+
+    Empty sets are similar to nothing and get no signature.
+    """
+    return minhash(objects.where(F.size("features") > 0), n_hashes, seed, family) if measure == "jaccard" else sign_bits(objects, n_hashes, seed, family)
