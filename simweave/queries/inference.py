@@ -214,10 +214,19 @@ def d03(spark, d):
     return coded.select("k", "code", F.round(back, 6).alias("back"), (F.abs(back - F.col("g")) <= 1.0 / 8192 + 1e-12).alias("close"))
 
 
-@query("d04_required_cap")
-def d04(spark, d):
-    rows = [("jaccard", t, required_cap(J, JoinParams(t))) for t in (0.3, 0.5, 0.7)] + [("cosine", t, required_cap(C, JoinParams(t))) for t in (0.5, 0.7, 0.9)]
-    return spark.createDataFrame(rows, "measure string, t double, cap int")
+@query(
+    "d04_required_cap_jaccard",
+    f"""WITH c AS MATERIALIZED (SELECT t, n, m, {S.upper_tail('t', 'm', 'n')} AS p, {S.upper_tail('(m / n::DOUBLE - 0.05)', 'm', 'n')} - {S.upper_tail('(m / n::DOUBLE + 0.05)', 'm', 'n')} AS c
+      FROM (VALUES (0.3::DOUBLE), (0.5), (0.7)) x(t), range(32, 641, 32) g(n), range(0, n + 1) r(m) WHERE m >= n * 0.2)
+    SELECT t, (max(n) FILTER (p >= 0.03 AND c < 0.97) + 32)::INT AS cap FROM c GROUP BY t""",
+)
+def d04_j(spark, d):
+    return spark.createDataFrame([(t, required_cap(J, JoinParams(t))) for t in (0.3, 0.5, 0.7)], "t double, cap int")
+
+
+@query("d04_required_cap_cosine")
+def d04_c(spark, d):
+    return spark.createDataFrame([(t, required_cap(C, JoinParams(t))) for t in (0.5, 0.7, 0.9)], "t double, cap int")
 
 
 @query(
