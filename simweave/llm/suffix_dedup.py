@@ -403,7 +403,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, group: int = GROUP) ->
     wanted = stage(fine.groupBy("at.row").agg(F.collect_list(F.struct("gram", "at.lo", "at.hi", "at.rel", "n", "k")).alias("wanted"), F.count(F.lit(1)).alias("m")), "wanted")
     total = wanted.agg(F.coalesce(F.sum("m"), F.lit(0))).first()[0]
     lists = wanted.drop("m")
-    joined = docs.select("row", "text").join(F.broadcast(lists) if total * 64 < LISTS else lists, "row")
+    joined = docs.select("row", "text").join(F.broadcast(lists) if total * 96 < LISTS else lists, "row")
     contexts = stage(joined.select("row", "text", "wanted").mapInArrow(_cut_contexts(length), CONTEXTS), "contexts")
     sorted_ = contexts.where(f"crowd <= {group}").repartition("gram").sortWithinPartitions("gram").mapInArrow(_sort_suffixes(length), SPANS)
     crowded = _crowded_spans(contexts.where(f"crowd > {group}"), length)
