@@ -100,31 +100,36 @@ class IncrementalJoin:
         return self.spark.read.parquet(self.pairs).drop("batch")
 
 
-class DriftProcessor(StatefulProcessor):
-    """Running event-type counts of a user; emits the cosine of each batch's counts with the counts before."""
+def drift_processor() -> StatefulProcessor:
+    """The processor behind drift(), as a local class: it travels by value, also to workers without this package."""
 
-    KINDS = ("click", "view", "purchase", "signup", "error")
+    class DriftProcessor(StatefulProcessor):
+        """Running event-type counts of a user; emits the cosine of each batch's counts with the counts before."""
 
-    def init(self, handle: StatefulProcessorHandle) -> None:
-        self.counts = handle.getValueState("counts", "kind_counts array<double>")
+        KINDS = ("click", "view", "purchase", "signup", "error")
 
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values) -> Iterator[pd.DataFrame]:
-        now = [0.0] * (len(self.KINDS) + 1)
-        for frame in rows:
-            for kind, n in frame["event_type"].value_counts().items():
-                now[self.KINDS.index(kind) if kind in self.KINDS else len(self.KINDS)] += float(n)
-        before = list(self.counts.get()[0]) if self.counts.exists() else [0.0] * len(now)
-        size = lambda v: sum(x * x for x in v) ** 0.5
-        cosine = sum(x * y for x, y in zip(now, before, strict=True)) / (size(now) * size(before)) if any(before) else 1.0
-        self.counts.update(([x + y for x, y in zip(now, before, strict=True)],))
-        yield pd.DataFrame({"user_id": [key[0]], "events": [int(sum(now))], "cosine": [cosine]})
+        def init(self, handle: StatefulProcessorHandle) -> None:
+            self.counts = handle.getValueState("counts", "kind_counts array<double>")
 
-    def close(self) -> None:
-        pass
+        def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values) -> Iterator[pd.DataFrame]:
+            now = [0.0] * (len(self.KINDS) + 1)
+            for frame in rows:
+                for kind, n in frame["event_type"].value_counts().items():
+                    now[self.KINDS.index(kind) if kind in self.KINDS else len(self.KINDS)] += float(n)
+            before = list(self.counts.get()[0]) if self.counts.exists() else [0.0] * len(now)
+            size = lambda v: sum(x * x for x in v) ** 0.5
+            cosine = sum(x * y for x, y in zip(now, before, strict=True)) / (size(now) * size(before)) if any(before) else 1.0
+            self.counts.update(([x + y for x, y in zip(now, before, strict=True)],))
+            yield pd.DataFrame({"user_id": [key[0]], "events": [int(sum(now))], "cosine": [cosine]})
+
+        def close(self) -> None:
+            pass
+
+    return DriftProcessor()
 
 
 def drift(events: DataFrame) -> DataFrame:
     """user_id, events and cosine with the user's own past for every user and micro-batch."""
     return events.select("user_id", "event_type").groupBy("user_id").transformWithStateInPandas(
-        DriftProcessor(), "user_id long, events long, cosine double", outputMode="Update", timeMode="None"
+        drift_processor(), "user_id long, events long, cosine double", outputMode="Update", timeMode="None"
     )
