@@ -7,7 +7,6 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 from functools import lru_cache
-from math import sqrt
 
 import numpy as np
 
@@ -153,7 +152,3 @@ def classical_hashes_needed(s: float, delta: float, gamma: float, rounding: str
 def classical_variance(s: float, n: int) -> float:
     """Variance of the match fraction."""
     return s * (1 - s) / n
-
-
-def classical_deviation(s: float, n: int) -> float:
-    return sqrt(classical_variance(s, n))

@@ -7,8 +7,7 @@ from pyspark.sql import functions as F
 
 from simweave.operators import metrics as M
 from simweave.operators.exact import brute_force_join, exact_similarity
-from simweave.operators.vectorize import dense_vectors, idf_weighted, profile, sets_from_edges, shingle_sets, term_counts, tfidf, word_sets
-from simweave.operators.verify import verify_estimate
+from simweave.operators.vectorize import dense_vectors, idf_weighted, profile, sets_from_edges, shingle_sets, tfidf, word_sets
 from simweave.plans.planner import default_posterior, similarity_join
 from simweave.plans.decision import JoinParams, decision_table
 from simweave.plans.staging import stage
@@ -18,7 +17,7 @@ SETS = ("docs_words", "docs_shingles", "order_parts", "part_supp", "supp_part",
 VECTORS = ("docs_tfidf", "page_words", "cust_supp", "cust_brand", "user_events", "emb", "emb_noisy")
 
 
-def _lines(spark: SparkSession, d: str, *more: str) -> DataFrame:
+def _lines(spark: SparkSession, d: str) -> DataFrame:
     lines = table(spark, d, "lineitem", "l_orderkey", "l_partkey", "l_suppkey", "l_quantity")
     orders = table(spark, d, "orders", "o_orderkey", "o_custkey")
     return lines.join(orders, lines["l_orderkey"] == orders["o_orderkey"])
@@ -167,11 +166,3 @@ def parameter_sweep(spark: SparkSession, d: str, name: str = "page_words", t: fl
 
 def decision_of(measure: str, t: float, cap: int | None = None, **own):
     return decision_table(default_posterior(measure), JoinParams(t, cap=cap, **own))
-
-
-def estimate_pairs(pairs: DataFrame, sigs: DataFrame, measure: str, t: float, cap: int, **options) -> DataFrame:
-    return verify_estimate(pairs, sigs, decision_of(measure, t, cap), measure != "jaccard", **options)
-
-
-def word_counts(spark: SparkSession, d: str) -> DataFrame:
-    return term_counts(table(spark, d, "documents", "doc_id", "text"))
