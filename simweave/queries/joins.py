@@ -114,6 +114,12 @@ def c06_all(spark, d):
     return C.all_pairs(spark.read.parquet(f"{d}/pages.parquet").where("page_id < 40").select(F.col("page_id").alias("id")))
 
 
+@query("c06_all_pairs_whole")
+def c06_all_whole(spark, d):
+    """Every pair of pages: rows grow with the square of the table."""
+    return C.all_pairs(spark.read.parquet(f"{d}/pages.parquet").select(F.col("page_id").alias("id")))
+
+
 @query("c08_external_pairs", f"SELECT id_a, id_b, round(similarity, 6) AS similarity FROM ({S.truth('page_links', 'jaccard', 0.5)}) WHERE id_a % 2 = 0")
 def c08(spark, d):
     sets = collection(spark, d, "page_links")

@@ -138,6 +138,13 @@ def o08(spark, d):
     return spark.sql("SELECT c_custkey, o_orderkey FROM o08_customer, LATERAL (SELECT o_orderkey FROM o08_orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2)")
 
 
+@query("o08_lateral_topk_whole", "SELECT c_custkey, o_orderkey FROM customer, LATERAL (SELECT o_orderkey FROM orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2)")
+def o08_whole(spark, d):
+    _read(spark, d, "customer", "c_custkey").createOrReplaceTempView("o08_customers")
+    _read(spark, d, "orders").createOrReplaceTempView("o08_orders")
+    return spark.sql("SELECT c_custkey, o_orderkey FROM o08_customers, LATERAL (SELECT o_orderkey FROM o08_orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2)")
+
+
 @query("o08_scalar_subquery", "SELECT o_orderkey FROM orders o WHERE o_totalprice > (SELECT 1.8 * avg(o_totalprice) FROM orders i WHERE i.o_custkey = o.o_custkey)")
 def o08_scalar(spark, d):
     o = _read(spark, d, "orders", "o_orderkey", "o_custkey", "o_totalprice")
@@ -260,6 +267,12 @@ def o16_un(spark, d):
     return lines.unpivot(["l_orderkey", "l_linenumber"], ["l_discount", "l_tax"], "name", "value")
 
 
+@query("o16_unpivot_whole", "SELECT l_orderkey, l_linenumber, name, value FROM lineitem UNPIVOT (value FOR name IN (l_discount, l_tax))")
+def o16_un_whole(spark, d):
+    lines = _read(spark, d, "lineitem", "l_orderkey", "l_linenumber", "l_discount", "l_tax")
+    return lines.unpivot(["l_orderkey", "l_linenumber"], ["l_discount", "l_tax"], "name", "value")
+
+
 @query(
     "o17_strings",
     """SELECT p_partkey, upper(p_name) AS up, substring(p_name, 1, 4) AS head, length(p_name) AS n, reverse(p_brand) AS back, lpad(p_partkey::VARCHAR, 8, '0') AS padded, replace(p_type, ' ', '_') AS t, md5(p_name) AS h,
@@ -297,6 +310,11 @@ def o19_tf(spark, d):
     return term_counts(_read(spark, d, "documents", "doc_id", "text").where("doc_id < 200"))
 
 
+@query("o19_term_counts_whole", f"SELECT doc_id AS id, f AS feature, count(*) AS tf FROM (SELECT doc_id, unnest({S.TOKENS}) AS f FROM documents) GROUP BY ALL")
+def o19_tf_whole(spark, d):
+    return term_counts(_read(spark, d, "documents", "doc_id", "text"))
+
+
 @query(
     "o20_dates",
     """SELECT o_orderkey, date_trunc('month', o_orderdate)::TIMESTAMP AS month, year(o_orderdate)::INT AS y, month(o_orderdate)::INT AS m, dayofyear(o_orderdate)::INT AS doy, date_diff('day', DATE '1992-01-01', o_orderdate::DATE)::INT AS days,
@@ -362,6 +380,11 @@ def o24_variant(spark, d):
     return _read(spark, d, "events", "event_id", "props").where("event_id < 500").select("event_id", F.variant_get(F.parse_json("props"), "$.k", "long").alias("k"))
 
 
+@query("o24_variant_whole", "SELECT event_id, (props::JSON ->> '$.k')::BIGINT AS k FROM events")
+def o24_variant_whole(spark, d):
+    return _read(spark, d, "events", "event_id", "props").select("event_id", F.variant_get(F.parse_json("props"), "$.k", "long").alias("k"))
+
+
 @query("o25_urls", r"SELECT page_id, regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS host, len(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))::INT AS links FROM pages")
 def o25(spark, d):
     return _read(spark, d, "pages").select("page_id", F.expr("try_parse_url(url, 'HOST')").alias("host"), F.size(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).alias("links"))

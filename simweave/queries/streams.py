@@ -84,6 +84,18 @@ def s04(spark, d):
     return _round(join.run(T.replay(docs, "doc_id", 4)))
 
 
+@query("s04_incremental_join_whole")
+def s04_whole(spark, d):
+    """All documents arrive in 4 batches, under the default cap; SQL over all of them is too slow, tests compare with one join."""
+    docs = table(spark, d, "documents", "doc_id", "text")
+    decisions = decision_of("jaccard", 0.5)
+    n = max(decisions.cap, 3 * _BANDS)
+    join = T.IncrementalJoin(
+        spark, lambda b: minhash(shingle_sets(b).where(F.size("features") > 0), n), lambda s: C.banded(s, 3, _BANDS, False), lambda p, s: V.verify_estimate(p, s, decisions, False)
+    )
+    return _round(join.run(T.replay(docs, "doc_id", 4)))
+
+
 @query("s05_interval_join", "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")
 def s05(spark, d):
     events = _events(spark, d)
