@@ -230,6 +230,20 @@ for _m in GRID:
         return _round(similarity_join(collection(spark, d, g["name"]), m, g["t"], "bands", "exact", **_own(m)))
 
 
+#: Both cosines without a cap of the grid's: enough bits for (delta, gamma) at any similarity, 2048 bits for the match fraction.
+for _m in ("cosine", "cosine_binary"):
+
+    @query(f"v01_estimate_{_m}_fullcap")
+    def v01_full(spark, d, m=_m):
+        g = GRID[m]
+        return _round(similarity_join(collection(spark, d, g["name"]), m, g["t"], "bands", "estimate", **_own(m)))
+
+    @query(f"v03_classical_{_m}_fullcap")
+    def v03_full(spark, d, m=_m):
+        g = GRID[m]
+        return _round(similarity_join(collection(spark, d, g["name"]), m, g["t"], "bands", "classical", **_own(m)))
+
+
 @query("v05_fused_equals_rounds", _estimate_sql("cosine"))
 def v05(spark, d):
     g = GRID["cosine"]
@@ -338,3 +352,12 @@ for _method in METHODS:
             g = GRID[m]
             own = {"cap": g["cap"]} if METHODS[method][1] == "estimate" else {"n": g["n"]} if METHODS[method][1] == "classical" else {}
             return _round(run_method(stage(collection(spark, d, g["name"]), "objects"), method, m, g["t"], **_own(m), **own))
+
+
+for _method in ("bs_pe", "wp_pe", "bs_ml"):
+    for _m in ("cosine", "cosine_binary"):
+
+        @query(f"{_method}_{_m}_fullcap")
+        def grid_full(spark, d, method=_method, m=_m):
+            g = GRID[m]
+            return _round(run_method(stage(collection(spark, d, g["name"]), "objects"), method, m, g["t"], **_own(m)))

@@ -41,8 +41,8 @@ def _walk_ctes(name: str, t: float, cap: int, generator: str = "bands", estimate
       tr AS (SELECT * FROM e WHERE round(similarity, 9) >= {t})"""
 
 
-def _trail(spark, d):
-    return stage(trail(spark, d, NAME, "cosine", T, cap=CAP), "trail")
+def _trail(spark, d, cap=CAP):
+    return stage(trail(spark, d, NAME, "cosine", T, cap=cap), "trail")
 
 
 def _truth(spark, d):
@@ -78,34 +78,34 @@ def a02(spark, d):
 
 
 @query("a03_recall", f"WITH {_K} SELECT count(o.est) AS found, count(*) AS truth, round(avg((o.est IS NOT NULL)::INT), 6) AS recall FROM tr LEFT JOIN o ON o.id_a = tr.id_a AND o.id_b = tr.id_b")
-def a03(spark, d):
+def a03(spark, d, cap=CAP):
     _, truth = _truth(spark, d)
-    return M.recall(_trail(spark, d).where("status <> 'pruned'"), truth).withColumn("recall", F.round("recall", 6))
+    return M.recall(_trail(spark, d, cap).where("status <> 'pruned'"), truth).withColumn("recall", F.round("recall", 6))
 
 
 @query("a04_false_negatives", f"WITH {_K} SELECT round(1 - avg((o.est IS NOT NULL)::INT), 6) AS false_negative_rate FROM tr LEFT JOIN o ON o.id_a = tr.id_a AND o.id_b = tr.id_b")
-def a04(spark, d):
+def a04(spark, d, cap=CAP):
     _, truth = _truth(spark, d)
-    return M.false_negative_rate(_trail(spark, d).where("status <> 'pruned'"), truth).withColumn("false_negative_rate", F.round("false_negative_rate", 6))
+    return M.false_negative_rate(_trail(spark, d, cap).where("status <> 'pruned'"), truth).withColumn("false_negative_rate", F.round("false_negative_rate", 6))
 
 
 _ERR = "avg((abs(o.est - coalesce(e.similarity, 0)) > 0.05)::INT)"
 
 
-def _found(spark, d):
+def _found(spark, d, cap=CAP):
     objects, _ = _truth(spark, d)
-    out = _trail(spark, d).where("status <> 'pruned'")
+    out = _trail(spark, d, cap).where("status <> 'pruned'")
     return out, X.exact_similarity(out.select("id_a", "id_b"), objects, "cosine")
 
 
 @query("a05_error_share", f"WITH {_K} SELECT round({_ERR}, 6) AS error_share FROM o LEFT JOIN e ON e.id_a = o.id_a AND e.id_b = o.id_b")
-def a05(spark, d):
-    return M.errors(*_found(spark, d)).select(F.round("error_share", 6).alias("error_share"))
+def a05(spark, d, cap=CAP):
+    return M.errors(*_found(spark, d, cap)).select(F.round("error_share", 6).alias("error_share"))
 
 
 @query("a06_mean_error", f"WITH {_K} SELECT round(avg(abs(o.est - coalesce(e.similarity, 0))), 6) AS mean_error FROM o LEFT JOIN e ON e.id_a = o.id_a AND e.id_b = o.id_b")
-def a06(spark, d):
-    return M.errors(*_found(spark, d)).select(F.round("mean_error", 6).alias("mean_error"))
+def a06(spark, d, cap=CAP):
+    return M.errors(*_found(spark, d, cap)).select(F.round("mean_error", 6).alias("mean_error"))
 
 
 def _curve_sql(ctes: str) -> str:
@@ -114,18 +114,18 @@ def _curve_sql(ctes: str) -> str:
 
 
 @query("a07_pruning_curve", _curve_sql(_K))
-def a07(spark, d):
-    return M.pruning_curve(_trail(spark, d), 32)
+def a07(spark, d, cap=CAP):
+    return M.pruning_curve(_trail(spark, d, cap), 32)
 
 
 @query("a08_bytes_examined", f"WITH {_K} SELECT round(sum(n_used * 0.25::DOUBLE), 6) AS bytes, round(avg(n_used * 0.25::DOUBLE), 6) AS bytes_per_pair FROM k")
-def a08(spark, d):
-    return M.bytes_examined(_trail(spark, d), True).select(F.round("bytes", 6).alias("bytes"), F.round("bytes_per_pair", 6).alias("bytes_per_pair"))
+def a08(spark, d, cap=CAP):
+    return M.bytes_examined(_trail(spark, d, cap), True).select(F.round("bytes", 6).alias("bytes"), F.round("bytes_per_pair", 6).alias("bytes_per_pair"))
 
 
 @query("a09_set_sizes", f"WITH {_K} SELECT count(*) AS candidates, count(*) FILTER (status <> 'pruned') AS results, round(count(*) / greatest(count(*) FILTER (status <> 'pruned'), 1)::DOUBLE, 6) AS ratio FROM k")
-def a09(spark, d):
-    t = _trail(spark, d)
+def a09(spark, d, cap=CAP):
+    t = _trail(spark, d, cap)
     return M.set_sizes(t, t.where("status <> 'pruned'")).withColumn("ratio", F.round("ratio", 6))
 
 
@@ -134,14 +134,24 @@ def a09(spark, d):
     f"""WITH {_K}, m AS (SELECT id, max(n_used) AS most FROM (SELECT id_a AS id, n_used FROM k UNION ALL SELECT id_b, n_used FROM k) GROUP BY id)
     SELECT sum(n_used)::BIGINT AS compared, round(avg(n_used), 6) AS per_pair, round((SELECT avg(most) FROM m), 6) AS per_object FROM k""",
 )
-def a10(spark, d):
-    return M.hash_work(_trail(spark, d)).select("compared", F.round("per_pair", 6).alias("per_pair"), F.round("per_object", 6).alias("per_object"))
+def a10(spark, d, cap=CAP):
+    return M.hash_work(_trail(spark, d, cap)).select("compared", F.round("per_pair", 6).alias("per_pair"), F.round("per_object", 6).alias("per_object"))
 
 
 @query("a11_precision", f'WITH {_K} SELECT count(*) AS "out", round(avg((tr.similarity IS NOT NULL)::INT), 6) AS precision FROM o LEFT JOIN tr ON tr.id_a = o.id_a AND tr.id_b = o.id_b')
-def a11(spark, d):
+def a11(spark, d, cap=CAP):
     _, truth = _truth(spark, d)
-    return M.precision(_trail(spark, d).where("status <> 'pruned'"), truth).withColumn("precision", F.round("precision", 6))
+    return M.precision(_trail(spark, d, cap).where("status <> 'pruned'"), truth).withColumn("precision", F.round("precision", 6))
+
+
+#: The same measures without CAP: enough bits for (delta, gamma) at any similarity.
+for _name, _measure in {
+    "a03_recall": a03, "a04_false_negatives": a04, "a05_error_share": a05, "a06_mean_error": a06, "a07_pruning_curve": a07, "a08_bytes_examined": a08, "a09_set_sizes": a09, "a10_hash_work": a10, "a11_precision": a11,
+}.items():
+
+    @query(f"{_name}_fullcap")
+    def full(spark, d, measure=_measure):
+        return measure(spark, d, None)
 
 
 def _profile_sql(name: str) -> str:
@@ -221,6 +231,16 @@ def w07(spark, d):
     return quality_table(spark, d, NAME, "cosine", (0.5, 0.6), ("bs_pe",), cap=CAP).unionByName(quality_table(spark, d, NAME, "cosine", (0.5, 0.6), ("bs_ml",), n=CAP))
 
 
+@query("w06_recall_fullcap")
+def w06_full(spark, d):
+    return quality_table(spark, d, NAME, "cosine", (0.5, 0.6), ("wp_pe", "wp_px"))
+
+
+@query("w07_error_shares_fullcap")
+def w07_full(spark, d):
+    return quality_table(spark, d, NAME, "cosine", (0.5, 0.6), ("bs_ml", "bs_pe"))
+
+
 @query("w08_pruning_curves")
 def w08(spark, d):
     return w08_pruning_curves(spark, d, cap=512)

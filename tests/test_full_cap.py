@@ -1,0 +1,35 @@
+"""Cosine queries without a small cap: the oracles' SQL at the required cap, on a small collection."""
+
+import pytest
+from oracle import connect, same
+
+from simweave.queries import joins as J
+from simweave.queries import load
+from simweave.queries import studies as W
+from simweave.workloads import decision_of
+
+D = "/root/testdata/sf0.001"
+QUERIES, ORACLES = load()
+MEASURES = [n.removesuffix("_fullcap") for n in sorted(QUERIES) if n.startswith("a") and n.endswith("_fullcap")]
+
+
+@pytest.mark.parametrize("m", ["cosine", "cosine_binary"])
+def test_joins(spark, monkeypatch, m):
+    cap = decision_of("cosine", J.GRID[m]["t"]).cap
+    assert cap > J.GRID[m]["cap"]
+    monkeypatch.setitem(J.GRID, m, J.GRID[m] | {"cap": cap, "n": 2048})
+    duck = connect(D)
+    for name, sql in (("v01_estimate", J._estimate_sql(m)), ("v03_classical", J._classical_sql(m)), ("wp_pe", J._grid_sql("wp_pe", m))):
+        assert same(QUERIES[f"{name}_{m}_fullcap"](spark, D), duck.execute(sql))
+
+
+@pytest.mark.parametrize("name", MEASURES)
+def test_measures(spark, name):
+    sql = ORACLES[name].replace(W._K, W._walk_ctes(W.NAME, W.T, decision_of("cosine", W.T).cap))
+    assert sql != ORACLES[name] and same(QUERIES[f"{name}_fullcap"](spark, D), connect(D).execute(sql))
+
+
+def test_nothing_stays_open(spark):
+    """Every pair is decided, with as many bits as its estimate needs; the small cap leaves pairs open."""
+    status = lambda name: {r["status"] for r in QUERIES[name](spark, "/root/testdata/sf0.01").select("status").distinct().collect()}
+    assert "capped" in status("v01_estimate_cosine") and "capped" not in status("v01_estimate_cosine_fullcap")
