@@ -220,24 +220,31 @@ def mix_documents(docs: DataFrame, **options) -> DataFrame:
     Each source's taken words add up to its target rounded to a word, and no document is taken more than twice, because
     a block's slots are whole turns of a permutation. Repeated rows stay apart; an empty table gives an empty result.
     """
-    mix = plan_mix(docs, **options)
+    return _taken(plan_mix(docs, **options)).drop("start")
+
+
+def _taken(mix: Mix) -> DataFrame:
+    """The rows of mix_documents() with their start."""
     uses = mix.slots.groupBy("source_index", "block", "take").agg(F.count(F.lit(1)).alias("n"))
     part = F.greatest(F.least("high", "take") - F.col("low"), F.lit(0)) * F.col("n")
     taken = _pieces(mix).join(uses, ["source_index", "block"]).groupBy("row").agg(F.sum(part).alias("taken"))
     return mix.placed.join(taken, "row", "left").select(
-        "row", "doc_id", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken")
+        "row", "doc_id", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"), "start"
     )
 
 
-def repeat_by_mix(docs: DataFrame, **options) -> DataFrame:
-    """The rows of docs as often as the mix takes them: the taken words over the size, rounded, so 0 to 2 times.
+def repeat_by_mix(docs: DataFrame, seed: int = 23, **options) -> DataFrame:
+    """The rows of docs as often as the mix takes them: the taken words over the size, so 0 to 2 times.
 
-    Documents stay whole. Rows without a word are never taken.
+    Documents stay whole. A fraction of a document is rounded up with its own probability, by a draw keyed by the
+    document's place in its source, so documents of any length keep their source's rate and a source's words its target
+    on average. Rows without a word are never taken.
     """
     own = "__mix_row"
     rows = stage(docs.withColumn(own, F.monotonically_increasing_id()), "mix-rows")
-    mixed = mix_documents(rows, row_col=own, **options)
-    uses = stage(mixed.where("size > 0").select("row", F.floor(F.col("taken") / F.col("size") + 0.5).cast("int").alias("__uses")).where("__uses > 0"), "mix-uses")
+    mixed = _taken(plan_mix(rows, row_col=own, seed=seed, **options))
+    draw = F.pmod(F.xxhash64(F.lit(seed), "source", "start"), F.lit(1 << 30)) / F.lit(1 << 30)
+    uses = stage(mixed.where("size > 0").select("row", F.floor(F.col("taken") / F.col("size") + draw).cast("int").alias("__uses")).where("__uses > 0"), "mix-uses")
     joined = rows.join(broadcast_if_small(uses, 16), F.col(own) == F.col("row")).drop("row", own)
     return joined.withColumn("__use", F.explode(F.sequence(F.lit(1), F.col("__uses")))).drop("__use", "__uses")
 
