@@ -25,8 +25,9 @@ WORDS, SIMILARITY = 5, 0.75
 #: Bands of rows each: a pair at 0.75 meets in at least one band but for about one case in a million.
 BANDS, ROWS = 50, 5
 BINS = BANDS * ROWS
-#: Bits of the sketch, and the fewest that agree for a pair at 0.75 (expected 112 of 128, 4.6 deviations lower).
-SKETCH_BITS, LEAST_AGREE = 128, 95
+#: Bits of the sketch, and the fewest that agree for a pair at 0.75 (expected 112 of 128, 7.2 deviations lower: fewer than one
+#: such pair in a billion is ruled out).
+SKETCH_BITS, LEAST_AGREE = 128, 85
 #: Words of a parity bitmap over a document's shingles. Bits that differ are at most the shingles that differ, so
 #: more than a seventh of both sizes (at 0.75) rules a pair out, without any error.
 PARITY_WORDS = 16
