@@ -369,3 +369,61 @@ def w18(spark, d):
     labels = table(spark, d, "labels", "doc_id", "quality").where("quality is not null")
     votes = near.join(labels, near["other"] == labels["doc_id"]).groupBy("id").agg(F.count(F.lit(1)).alias("votes"), F.sum("quality").alias("good"))
     return votes.select(F.col("id").alias("doc_id"), "votes", (F.col("good") * 2 > F.col("votes")).cast("int").alias("guess"))
+
+
+#: The workloads in full: their collections, thresholds, methods and parameter values, with the planner's own caps. Too slow for SQL.
+_WEIGHTED = ("docs_tfidf", "page_words", "cust_supp", "cust_brand", "emb_noisy")
+_BINARY = ("docs_words", "docs_shingles", "order_parts", "page_links")
+_HIGH, _LOW = (0.5, 0.6, 0.7, 0.8, 0.9), (0.3, 0.4, 0.5, 0.6, 0.7)
+
+
+def _union(frames):
+    out = None
+    for f in frames:
+        out = f if out is None else out.unionByName(f)
+    return out
+
+
+def _all_counts(spark, d, names, measure, ts):
+    methods = [m for m in METHODS if not (m == "sp_exact" and measure == "cosine")]
+    return _union(counts_over_thresholds(spark, d, names, measure, ts, m).withColumn("method", F.lit(m)) for m in methods)
+
+
+@query("w02_weighted_cosine_survey")
+def w02_survey(spark, d):
+    return _all_counts(spark, d, _WEIGHTED, "cosine", _HIGH)
+
+
+@query("w03_binary_jaccard_survey")
+def w03_survey(spark, d):
+    return _all_counts(spark, d, _BINARY, "jaccard", _LOW)
+
+
+@query("w04_binary_cosine_survey")
+def w04_survey(spark, d):
+    return _all_counts(spark, d, _BINARY, "cosine_binary", _HIGH)
+
+
+@query("w06_recall_survey")
+def w06_survey(spark, d):
+    return _union(quality_table(spark, d, n, "cosine", _HIGH, ("wp_pe", "wp_px")).withColumn("collection", F.lit(n)) for n in _WEIGHTED)
+
+
+@query("w07_error_shares_survey")
+def w07_survey(spark, d):
+    return _union(quality_table(spark, d, n, "cosine", _HIGH, ("bs_ml", "bs_pe")).withColumn("collection", F.lit(n)) for n in _WEIGHTED)
+
+
+@query("w08_pruning_curves_survey")
+def w08_survey(spark, d):
+    return w08_pruning_curves(spark, d, (("docs_tfidf", "cosine"), ("cust_supp", "cosine"), ("docs_words", "cosine_binary")))
+
+
+@query("w09_sweep_cost_survey")
+def w09_survey(spark, d):
+    return parameter_sweep(spark, d, "docs_tfidf", 0.7, cap=None).select("parameter", "value", "hashes")
+
+
+@query("w10_sweep_quality_survey")
+def w10_survey(spark, d):
+    return parameter_sweep(spark, d, "docs_tfidf", 0.7, cap=None)

@@ -146,7 +146,7 @@ def w08_pruning_curves(spark: SparkSession, d: str, names: tuple[tuple[str, str]
     return out
 
 
-def parameter_sweep(spark: SparkSession, d: str, name: str = "page_words", t: float = 0.7, values: tuple[float, ...] = (0.01, 0.03, 0.05, 0.07, 0.09), family: str = "table", **options) -> DataFrame:
+def parameter_sweep(spark: SparkSession, d: str, name: str = "page_words", t: float = 0.7, values: tuple[float, ...] = (0.01, 0.03, 0.05, 0.07, 0.09), family: str = "table", cap: int | None = 2048, **options) -> DataFrame:
     """gamma, delta and eps in turn over values, the other two at 0.05: hashes compared, error share, mean error, recall."""
     objects = stage(collection(spark, d, name), "collection")
     truth = stage(brute_force_join(objects, t, "cosine"), "truth")
@@ -155,7 +155,7 @@ def parameter_sweep(spark: SparkSession, d: str, name: str = "page_words", t: fl
     for parameter in ("gamma", "delta", "eps"):
         for v in values:
             own = {"gamma": 0.05, "delta": 0.05, "eps": 0.05, parameter: v}
-            walk = stage(similarity_join(objects, "cosine", t, "bands", "estimate", with_trail=True, family=family, cap=2048, **own, **options), "sweep")
+            walk = stage(similarity_join(objects, "cosine", t, "bands", "estimate", with_trail=True, family=family, cap=cap, **own, **options), "sweep")
             found = walk.where("status <> 'pruned'")
             known = stage(exact_similarity(found.select("id_a", "id_b"), objects, "cosine"), "known")
             row = M.recall(found, truth).join(F.broadcast(M.errors(found, known, 0.05))).join(F.broadcast(walk.agg(F.sum("n_used").alias("hashes"))))
