@@ -11,7 +11,7 @@ from simweave.llm.packing import pack_documents
 from simweave.llm.quality import keep_good_documents
 from simweave.llm.surrogates import replace_entities
 from simweave.plans.shipping import ship
-from simweave.plans.staging import stage
+from simweave.plans.staging import keep, scratch, stage
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -58,8 +58,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents; each result is a written table, read again by the next stage."""
+    """All stages over documents; each result is a written table, read again by the next stage.
+
+    What a stage has staged for itself is deleted once its result is written.
+    """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, apply in STAGES[:-1]:
-        docs = stage(apply(spark, docs, sf_dir), name.replace(" ", "-"))
+        with scratch():
+            docs = keep(stage(apply(spark, docs, sf_dir), name.replace(" ", "-")))
     return STAGES[-1][1](spark, docs, sf_dir)

@@ -11,6 +11,8 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -20,6 +22,8 @@ BROADCAST_BYTES = 32 << 20
 
 _RUN = uuid.uuid4().hex[:12]
 _CLEANED: list[bool] = []
+#: Tables staged inside open scratch() blocks, by block.
+_SCRATCH: list[dict[str, SparkSession]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -38,14 +42,49 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex[:10]}"
     df.write.mode("errorifexists").option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    if _SCRATCH:
+        _SCRATCH[-1][path] = spark
+    read = spark.read.schema(df.schema).parquet(path)
+    read.staged_at = path
+    return read
+
+
+def _delete(spark: SparkSession, where: str) -> None:
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(where)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def release(*frames: DataFrame) -> None:
+    """Delete the tables of frames that stage() returned and that nothing will read again."""
+    for df in frames:
+        _delete(df.sparkSession, df.staged_at)
+        for block in _SCRATCH:
+            block.pop(df.staged_at, None)
+
+
+@contextmanager
+def scratch() -> Iterator[None]:
+    """On a clean end, delete what was staged inside the block; keep() a frame that is read later."""
+    _SCRATCH.append({})
+    try:
+        yield
+    finally:
+        block = _SCRATCH.pop()
+    for path, spark in block.items():
+        _delete(spark, path)
+
+
+def keep(df: DataFrame) -> DataFrame:
+    """A staged frame that outlives the scratch() block around it."""
+    own = _SCRATCH[-1].pop(df.staged_at, None) if _SCRATCH else None
+    if own is not None and len(_SCRATCH) > 1:
+        _SCRATCH[-2][df.staged_at] = own
+    return df
 
 
 def drop_staged(spark: SparkSession) -> None:
     """Delete everything that this process has staged; frames that still read it become unusable."""
-    jvm = spark.sparkContext._jvm
-    path = jvm.org.apache.hadoop.fs.Path(shared_dir(spark))
-    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    _delete(spark, shared_dir(spark))
 
 
 def fits_broadcast(df: DataFrame, row_bytes: int, limit: int = BROADCAST_BYTES) -> bool:

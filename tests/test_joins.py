@@ -10,6 +10,7 @@ from simweave.operators.components import connected_components
 from simweave.operators.hashing import minhash, sign_bits
 from simweave.operators.ranges import asof_join, range_join
 from simweave.operators.vectorize import binary_weights, shingle_sets, tfidf, word_sets
+from simweave.plans.staging import keep, release, scratch, stage
 from simweave.plans.planner import choose_band_width, fit_beta_prior, similarity_join, similarity_search
 from simweave.workloads import collection, decision_of
 
@@ -129,6 +130,28 @@ def test_components(spark):
     assert connected_components(edges.limit(0)).count() == 0
 
 
+def test_components_with_hubs_and_too_few_rounds(spark):
+    hub = [(k, 5000) for k in range(1, 900)] + [(k, k + 10_000) for k in range(500, 900)] + [(20_000, 20_001)]
+    got = dict(connected_components(spark.createDataFrame(hub, "a long, b long")).collect())
+    assert {v for k, v in got.items() if k < 20_000} == {1} and got[20_000] == got[20_001] == 20_000 and len(got) == 899 + 1 + 400 + 2
+    chain = spark.range(4001).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b"))
+    with pytest.raises(RuntimeError):
+        connected_components(chain, max_rounds=3)
+
+
+def test_scratch_deletes_what_is_not_kept(spark):
+    with scratch():
+        gone, kept = stage(spark.range(3), "t"), keep(stage(spark.range(4), "t"))
+        with scratch():
+            inner = keep(stage(spark.range(5), "t"))
+        assert inner.count() == 5
+    assert kept.count() == 4
+    exists = lambda df: spark._jvm.org.apache.hadoop.fs.Path(df.staged_at).getFileSystem(spark._jsc.hadoopConfiguration()).exists(spark._jvm.org.apache.hadoop.fs.Path(df.staged_at))
+    assert exists(kept) and not exists(gone) and not exists(inner)
+    release(kept)
+    assert not exists(kept)
+
+
 def test_range_and_asof(spark):
     points = spark.createDataFrame([(1, 0.5), (2, 2.0), (3, 9.0)], "id int, v double")
     bands = spark.createDataFrame([("a", 0.0, 2.0), ("b", 2.0, 5.0)], "n string, lo double, hi double")
