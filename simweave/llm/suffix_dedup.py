@@ -1,16 +1,18 @@
 """Removal of long passages that repeat anywhere in the corpus, by sorted suffixes.
 
 Every window of the removal length is assigned to an anchor, the smallest 32-byte gram inside it, so equal windows have equal anchors
-at equal places. Anchors whose gram occurs once cannot hold a repeat and are left out. Of the others, stretches that are
-equal as a whole are repeats at once; the remaining ones are gathered by gram, their suffixes are sorted in two stages
-(suffixes smaller than their successors directly, the rest induced by bucket scans), and adjacent common prefixes of at
-least the removal length mark the repeated windows.
+at equal places. Anchors whose gram occurs once cannot hold a repeat and are left out. Of the others, equal stretches are collapsed
+to one entry (a stretch that occurs twice is repeated as a whole); the entries are gathered by gram, their suffixes are sorted in
+two stages (suffixes smaller than their successors directly, the rest induced by bucket scans), and adjacent common prefixes of at
+least the removal length mark the repeated windows. Entries of a gram that are too many for one task are cut by the bytes that
+neighbouring windows share, and those smaller groups are sorted the same way.
 """
 
 from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -22,9 +24,9 @@ from simweave.plans.staging import broadcast_if_small, stage
 
 #: Bytes of a removed string and of an anchor's gram.
 LENGTH, GRAM = 400, 32
-#: Suffixes are sorted in batches of about this many bytes; a gram with more different stretches than GROUP is matched by
-#: hashes of ever shorter stretches instead, spread over tasks.
-BATCH, GROUP = 1 << 20, 4096
+#: Suffixes are sorted in batches of about this many bytes. A gram with more different stretches than GROUP is cut into groups
+#: of windows that share the bytes around their anchor before it is sorted: a bound on a task, not on what is found.
+BATCH, GROUP = 1 << 20, 512
 #: Lists of places are broadcast to the texts below this size, counted first; beyond it the texts are shuffled.
 LISTS = 64 << 20
 #: Texts longer than this are scanned in overlapping parts.
@@ -282,6 +284,7 @@ def _find_anchors(length: int):
 
 
 CONTEXTS = "gram long, row long, lo int, rel int, n int, single boolean, crowd int, body binary"
+CONTEXT = ["gram", "row", "lo", "rel", "n", "single", "body"]
 
 
 def _cut_contexts(length: int):
@@ -307,22 +310,20 @@ def _sort_suffixes(length: int):
         size, last = 0, None
 
         def flush() -> pa.RecordBatch:
-            hits = repeated_windows([(g, body, rel, n, single) for g, _, _, rel, n, single, body in held], length)
+            hits = repeated_windows([(h[0], h[6], h[3], h[4], h[5]) for h in held], length)
             rows = [(h[1], h[2] + a, h[2] + z) for h, own in zip(held, hits, strict=True) for a, z in _runs(own, length)]
             held.clear()
             return _spans(rows)
 
         for b in batches:
-            cols = [b.column(k) for k in range(8)]
-            for k in range(b.num_rows):
-                gram = cols[0][k].as_py()
-                if size > BATCH and gram != last:
-                    yield flush()
-                    size = 0
-                last = gram
-                body = cols[7][k].as_py()
-                held.append((gram, cols[1][k].as_py(), cols[2][k].as_py(), cols[3][k].as_py(), cols[4][k].as_py(), cols[5][k].as_py(), body))
-                size += len(body)
+            for begin in range(0, b.num_rows, 1000):
+                for h in zip(*(c.to_pylist() for c in b.slice(begin, 1000).columns), strict=True):
+                    if size > BATCH and h[0] != last:
+                        yield flush()
+                        size = 0
+                    last = h[0]
+                    held.append(h)
+                    size += len(h[6])
         if held:
             yield flush()
 
@@ -334,59 +335,61 @@ def _spans(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["row", "lo", "hi"])
 
 
-STRETCHES = "key long, cover long, gram long, row long, lo int, a int, z int, single boolean"
+#: Widths, in windows, of the classes that a crowded group is cut into, one after the other; at width 1 a group is one window.
+WIDTHS = (CLASS, 6, 1)
+CLASSES = "key long, cover long, row long, lo int, rel int, n int, single boolean, body binary"
 
 
-def _hash_stretches(length: int, width: int):
-    """Stretches of at most width windows that the asked ranges hold: a hash of all their bytes, and one of the bytes that every
-    window of their class covers."""
+def _cut_classes(length: int, width: int):
+    """The windows of each context in classes of width by their place before the anchor: a hash of all bytes of the class (key), one
+    of the bytes that every window of the class covers (cover), and the class as a context of its own."""
 
-    def hashes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = [x.split() for x in STRETCHES.split(", ")]
-        types = {"long": pa.int64(), "int": pa.int32(), "boolean": pa.bool_()}
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = [x.split() for x in CLASSES.split(", ")]
+        types = {"long": pa.int64(), "int": pa.int32(), "boolean": pa.bool_(), "binary": pa.binary()}
         for b in batches:
-            for begin in range(0, b.num_rows, 1000):
-                rows, part = [], b.slice(begin, 1000)
+            for begin in range(0, b.num_rows, 500):
+                rows, part = [], b.slice(begin, 500)
                 for k in range(part.num_rows):
-                    gram, row, lo, rel, body, ranges = (part.column(c)[k].as_py() for c in range(6))
-                    for r in ranges:
-                        for c in range((rel - r["z"]) // width, (rel - r["a"]) // width + 1):
-                            a, z = max(r["a"], rel - c * width - width + 1), min(r["z"], rel - c * width)
-                            seed = (gram * 31 + c * 0x9E3779B97F4A7C15) & (2**64 - 1)
-                            key = xxhash.xxh3_64_intdigest(body[a : z + length], seed=(seed + (rel - a) * 0xD6E8FEB86659FD93) & (2**64 - 1))
-                            cover = xxhash.xxh3_64_intdigest(body[rel - c * width : rel - c * width - width + 1 + length], seed=seed)
-                            rows.append((_signed(key), _signed(cover), gram, row, lo, a, z, r["single"]))
+                    group, row, lo, rel, n, single, body = (part.column(c)[k].as_py() for c in range(7))
+                    for c in range((rel - n + 1) // width, rel // width + 1):
+                        a, z = max(0, rel - c * width - width + 1), min(n - 1, rel - c * width)
+                        seed = (group * 31 + c * 0x9E3779B97F4A7C15) & (2**64 - 1)
+                        key = xxhash.xxh3_64_intdigest(body[a : z + length], seed=(seed + (rel - a) * 0xD6E8FEB86659FD93) & (2**64 - 1))
+                        cover = xxhash.xxh3_64_intdigest(body[rel - c * width : rel - c * width - width + 1 + length], seed=seed)
+                        rows.append((_signed(key), _signed(cover), row, lo + a, rel - a, z - a + 1, single, body[a : z + length]))
                 cols = list(zip(*rows, strict=True)) if rows else [[]] * len(names)
                 yield pa.RecordBatch.from_arrays([pa.array(c, types[t]) for c, (_, t) in zip(cols, names, strict=True)], [n for n, _ in names])
 
-    return hashes
+    return cut
 
 
 def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def _crowded_spans(contexts: DataFrame, length: int) -> DataFrame:
-    """Repeated spans of the contexts whose gram has too many of them for one task.
+def _divided(crowded: DataFrame, length: int, group: int) -> tuple[DataFrame, list[DataFrame]]:
+    """Contexts of groups that one task can sort, and the spans that were found while cutting the crowded ones.
 
-    Ranges of windows are split in classes of CLASS, then 6, then one window. A stretch that occurs twice as a whole is repeated; one
-    whose common bytes occur once is not; the others go on to the next width, equal stretches as one. No group is gathered.
+    Equal windows agree in the bytes that all windows of their class cover, so they stay in one group at every width. Equal classes
+    are collapsed: one that occurs twice is repeated as a whole, and stays as an entry to compare with.
     """
-    ask = F.array(F.struct(F.lit(0).alias("a"), (F.col("n") - 1).alias("z"), F.col("single").alias("single")))
-    todo = contexts.select("gram", "row", "lo", "rel", "body", ask.alias("ranges"))
-    out = None
-    for width in (CLASS, 6, 1):
-        rows = stage(todo.mapInArrow(_hash_stretches(length, width), STRETCHES), "stretch-hashes")
-        by_key = rows.groupBy("key", "cover").agg(F.count(F.lit(1)).alias("m"), F.max("single").alias("some"), F.min(F.struct("gram", "row", "lo", "a", "z")).alias("at"))
-        by_key = stage(by_key, "stretch-keys")
-        found = rows.where("single").join(by_key.where("m > 1").select("key", "cover"), ["key", "cover"], "left_semi")
-        found = found.select("row", (F.col("lo") + F.col("a")).cast("long").alias("lo"), (F.col("lo") + F.col("z") + F.lit(length)).cast("long").alias("hi"))
-        out = found if out is None else out.unionByName(found)
-        left = by_key.withColumn("single", F.col("some") & (F.col("m") == 1))
-        shared = left.groupBy("cover").agg(F.count(F.lit(1)).alias("k"), F.max("single").alias("any")).where("k > 1 and any").select("cover")
-        left = left.join(shared, "cover", "left_semi").groupBy("at.gram", "at.row", "at.lo").agg(F.collect_list(F.struct("at.a", "at.z", "single")).alias("ranges"))
-        todo = contexts.select("gram", "row", "lo", "rel", "body").join(left, ["gram", "row", "lo"]).select("gram", "row", "lo", "rel", "body", "ranges")
-    return out
+    todo, small, spans = crowded.select(F.col("gram").alias("group"), "row", "lo", "rel", "n", "single", "body"), [], []
+    for width in WIDTHS:
+        rows = stage(todo.mapInArrow(_cut_classes(length, width), CLASSES), "classes")
+        facts = F.min(F.struct("row", "lo", "rel", "n")).alias("at")
+        entries = rows.groupBy("cover", "key").agg(F.count(F.lit(1)).alias("m"), F.max("single").alias("some"), facts)
+        entries = stage(entries, "class-entries")
+        twice = rows.where("single").join(entries.where("m > 1").select("cover", "key"), ["cover", "key"], "left_semi")
+        spans.append(twice.select("row", F.col("lo").cast("long").alias("lo"), (F.col("lo") + F.col("n") - 1 + F.lit(length)).cast("long").alias("hi")))
+        groups = entries.groupBy("cover").agg(F.count(F.lit(1)).alias("k"), F.max(F.col("some") & (F.col("m") == 1)).alias("open"))
+        groups = stage(groups.where("k > 1 and open").select("cover", "k"), "class-groups")
+        left = entries.join(broadcast_if_small(groups, 12), "cover").select("cover", "k", "at.*", (F.col("some") & (F.col("m") == 1)).alias("single"))
+        bodies = rows.select("cover", "row", "lo", "rel", "n", "body").dropDuplicates(["cover", "row", "lo", "rel", "n"])
+        left = stage(left.join(bodies, ["cover", "row", "lo", "rel", "n"]), "class-contexts")
+        small.append(left.where(F.col("k") <= group).select(F.col("cover").alias("gram"), "row", "lo", "rel", "n", "single", "body"))
+        todo = left.where(F.col("k") > group).select(F.col("cover").alias("group"), "row", "lo", "rel", "n", "single", "body")
+    return reduce(DataFrame.unionByName, small), spans
 
 
 def repeated_spans(docs: DataFrame, length: int = LENGTH, group: int = GROUP) -> DataFrame:
@@ -405,9 +408,13 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, group: int = GROUP) ->
     lists = wanted.drop("m")
     joined = docs.select("row", "text").join(F.broadcast(lists) if total * 96 < LISTS else lists, "row")
     contexts = stage(joined.select("row", "text", "wanted").mapInArrow(_cut_contexts(length), CONTEXTS), "contexts")
-    sorted_ = contexts.where(f"crowd <= {group}").repartition("gram").sortWithinPartitions("gram").mapInArrow(_sort_suffixes(length), SPANS)
-    crowded = _crowded_spans(contexts.where(f"crowd > {group}"), length)
-    return whole.unionByName(sorted_).unionByName(crowded)
+    ready, spans = contexts.where(F.col("crowd") <= group).drop("crowd"), []
+    crowded = contexts.where(F.col("crowd") > group).drop("crowd")
+    if crowded.limit(1).count():
+        more, spans = _divided(crowded, length, group)
+        ready = ready.unionByName(more)
+    sorted_ = ready.select(*CONTEXT).repartition("gram").sortWithinPartitions("gram").mapInArrow(_sort_suffixes(length), SPANS)
+    return reduce(DataFrame.unionByName, [whole, sorted_, *spans])
 
 
 def _merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -420,10 +427,10 @@ def _merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
-def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, with_text: bool = False, group: int = GROUP) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, with_text, the kept bytes (binary) of every row.
+def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, with_bytes: bool = False, group: int = GROUP) -> DataFrame:
+    """doc_id, text (what is left), n_bytes, n_removed, n_spans, kept_sha256 and, with_bytes, the kept bytes (binary) of every row.
 
-    A byte goes if any string of length bytes over it starts anywhere else in the corpus too, the same text included; strings
+    Where a removed range cuts a character, text leaves its other bytes out, too; kept and kept_sha256 have them. A byte goes if any string of length bytes over it starts anywhere else in the corpus too, the same text included; strings
     are judged on the whole input. Null text is empty. Rows with equal id and text are all kept as rows, and repeat each other.
     An empty table gives an empty result; other columns are not read. Ranges are per text, and no occurrence is capped.
     """
@@ -451,10 +458,10 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                         kept.append(body[at:a])
                         at = z
                     left = b"".join([*kept, body[at:]])
-                    rows.append((len(body), len(body) - len(left), len(ranges), hashlib.sha256(left).hexdigest(), left if with_text else None))
+                    rows.append((left.decode("utf-8", "ignore"), len(body), len(body) - len(left), len(ranges), hashlib.sha256(left).hexdigest(), left if with_bytes else None))
                 cols = list(zip(*rows, strict=True))
-                arrays = [part.column(0), *(pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary()), strict=True))]
-                yield pa.RecordBatch.from_arrays(arrays[: 5 + with_text], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"][: 5 + with_text])
+                arrays = [part.column(0), *(pa.array(c, t) for c, t in zip(cols, (pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary()), strict=True))]
+                yield pa.RecordBatch.from_arrays(arrays[: 6 + with_bytes], ["doc_id", "text", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"][: 6 + with_bytes])
 
     joined = keyed.join(F.broadcast(spans) if total * 32 < LISTS else spans, "row", "left")
-    return joined.select("doc_id", "text", "spans").mapInArrow(cut, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_text)
+    return joined.select("doc_id", "text", "spans").mapInArrow(cut, f"doc_id {kind}, text string, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_bytes)

@@ -223,14 +223,17 @@ def brute_removed(texts, length):
     return out
 
 
-@pytest.mark.parametrize("group", [2, 4096])
-def test_repeats_against_brute_force(spark, group):
+@pytest.mark.parametrize("group,lists", [(2, 0), (6, S.LISTS), (S.GROUP, S.LISTS)])
+def test_repeats_against_brute_force(spark, monkeypatch, group, lists):
+    monkeypatch.setattr(S, "LISTS", lists)
     shared, r = words(120, 1), random.Random(3)
     texts = [words(90, 10 + k) + (" " + shared if k % 3 == 0 else "") + " " + words(40, 50 + k) for k in range(40)]
     texts += [edited(shared + " " + words(60, 7), 1 + k % 3, k) for k in range(30)] + ["a" * 1500, "ab" * 700, None, "", "é" * 400, words(100, 2) * 2, shared, shared]
     docs = table(spark, [(k, t, "s") for k, t in enumerate(texts)])
-    got = {x["doc_id"]: (x["n_bytes"], x["n_removed"], x["n_spans"], x["kept_sha256"]) for x in S.remove_repeats(docs.repartition(3), group=group).collect()}
+    rows = S.remove_repeats(docs.repartition(3), group=group, with_bytes=True).collect()
+    got = {x["doc_id"]: (x["n_bytes"], x["n_removed"], x["n_spans"], x["kept_sha256"]) for x in rows}
     assert [got[k] for k in range(len(texts))] == brute_removed(texts, 400)
+    assert all(x["text"] == bytes(x["kept"]).decode("utf-8", "ignore") for x in rows) and any(x["n_removed"] for x in rows)
     assert S.remove_repeats(docs.limit(0)).count() == 0 and r
 
 
@@ -248,6 +251,31 @@ def test_suffix_array_and_prefixes(values):
             assert n == m
 
 
+def test_repeats_of_all_documents(spark):
+    """Whole sf 0.01 against hashes of all its 400-byte strings: a running sum of powers, divided by the power of its start."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    bodies = {r["doc_id"]: np.frombuffer((r["text"] or "").encode(), np.uint8) for r in docs.collect()}
+    most = max(map(len, bodies.values())) + 1
+    table = np.random.default_rng(1).integers(0, 2**63, 256).astype(np.uint64)
+    mult = 0x9E3779B97F4A7C15
+    with np.errstate(over="ignore"):
+        up, down = (np.concatenate([[np.uint64(1)], np.cumprod(np.full(most, x, np.uint64))]) for x in (mult, pow(mult, -1, 2**64)))
+        hashes = {}
+        for i, b in bodies.items():
+            total = np.concatenate([[np.uint64(0)], np.cumsum(table[b] * up[: len(b)])])
+            n = max(0, len(b) - 399)
+            hashes[i] = (total[400 : 400 + n] - total[:n]) * down[:n]
+    values, counts = np.unique(np.concatenate(list(hashes.values())), return_counts=True)
+    want = {}
+    for i, b in bodies.items():
+        gone = np.zeros(len(b), bool)
+        for p in np.flatnonzero(np.isin(hashes[i], values[counts > 1])):
+            gone[p : p + 400] = True
+        want[i] = (len(b), int(gone.sum()), int((np.diff(np.concatenate([[0], gone.astype(np.int8)])) == 1).sum()), hashlib.sha256(b[~gone].tobytes()).hexdigest())
+    got = {x["doc_id"]: (x["n_bytes"], x["n_removed"], x["n_spans"], x["kept_sha256"]) for x in S.remove_repeats(docs).collect()}
+    assert got == want and sum(v[1] for v in want.values()) > 100_000
+
+
 def test_scan_in_parts_gives_the_same(spark, monkeypatch):
     texts = [words(400, k % 2) + " " + words(100, k) for k in range(4)]
     docs = table(spark, [(k, t, "s") for k, t in enumerate(texts)])
