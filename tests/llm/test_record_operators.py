@@ -3,6 +3,7 @@
 import base64
 import hashlib
 import importlib
+import json
 import random
 import sys
 import zlib
@@ -105,24 +106,61 @@ def test_best_fit_fills_gaplessly(sizes):
     assert sum(f <= 32 for f in fills.tolist()) <= 1
 
 
+@pytest.fixture(scope="module")
+def encoder():
+    return K.Encoder(BPE)
+
+
 @given(st.text(max_size=80))
 @settings(max_examples=150, deadline=None)
-def test_encoder_equals_the_library(text):
-    global ENCODER
-    try:
-        encoder = ENCODER
-    except NameError:
-        encoder = ENCODER = K.Encoder(BPE)
-    encoder.probes = K.Encoder.PROBES
-    assert encoder(text) == encoder.exact.encode(text, add_special_tokens=False).ids
+def test_encoder_equals_the_library(encoder, text):
+    assert encoder(text) == LIBRARY.encode(text, add_special_tokens=False).ids
+
+
+LIBRARY = Tokenizer.from_file(BPE)
+
+
+def test_encoder_equals_the_library_on_every_code_point(encoder):
+    points = [c for c in range(0x110000) if not 0xD800 <= c < 0xE000]
+    for lo in range(0, len(points), 100_000):
+        texts = [f"a{c}b {c}1{c}'{c}  {c}" for c in map(chr, points[lo : lo + 100_000])]
+        assert all(encoder(t) == x.ids for t, x in zip(texts, LIBRARY.encode_batch(texts, add_special_tokens=False), strict=True))
+
+
+def test_every_merge_is_what_lower_ranks_leave(encoder):
+    """Merging adjacent parts by the rank of what they make leaves each token's own two parts, so pairs beside the file's list never arise."""
+    names = {i: t for t, i in encoder.ranks.items()}
+    for k, pair in enumerate(json.loads(LIBRARY.to_str())["model"]["merges"]):
+        own, parts = names[256 + k], [bytes([x]) for x in names[256 + k]]
+        while len(parts) > 2:
+            ranks = [encoder.ranks.get(parts[i] + parts[i + 1], 1 << 40) for i in range(len(parts) - 1)]
+            at = ranks.index(low := min(ranks))
+            assert low < 256 + k
+            parts[at : at + 2] = [parts[at] + parts[at + 1]]
+        left, right = pair if isinstance(pair, list) else pair.split(" ")
+        assert b"".join(parts) == own and [LIBRARY.token_to_id(left), LIBRARY.token_to_id(right)] == [encoder.ranks[p] for p in parts]
+
+
+def test_special_strings_and_long_words(encoder):
+    texts = ["a <|endoftext|> b", "<|endoftext|><|endoftext|>", "  <|endoftext|>  x\n", "<|endoftext", "a" * 150_000, " " * 150_000, "1-" * 60_000, "\n" * 9000 + "x"]
+    for t in texts:
+        assert encoder(t) == LIBRARY.encode(t, add_special_tokens=False).ids
+    plain = Tokenizer.from_file(BPE)
+    plain.encode_special_tokens = True
+    as_text = K.Encoder(BPE, specials_as_text=True)
+    assert all(as_text(t) == plain.encode(t, add_special_tokens=False).ids for t in texts) and 50256 in encoder(texts[0]) and 50256 not in as_text(texts[0])
+
+
+def test_other_tokenizer_files_go_to_the_library():
+    path = public_tokenizers.path("word_bpe_49k.json")
+    other = K.Encoder(path)
+    assert other.fast is None and other("Some words here") == Tokenizer.from_file(path).encode("Some words here", add_special_tokens=False).ids
 
 
 def test_packing(spark):
     texts = [None, "", words(10), words(3000, 1), words(3000, 1), "<|endoftext|> x", "a" * 120_000] + [words(20 + 13 * k % 400, k) for k in range(200)]
     df = spark.createDataFrame([(k, t, 5, "z") for k, t in enumerate(texts)] + [(7, texts[7], 5, "z")], "doc_id long, text string, offset int, bin string").repartition(3)
-    tok = Tokenizer.from_file(BPE)
-    tok.encode_special_tokens = True
-    ids = {k: np.array([*tok.encode(t or "", add_special_tokens=False).ids, 0], "<u4") for k, t in enumerate(texts)}
+    ids = {k: np.array([*LIBRARY.encode(t or "", add_special_tokens=False).ids, 0], "<u4") for k, t in enumerate(texts)}
     rows = K.pack_documents(df, BPE).collect()
     places, seen = {}, {}
     for r in rows:
