@@ -1,8 +1,9 @@
 """Surrogates for personal data, in DataFrame functions only.
 
 Detected entities get keyed replacements of their own type: same digits layout, letter case, script and gender. An entity
-has a normal form, so spellings of one entity share a surrogate; surrogates of distinct entities are checked for
-collisions over the whole corpus and redrawn until none is left.
+has a normal form, so spellings of one entity share a surrogate, under any title; surrogates of distinct entities are checked
+over the whole corpus, against each other and against its real entities, and redrawn until none collides. A name found
+behind a title is replaced in the rest of its text as well.
 """
 
 from __future__ import annotations
@@ -47,8 +48,9 @@ def _draw(key: str, *parts: Column) -> Column:
     return F.sha2(F.concat_ws("\x1f", F.lit(key), *(p.cast("string") for p in parts)), 256)
 
 
-def _permuted_digits(key: str, kind: str, digits: Column, attempt: Column) -> Column:
-    """A keyed permutation of the digit strings of one length: no two of them share a result."""
+def _permuted_digits(key: str, kind: str | Column, digits: Column, attempt: Column) -> Column:
+    """A keyed permutation, for each kind, of the digit strings of one length (34 at most): no two of them share a result."""
+    kind = F.lit(kind) if isinstance(kind, str) else kind
 
     def body(d: Column) -> Column:
         n_left = F.floor(F.length(d) / 2).cast("int")
@@ -57,7 +59,7 @@ def _permuted_digits(key: str, kind: str, digits: Column, attempt: Column) -> Co
         start = F.struct(F.coalesce(F.left(d, n_left).try_cast("long"), F.lit(0)).alias("a"), F.coalesce(F.right(d, n_right).try_cast("long"), F.lit(0)).alias("b"))
 
         def turn(acc: Column, r: Column) -> Column:
-            f = lambda x: F.conv(F.left(_draw(key, F.lit(kind), F.length(d), attempt, r, x), F.lit(13)), 16, 10).cast("long")
+            f = lambda x: F.conv(F.left(_draw(key, kind, F.length(d), attempt, r, x), F.lit(13)), 16, 10).cast("long")
             return F.when(r % 2 == 0, F.struct(((acc["a"] + f(acc["b"])) % power(n_left)).alias("a"), acc["b"].alias("b"))).otherwise(
                 F.struct(acc["a"].alias("a"), ((acc["b"] + f(acc["a"])) % power(n_right)).alias("b"))
             )
@@ -107,26 +109,40 @@ def normal_of(kind: Column, found: Column) -> Column:
     return (
         F.when(kind == "email", F.lower(found)).when(kind == "ip", found).when(kind.isin("card", "ssn", "phone"), F.regexp_replace(found, r"\D", ""))
         .when(kind == "iban", F.regexp_replace(found, " ", ""))
-        .when(kind == "name", F.concat(F.when(found.rlike(rf"^(?:{MALE})\.? "), "m:").when(found.rlike(rf"^(?:{FEMALE})\.? "), "f:").otherwise("n:"), F.lower(F.regexp_replace(found, _TITLE, ""))))
+        .when(kind == "name", F.lower(F.regexp_replace(found, _TITLE, "")))
         .otherwise(F.regexp_replace(found, _SECRET_HEAD, ""))
     )
 
 
-def surrogate_of(key: str, kind: Column, normal: Column, attempt: Column) -> Column:
+def gender_of(kind: Column, found: Column) -> Column:
+    """'m' or 'f' by the title before a name, else 'n'."""
+    return F.when(kind != "name", "n").when(found.rlike(rf"^(?:{MALE})\.? "), "m").when(found.rlike(rf"^(?:{FEMALE})\.? "), "f").otherwise("n")
+
+
+def surrogate_of(key: str, kind: Column, normal: Column, attempt: Column, gender: Column) -> Column:
     """Normal form of the surrogate of a normal form."""
 
     def email(x: Column) -> Column:
         local, domain = F.regexp_extract(x, "^(.*)@", 1), F.regexp_extract(x, "@(.*)$", 1)
 
-        def segment(s: Column, i: Column) -> Column:
-            h = _draw(key, F.lit("email"), attempt, i, x)
-            letters = F.left(_syllables(h, 8, s), F.greatest(F.length(s), F.when(i == 0, 8).otherwise(2)))
-            return F.when(s.rlike("^[._%+\\-]"), s).when(s.rlike("^[0-9]"), _like_digits(h, F.length(s))).otherwise(letters)
+        # the digits of a local part are permuted as one string, so addresses that differ in digits only stay apart
+        digits = F.regexp_replace(local, "[^0-9]", "")
+        layout = F.concat_ws(" ", F.lit("email"), F.regexp_replace(local, "[0-9]", "0"), domain)
+        mixed = F.when(F.length(digits) == 0, "").when(F.length(digits) <= 34, _permuted_digits(key, layout, digits, attempt)).otherwise(_like_digits(_draw(key, F.lit("digits"), attempt, x), F.length(digits)))
+
+        def segment(acc: Column, e: Column) -> Column:
+            s, i = e["s"], e["i"]
+            letters = F.left(_syllables(_draw(key, F.lit("email"), attempt, i, x), 8, s), F.greatest(F.length(s), F.when(i == 0, 8).otherwise(2)))
+            number = s.rlike("^[0-9]")
+            put = F.when(s.rlike("^[._%+\\-]"), s).when(number, F.substring(acc["d"], F.lit(1), F.length(s))).otherwise(letters)
+            return F.struct(F.concat(acc["o"], put).alias("o"), F.when(number, F.substring(acc["d"], F.length(s) + 1, F.length(acc["d"]))).otherwise(acc["d"]).alias("d"))
 
         parts = F.regexp_extract_all(local, F.lit(r"([._%+\-]|[0-9]+|[^0-9._%+\-]+)"), F.lit(1))
+        numbered = F.transform(parts, lambda s, i: F.struct(s.alias("s"), i.alias("i")))
+        filled = _let(mixed, lambda d: F.aggregate(numbered, F.struct(F.lit("").alias("o"), d.alias("d")), segment, lambda acc: acc["o"]))
         labels = F.split(domain, r"\.")
         hosts = F.transform(F.slice(labels, 1, F.size(labels) - 1), lambda s, i: _syllables(_draw(key, F.lit("domain"), i, F.array_join(F.slice(labels, i + 1, F.size(labels)), ".")), 4, s))
-        return F.concat(F.array_join(F.transform(parts, segment), ""), F.lit("@"), F.array_join(hosts, "."), F.lit(".example"))
+        return F.concat(filled, F.lit("@"), F.array_join(hosts, "."), F.lit(".example"))
 
     def ip(x: Column) -> Column:
         def body(o: Column) -> Column:
@@ -172,7 +188,7 @@ def surrogate_of(key: str, kind: Column, normal: Column, attempt: Column) -> Col
         return _let(F.array_join(blocks, ""), body)
 
     def name(x: Column) -> Column:
-        gender, words = F.left(x, F.lit(1)), F.split(F.substring(x, 3, 1000), " ")
+        words = F.split(x, " ")
 
         def word(w: Column, i: Column) -> Column:
             given = i < F.size(words) - 1
@@ -182,7 +198,7 @@ def surrogate_of(key: str, kind: Column, normal: Column, attempt: Column) -> Col
             last = F.when(cyrillic, F.when(gender == "f", "рова").otherwise("ров")).otherwise("r")
             return F.concat(stem, F.when(given, first).otherwise(last))
 
-        return F.concat(gender, F.lit(":"), F.array_join(F.transform(words, word), " "))
+        return F.array_join(F.transform(words, word), " ")
 
     return (
         F.when(kind == "email", email(normal)).when(kind == "ip", ip(normal)).when(kind == "card", card(normal))
@@ -191,6 +207,11 @@ def surrogate_of(key: str, kind: Column, normal: Column, attempt: Column) -> Col
     )
 
 
+def _name_like(plain: Column, surrogate: Column) -> Column:
+    """A name's surrogate in the letter case of the name, which has no title."""
+    return F.when((plain == F.upper(plain)) & (F.length(plain) > 1), F.upper(surrogate)).otherwise(F.initcap(surrogate))
+
+
 def _render(kind: Column, found: Column, surrogate: Column) -> Column:
     """The surrogate in the layout of the matched string."""
     fill = F.aggregate(
@@ -205,74 +226,108 @@ def _render(kind: Column, found: Column, surrogate: Column) -> Column:
         .otherwise(F.struct(F.concat(acc["o"], c).alias("o"), acc["k"].alias("k"))),
         lambda acc: acc["o"],
     )
-    plain = F.regexp_replace(found, _TITLE, "")
-    titled = F.initcap(F.substring(surrogate, 3, 1000))
     return (
         F.when(kind == "email", F.when(found == F.upper(found), F.upper(surrogate)).otherwise(surrogate))
         .when(kind.isin("card", "ssn", "phone"), fill).when(kind == "iban", spaced)
-        .when(kind == "name", F.concat(F.regexp_extract(found, _TITLE, 0), F.when((plain == F.upper(plain)) & (F.length(plain) > 1), F.upper(titled)).otherwise(titled)))
+        .when(kind == "name", F.concat(F.regexp_extract(found, _TITLE, 0), _name_like(F.regexp_replace(found, _TITLE, ""), surrogate)))
         .when(kind == "secret", F.concat(F.regexp_extract(found, _SECRET_HEAD, 0), surrogate)).otherwise(surrogate)
     )
 
 
 def _entities(text: Column) -> Column:
+    """found, kind, normal and gender of every match; kind is null for what is left alone."""
     found = F.regexp_extract_all(text, F.lit(f"({ENTITY})"), F.lit(1))
     typed = F.transform(found, lambda m: F.struct(m.alias("found"), kind_of(m).alias("kind")))
-    return F.transform(typed, lambda e: F.struct(e["found"].alias("found"), e["kind"].alias("kind"), normal_of(e["kind"], e["found"]).alias("normal")))
+    return F.transform(typed, lambda e: F.struct(e["found"].alias("found"), e["kind"].alias("kind"), normal_of(e["kind"], e["found"]).alias("normal"), gender_of(e["kind"], e["found"]).alias("gender")))
 
 
 def draw_surrogates(docs: DataFrame, key: str, text_col: str = "text", max_redraws: int = 20) -> DataFrame:
-    """kind, normal, surrogate (normal form) and attempt of every distinct entity of the corpus, without collisions (staged).
+    """kind, normal, gender, surrogate (normal form), attempt and told of every distinct entity of the corpus (staged).
 
-    Of entities that share a surrogate all but the smallest normal form are drawn again, as are those drawn unchanged.
+    A name's gender is that of its titles in the whole corpus, 'n' if they differ or tell none; told is false where a title
+    somewhere tells something else. Of entities that share a surrogate all but the smallest normal form are drawn again, as are
+    those whose surrogate is a real entity of the corpus. Surrogates are then distinct, or an error is raised; where a format is so
+    full of real entities that max_redraws find no free place, the last draw stays if it is distinct.
     """
     text = F.col(text_col)
     hits = docs.where(text.rlike(ENTITY)).select(F.explode(_entities(text)).alias("e")).where("e.kind is not null")
-    distinct = hits.select("e.kind", "e.normal").distinct()
-    drawn = stage(distinct.select("kind", "normal", surrogate_of(key, F.col("kind"), F.col("normal"), F.lit(0)).alias("surrogate"), F.lit(0).alias("attempt")), "entities")
-    same = Window.partitionBy("kind", "surrogate").orderBy("normal")
-    for _ in range(max_redraws):
-        clash = (F.row_number().over(same) > 1) | (F.col("surrogate") == F.col("normal"))
-        judged = drawn.withColumn("clash", clash)
-        clashing = judged.where("clash").drop("clash")
+    man, woman, none = (F.max(F.col("e.gender") == g) for g in "mfn")
+    distinct = hits.groupBy("e.kind", "e.normal").agg(man.alias("m"), woman.alias("f"), none.alias("n"))
+    gender = F.when(F.col("m") & ~F.col("f"), "m").when(F.col("f") & ~F.col("m"), "f").otherwise("n")
+    distinct = distinct.select("kind", "normal", gender.alias("gender"), (F.col("m").cast("int") + F.col("f").cast("int") + F.col("n").cast("int") == 1).alias("told"))
+    drawn = stage(distinct.withColumn("attempt", F.lit(0)).withColumn("surrogate", surrogate_of(key, F.col("kind"), F.col("normal"), F.col("attempt"), F.col("gender"))), "entities")
+    real = drawn.select(F.col("kind").alias("k"), F.col("normal").alias("real"))
+    same = Window.partitionBy("kind", "surrogate").orderBy("attempt", "normal")
+    for turn in range(max_redraws + 1):
+        judged = drawn.withColumn("again", F.row_number().over(same) > 1)
+        judged = judged.join(real, (F.col("kind") == F.col("k")) & (F.col("surrogate") == F.col("real")), "left")
+        judged = judged.withColumn("taken", F.col("real").isNotNull()).drop("k", "real")
+        clashing = judged.where(F.col("again") | F.col("taken")) if turn < max_redraws else judged.where("again")
         if not clashing.limit(1).count():
             return drawn
+        if turn == max_redraws:
+            raise RuntimeError("surrogates still collide; use a longer key or more redraws")
         again = clashing.withColumn("attempt", F.col("attempt") + 1)
-        again = again.withColumn("surrogate", surrogate_of(key, F.col("kind"), F.col("normal"), F.col("attempt")))
-        drawn = stage(judged.where("not clash").drop("clash").unionByName(again), "entities")
-    raise RuntimeError("surrogates still collide; use a longer key or more redraws")
+        again = again.withColumn("surrogate", surrogate_of(key, F.col("kind"), F.col("normal"), F.col("attempt"), F.col("gender")))
+        drawn = stage(judged.where(~(F.col("again") | F.col("taken"))).unionByName(again).drop("again", "taken"), "entities")
+    return drawn
+
+
+def _repeats_of_names(text: Column, replaced: Column) -> Column:
+    """text with what it says again of its replaced names, without a title: whole names, then last words of three letters or
+    more, unless the text has that word in lower case, too, and so uses it as a common word. replaced: found and surrogate."""
+    plain = lambda e: F.regexp_replace(e["found"], _TITLE, "")
+    names = F.transform(replaced, lambda e: F.struct(plain(e).alias("w"), _name_like(plain(e), e["surrogate"]).alias("r")))
+    whole = F.filter(names, lambda p: p["w"].contains(" "))
+    last = F.transform(names, lambda p: F.struct(F.element_at(F.split(p["w"], " "), -1).alias("w"), F.element_at(F.split(p["r"], " "), -1).alias("r")))
+    before, after = r"(?<![\p{L}\p{N}_'’\-])", r"(?![\p{L}\p{N}_\-])"
+    common = lambda p: F.regexp_like(text, F.concat(F.lit(before), F.lower(p["w"]), F.lit(after)))
+    last = F.filter(last, lambda p: (F.length(p["w"]) >= 3) & ~common(p))
+    pairs = F.concat(F.reverse(F.array_sort(F.array_distinct(whole))), F.array_distinct(last))
+    return F.aggregate(pairs, text, lambda acc, p: F.regexp_replace(acc, F.concat(F.lit(before), p["w"], F.lit(after)), p["r"]))
 
 
 def replace_entities(docs: DataFrame, key: str = "corpus-surrogates", text_col: str = "text", count_col: str | None = "n_entities") -> DataFrame:
     """docs with every detected entity in text_col replaced by its surrogate, and their number in count_col.
 
-    Null text stays null and counts 0; texts without entities are returned as they are, byte by byte. All other columns pass
-    through. Repeated rows are replaced alike, as a surrogate depends on the key and the entity alone. An empty table gives an
-    empty result. A first pass finds the distinct entities; the second replaces them in place, without a join
-    unless more than LITERAL_REDRAWS of them had to be drawn again.
+    Names count where a title shows them; their repeats in the same text are replaced as well. Null text stays null and counts
+    0; texts without entities are returned as they are, byte by byte. All other columns pass through; if one is named like
+    count_col, the new one gets an underscore more. Repeated rows are replaced alike, as a surrogate depends on the key and the
+    corpus's entities alone. An empty table gives an empty result. A first pass finds the distinct entities; the second replaces
+    them in place. Entities drawn again, and names whose titles tell different genders, come to it as a literal table
+    if there are at most LITERAL_REDRAWS, else by a join.
     """
     drawn = draw_surrogates(docs, key, text_col)
-    redrawn = drawn.where("attempt > 0").select(F.concat_ws(":", "kind", "normal").alias("k"), "attempt")
-    known = redrawn.limit(LITERAL_REDRAWS + 1).collect()
+    special = drawn.where("attempt > 0 or not told").select(F.concat_ws(":", "kind", "normal").alias("k"), F.struct("attempt", "gender").alias("v"))
+    known = special.limit(LITERAL_REDRAWS + 1).collect()
     text, own = F.col(text_col), "__surrogate_row"
     if len(known) > LITERAL_REDRAWS:
         docs = stage(docs.withColumn(own, F.monotonically_increasing_id()), "surrogate-docs")
         uses = docs.where(text.rlike(ENTITY)).select(own, F.explode(_entities(text)).alias("e")).select(own, F.concat_ws(":", "e.kind", "e.normal").alias("k")).distinct()
-        maps = uses.join(redrawn, "k").groupBy(own).agg(F.map_from_entries(F.collect_list(F.struct("k", "attempt"))).alias("__attempts"))
+        maps = uses.join(special, "k").groupBy(own).agg(F.map_from_entries(F.collect_list(F.struct("k", "v"))).alias("__special"))
         docs = docs.join(maps, own, "left").drop(own)
-        attempt = lambda k: F.coalesce(F.try_element_at(F.col("__attempts"), k), F.lit(0))
+        of = lambda k: F.try_element_at(F.col("__special"), k)
     elif known:
-        table = F.create_map(*(F.lit(x) for r in known for x in (r["k"], r["attempt"])))
-        attempt = lambda k: F.coalesce(F.try_element_at(table, k), F.lit(0))
+        table = F.create_map(*(x for r in known for x in (F.lit(r["k"]), F.struct(F.lit(r["v"]["attempt"]).alias("attempt"), F.lit(r["v"]["gender"]).alias("gender")))))
+        of = lambda k: F.try_element_at(table, k)
     else:
-        attempt = lambda k: F.lit(0)
+        of = None
 
     def one(e: Column) -> Column:
-        s = surrogate_of(key, e["kind"], e["normal"], attempt(F.concat_ws(":", e["kind"], e["normal"])))
-        return F.when(e["kind"].isNull(), e["found"]).otherwise(_let(s, lambda x: _render(e["kind"], e["found"], x)))
+        if of is None:
+            s = surrogate_of(key, e["kind"], e["normal"], F.lit(0), e["gender"])
+        else:
+            s = _let(of(F.concat_ws(":", e["kind"], e["normal"])), lambda v: surrogate_of(key, e["kind"], e["normal"], F.coalesce(v["attempt"], F.lit(0)), F.coalesce(v["gender"], e["gender"])))
+        return F.struct(e["found"].alias("found"), e["kind"].alias("kind"), s.alias("surrogate"))
+
+    def swap(done: Column) -> Column:
+        shown = F.transform(done, lambda e: F.when(e["kind"].isNull(), e["found"]).otherwise(_render(e["kind"], e["found"], e["surrogate"])))
+        joined = F.array_join(F.zip_with(F.split(text, ENTITY, -1), shown, lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), "")
+        names = F.filter(done, lambda e: F.coalesce(e["kind"] == "name", F.lit(False)))
+        return F.when(F.size(names) == 0, joined).otherwise(_let(joined, lambda x: _repeats_of_names(x, names)))
 
-    between = F.split(text, ENTITY, -1)
-    swapped = F.array_join(F.zip_with(between, F.transform(_entities(text), one), lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), "")
     hit = text.rlike(ENTITY)
+    while count_col is not None and count_col in docs.columns:
+        count_col += "_"
     counted = docs if count_col is None else docs.withColumn(count_col, F.when(hit, F.size(F.filter(_entities(text), lambda e: e["kind"].isNotNull()))).otherwise(0))
-    return counted.withColumn(text_col, F.when(hit, swapped).otherwise(text)).drop("__attempts")
+    return counted.withColumn(text_col, F.when(hit, _let(F.transform(_entities(text), one), swap)).otherwise(text)).drop("__special")

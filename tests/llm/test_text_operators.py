@@ -174,6 +174,65 @@ def test_surrogates_stay_distinct(spark):
     assert P.draw_surrogates(docs.limit(0), "k").count() == 0
 
 
+def test_full_number_spaces_stay_distinct(spark):
+    rows = [(k, f"write {k:02d}@qq.com or {k // 10}.{k % 10}@qq.com", "s") for k in range(100)]
+    out = {r["doc_id"]: r["text"] for r in P.replace_entities(table(spark, rows), "k").collect()}
+    two, parted = zip(*(re.fullmatch(r"write (\d\d@\S+) or (\d\.\d@\S+)", out[k]).groups() for k in range(100)))
+    assert len(set(two)) == len(set(parted)) == 100 and not any("qq.com" in x for x in two + parted)
+
+
+def test_names_keep_their_references(spark):
+    rows = [
+        (1, "Mr. John Smith met Dr. John Smith. Smith said no. John Smith too, Smith's dog; Smithson stayed.", "s"), (2, "Prof. John Smith", "s"), (3, "John Smith without a title", "s"),
+        (4, "Mrs. Ann Will said they will and Will went", "s"), (5, "Mr. Alex Roe and Ms. Alex Roe", "s"),
+    ]
+    out = {r["doc_id"]: r["text"] for r in P.replace_entities(table(spark, rows), "k").collect()}
+    first, last = re.match(r"Mr\. (\w+) (\w+) met", out[1]).groups()
+    assert out[1] == f"Mr. {first} {last} met Dr. {first} {last}. {last} said no. {first} {last} too, {last}'s dog; Smithson stayed." and first.endswith("n")
+    assert out[2] == f"Prof. {first} {last}" and out[3] == rows[2][1]
+    assert out[4].endswith(" said they will and Will went") and "Ann" not in out[4]
+    man, woman = re.fullmatch(r"Mr\. (\w+ \w+) and Ms\. (\w+ \w+)", out[5]).groups()
+    assert man == woman != "Alex Roe"
+
+
+def numbers(text):
+    return set(re.findall(r"\b\d{3}-\d{2}-\d{4}\b|\(\d{3}\) 555-\d{4}|\S+@\S+|M[rs]s?\. \w+ \w+", text))
+
+
+@pytest.mark.parametrize("literal", [P.LITERAL_REDRAWS, 0])
+def test_surrogates_against_brute_force(spark, monkeypatch, literal):
+    """One surrogate an entity, one entity a surrogate, and no surrogate that is a real entity, whichever way redraws come in."""
+    monkeypatch.setattr(P, "LITERAL_REDRAWS", literal)
+    r = random.Random(8)
+    whole = [f"(200) 555-{k:04d}" for k in range(0, 10000, 3)]
+    people = [f"{t} {a} {b}" for t in ("Mr.", "Mrs.") for a in ("Ann", "Bob", "Kim") for b in ("Lee", "Ray")]
+    entities = whole + [f"{r.randrange(1000):03d}-{r.randrange(100):02d}-{r.randrange(10000):04d}" for _ in range(500)] + [f"{k}@a.org" for k in range(300)] + people
+    rows = [(k, f"x {a} and {r.choice(entities)} or {a}", "s") for k, a in enumerate(entities)]
+    out = {x["doc_id"]: x for x in P.replace_entities(table(spark, rows), "k").collect()}
+    pattern = r"x (.+) and (.+) or (.+)"
+    to, back = {}, {}
+    plain = lambda e: re.sub(r"^M\w+\. ", "", e)
+    for k, t, _ in rows:
+        for a, b in zip(re.fullmatch(pattern, t).groups(), re.fullmatch(pattern, out[k]["text"]).groups(), strict=True):
+            assert to.setdefault(plain(a), plain(b)) == plain(b) and back.setdefault(plain(b), plain(a)) == plain(a)
+        assert out[k]["n_entities"] == 3
+    real = {plain(e) for e in entities}
+    assert set(to) == real and not real & set(back)
+    monkeypatch.setattr(P, "LITERAL_REDRAWS", 10_000 - literal)
+    assert {x["doc_id"]: x["text"] for x in P.replace_entities(table(spark, rows), "k").collect()} == {k: x["text"] for k, x in out.items()}
+
+
+def test_surrogates_of_odd_tables(spark):
+    docs = table(spark, [*ODD, (8, "a@b.org " * 5000, "a"), (None, "a@b.org", None)]).withColumn("n_entities", P.F.lit("mine"))
+    out = P.replace_entities(docs, "k")
+    assert out.columns == [*docs.columns, "n_entities_"] and out.where("n_entities <> 'mine'").count() == 0
+    rows = out.collect()
+    assert len(rows) == len(ODD) + 2 and {r["n_entities_"] for r in rows} == {0, 1, 5000}
+    long = next(r["text"] for r in rows if r["n_entities_"] == 5000)
+    assert {x for x in long.split()} == {next(r["text"] for r in rows if r["doc_id"] is None)}
+    assert P.replace_entities(docs.limit(0), "k").count() == 0
+
+
 def test_water_fill():
     assert M.water_fill([10, 10, 10], [5, 2, 1], 45) == pytest.approx([20, 50 / 3, 25 / 3])
     assert M.water_fill([0, 4], [5, 2], 6) == pytest.approx([0, 6])
