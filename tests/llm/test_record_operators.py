@@ -6,6 +6,7 @@ import importlib
 import json
 import random
 import sys
+import time
 import zlib
 
 import numpy as np
@@ -200,6 +201,53 @@ def test_main_text():
     assert H.main_text("<p>open <b>bold") == "open bold" and H.main_text("<article>x</article><!-- never closed") == "x"
 
 
+@pytest.mark.parametrize(
+    "page,text",
+    [
+        ("<article class='post tag-social'><p>x y</p></article>", "x y"), ("<div class='no-sidebar'><p>x y</p></div>", "x y"), ("<div class='content search-engine-guide'><p>x y</p></div>", "x y"),
+        ("<article><p>a</p><p class='share-price'>b</p><p class='ad'>c</p></article>", "a\n\nb"), ("<div class='sidebar'><article>x</article></div>", "x"), ("<body class='sidebar'><p>x</p></body>", "x"),
+        ("<p>a</p><div class='user-comments'>c</div><div id=AdSlot3>c</div><div class='cookie-notice bottom'>c</div><ul class='related posts'><li>c</ul>", "a"),
+        ("<p>1 < 2, 3 <b and no end", "1 < 2, 3 <b and no end"), ("<p title=\"a>b\">x</p><p title='never closed>y</p>", "x\n\ny"), ("</3 <p>x</p>", "x"),
+    ],
+)
+def test_names_of_parts_and_odd_tags(page, text):
+    assert H.main_text(page) == text
+
+
+@pytest.mark.parametrize("page", ["<a " * 300_000, '<a "' * 250_000, "<a '\">" * 150_000, "<script>" + "</script " * 100_000, "<p><button>" + "<i>" * 50_000 + "<hr>" * 50_000, "<a " + 'x = "' * 100_001 + ">", "<!--" * 200_000])
+def test_hostile_pages_take_linear_time(page):
+    start = time.perf_counter()
+    H.main_text(page)
+    assert time.perf_counter() - start < 20
+
+
+def template_texts(rows):
+    """Texts by a plain count: subtrees of a host that stand beside enough different contents."""
+    parsed = [(i, u and u.split("/")[2], H.parse(h or "")) for i, u, h in rows]
+    beside, contents = {}, {}
+    for _, host, (root, subtrees) in parsed:
+        text = "|".join(H.blocks(root))
+        contents.setdefault(host, set()).add(text)
+        for x in subtrees:
+            if not x.main:
+                beside.setdefault((host, x.mark), set()).add(text)
+    often = {k for k, v in beside.items() if len(v) >= 5 and (len(v) >= 50 or 10 * len(v) >= len(contents[k[0]]))}
+    return {i: "\n\n".join(H.blocks(root, frozenset(x.mark for x in subtrees if (host, x.mark) in often))) for i, host, (root, subtrees) in parsed}
+
+
+@pytest.mark.parametrize("marks,broadcast", [(512, 1 << 25), (512, 1), (1, 1 << 25)])
+def test_templates_against_brute_force(spark, monkeypatch, marks, broadcast):
+    monkeypatch.setattr(H, "LIST_MARKS", marks)
+    monkeypatch.setattr(H, "BROADCAST_BYTES", broadcast)
+    rows = [(k, f"http://h{k % 3}.org/{k}", f"<div>Menu of {k % 3}</div><div><p>{words(12, k)}</p></div><div>Section {k % 7}</div><ul><li>More {k % 20}</ul>") for k in range(240)]
+    rows += [(1000 + k, "http://big.org/", f"<div>{words(9, k)}</div><div>Notice {k % 11}</div>") for k in range(700)] + [(5000, None, None), (5001, "http://h1.org/", "<div>Menu of 1</div>")] + [(1, "http://h1.org/1", "<p>again")]
+    df = spark.createDataFrame([(*r, 1, "q") for r in rows], "page_id long, url string, html string, row int, marks string")
+    got = sorted((r["page_id"], r["text"], r["n_chars"]) for r in H.extract_pages(df.repartition(4)).collect())
+    want = template_texts([r for r in rows if r[0] != 1 or r[2] != "<p>again"] )
+    assert got == sorted([(i, t, len(t)) for i, t in want.items()] + [(1, "again", 5)])
+    assert "Menu" not in "".join(want.values()) and "Notice" not in "".join(want.values())
+
+
 def test_site_templates_go_and_copied_articles_stay(spark):
     rows = [(k, f"http://h.org/{k}", page(k, words(30, k))) for k in range(20)]
     rows += [(100 + k, "http://h.org/c", page(5, "copied article " * 5)) for k in range(20)]
