@@ -20,7 +20,7 @@ from simweave.plans.staging import broadcast_if_small, stage
 
 #: Fixed source weights, repeating over the sources in code point order (null last), and the mix's size.
 WEIGHTS, SHARE, REPEATS = (5, 2, 1), 1.5, 2
-#: Most sources that the driver's catalogue holds; more raise an error.
+#: Most sources that the driver's catalogue holds, with a few numbers for each and for each of its shards; more raise an error.
 MAX_SOURCES = 100_000
 #: Every index permutation has this many rounds.
 ROUNDS = 4
@@ -249,12 +249,17 @@ def repeat_by_mix(docs: DataFrame, seed: int = 23, **options) -> DataFrame:
     return joined.withColumn("__use", F.explode(F.sequence(F.lit(1), F.col("__uses")))).drop("__use", "__uses")
 
 
-def mixed_blocks(docs: DataFrame, id_col="doc_id", text_col="text", **options) -> DataFrame:
-    """The mix itself: shard, place, source_index, block and words (array of at most block words), one row per slot."""
-    mix = plan_mix(docs, id_col=id_col, text_col=text_col, **options)
-    ids = F.struct(F.col("low").alias("low"), F.slice(F.col("w"), (F.col("low") + F.col("block") * mix.block - F.col("start") + 1).cast("int"), (F.col("high") - F.col("low")).cast("int")).alias("w"))
-    texts = docs.select(F.col(id_col).alias("doc_id"), F.split(F.btrim(F.coalesce(F.col(text_col), F.lit("")), F.lit(" \t\n\x0b\x0c\r")), "[\\x20\\x09-\\x0D]+", -1).alias("w")).dropDuplicates(["doc_id"])
-    blocks = _pieces(mix).join(texts, "doc_id").groupBy("source_index", "block").agg(F.sort_array(F.collect_list(ids)).alias("p"))
+def mixed_blocks(docs: DataFrame, id_col="doc_id", text_col="text", source_col="source", **options) -> DataFrame:
+    """The mix itself: shard, place, source_index, block and words (array of at most block words), one row per slot.
+
+    Rows that repeat an id are documents of their own, as in mix_documents().
+    """
+    own = "__mix_row"
+    rows = stage(docs.select(*dict.fromkeys((id_col, text_col, source_col))).withColumn(own, F.monotonically_increasing_id()), "mix-rows")
+    mix = plan_mix(rows, id_col=id_col, text_col=text_col, source_col=source_col, row_col=own, **options)
+    part = F.slice("w", (F.col("low") + F.col("block") * mix.block - F.col("start") + 1).cast("int"), (F.col("high") - F.col("low")).cast("int"))
+    texts = rows.select(F.col(own).alias("row"), F.split(F.btrim(F.coalesce(F.col(text_col), F.lit("")), F.lit(" \t\n\x0b\x0c\r")), "[\\x20\\x09-\\x0D]+", -1).alias("w"))
+    blocks = _pieces(mix).join(texts, "row").groupBy("source_index", "block").agg(F.sort_array(F.collect_list(F.struct("low", part.alias("w")))).alias("p"))
     blocks = blocks.select("source_index", "block", F.flatten(F.transform("p", lambda x: x["w"])).alias("words"))
     return mix.slots.join(blocks, ["source_index", "block"]).select(
         "shard", "place", "source_index", "block", F.slice("words", 1, F.col("take").cast("int")).alias("words")
