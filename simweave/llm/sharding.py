@@ -10,25 +10,27 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from simweave.plans.staging import broadcast_if_small, stage
 
-#: Keys drawn in a round; a constant, so the driver holds as many at any input size.
-SAMPLE = 8192
+#: Rows that a range is made for, and keys drawn for each range: the driver holds 16 keys for 100,000 rows.
+RANGE_ROWS, DRAWN = 100_000, 16
+
+
+def _drawn(keyed: DataFrame, weight: Column, expected: int, seed: int) -> DataFrame:
+    """Rows drawn with a chance of expected times their weight, by a keyed hash: no sort, and the same rows in a rerun."""
+    uniform = F.pmod(F.xxhash64("hash", "id", F.lit(seed)), F.lit(1 << 52)) / F.lit(float(1 << 52))
+    return keyed.where(uniform < F.lit(float(expected)) * weight)
 
 
 def _splitters(keyed: DataFrame, n_ranges: int, totals: tuple[int, int], seed: int) -> list[tuple[int, int]]:
     """n_ranges - 1 key boundaries at even steps of a sample weighted by size and, in equal part, by row."""
     size, rows = totals
-    weight = F.col("size") / F.lit(float(size)) + F.lit(1.0 / rows)
-    uniform = (F.pmod(F.xxhash64("hash", "id", F.lit(seed)), F.lit(1 << 52)) + 1) / F.lit(float((1 << 52) + 1))
-    drawn = (
-        keyed.select("hash", "id", (-F.log(uniform) / weight).alias("draw"))
-        .orderBy("draw", "hash", "id").limit(SAMPLE).select("hash", "id").collect()
-    )
+    weight = (F.col("size") / F.lit(float(size)) + F.lit(1.0 / rows)) / 2
+    drawn = _drawn(keyed, weight, DRAWN * n_ranges, seed).select("hash", "id").collect()
     keys = sorted({(r["hash"], r["id"]) for r in drawn})
     return [keys[len(keys) * k // n_ranges] for k in range(1, n_ranges) if len(keys) * k // n_ranges > 0] if keys else []
 
@@ -59,26 +61,28 @@ def _with_range(keyed: DataFrame, cuts: list[tuple[int, int]], name: str) -> Dat
 
 
 def shard_by_splitters(
-    keyed: DataFrame, n_shards: int = 8, ranges_per_shard: int = 64, tolerance: float = 0.001, rounds: int = 4, seed: int = 17
+    keyed: DataFrame, n_shards: int = 8, ranges_per_shard: int = 64, tolerance: float = 0.001, rounds: int = 4, seed: int = 17, carry: tuple[str, ...] = ()
 ) -> DataFrame:
     """Deal records into n_shards key ranges of nearly equal bytes.
 
-    keyed: hash (long, the leading key; equal contents share it), id (long, breaks ties), size (long).
+    keyed: hash (long, the leading key; equal contents share it), id (long, breaks ties), size (long) and the columns to carry.
     Other columns are dropped, null sizes count as 0 and null keys as 0; repeated rows stay repeated. Returns
-    hash, id, size, shard (int), slot (long, gapless from 0 in each shard, by key). Empty input: empty result.
+    hash, id, size, the carried columns, shard (int), slot (long, gapless from 0 in each shard, by key). Empty input: empty result.
 
     Equal contents stay together, unless their group straddles a byte boundary: the bytes law then cuts
     it by id, so a group with a third of all rows is spread. A boundary that falls inside a range is pushed to
-    a splitter within tolerance times a shard's bytes, by sampling anew inside that range.
+    a splitter within tolerance times a shard's bytes, by sampling anew inside that range; ranges with four times the rows
+    they were made for are subdivided the same way.
     """
     keyed = stage(
-        keyed.select(*(F.coalesce(F.col(c), F.lit(0)).cast("long").alias(c) for c in ("hash", "id", "size"))), "shard-keys"
+        keyed.select(*(F.coalesce(F.col(c), F.lit(0)).cast("long").alias(c) for c in ("hash", "id", "size")), *carry), "shard-keys"
     )
     rows, size = keyed.agg(F.count(F.lit(1)), F.coalesce(F.sum("size"), F.lit(0))).first()
     if rows == 0:
         return keyed.select("*", F.lit(0).alias("shard"), F.lit(0).cast("long").alias("slot"))
+    n_ranges = max(n_shards * ranges_per_shard, -(-rows // RANGE_ROWS))
     even = np.array([size * k / n_shards for k in range(1, n_shards)])
-    cuts = sorted(set(_splitters(keyed, n_shards * ranges_per_shard, (max(size, 1), rows), seed)))
+    cuts = sorted(set(_splitters(keyed, n_ranges, (max(size, 1), rows), seed)))
     for turn in range(1, rounds + 1):
         placed = _with_range(keyed, cuts, "range")
         stats = {r["range"]: (r["bytes"], r["n"]) for r in placed.groupBy("range").agg(F.sum("size").alias("bytes"), F.count(F.lit(1)).alias("n")).collect()}
@@ -89,25 +93,13 @@ def shard_by_splitters(
             start = ends[k - 1] if k else 0
             if min(abs(ends[k] - e), abs(e - start)) > tolerance * size / n_shards and stats[k][1] > 1:
                 loose.add(k)
-        overfull = 4 * max(rows / (n_shards * ranges_per_shard), 1)
-        split = loose | {k for k, (_, n) in stats.items() if n > max(overfull, 50)}
+        split = loose | {k for k, (_, n) in stats.items() if n > max(4 * rows / n_ranges, 50)}
         if not split or turn == rounds:
             break
-        more = set()
-        inside = placed.where(F.col("range").isin(sorted(split)))
-        drawn = inside.select("hash", "id", "range", "size")
-        per = Window.partitionBy("range", "part").orderBy("draw", "hash", "id")
-        totals = F.broadcast(
-            keyed.sparkSession.createDataFrame([(k, float(max(stats[k][0], 1)), float(stats[k][1])) for k in sorted(split)], "range int, b double, n double")
-        )
-        uniform = (F.pmod(F.xxhash64("hash", "id", F.lit(seed + turn)), F.lit(1 << 52)) + 1) / F.lit(float((1 << 52) + 1))
-        drawn = (
-            drawn.join(totals, "range")
-            .withColumn("draw", -F.log(uniform) / (F.col("size") / F.col("b") + 1 / F.col("n")))
-            .withColumn("part", F.pmod(F.xxhash64("id", F.lit(turn)), F.lit(16)))
-            .withColumn("turn", F.row_number().over(per)).where("turn <= 16").select("range", "hash", "id").collect()
-        )
-        more = {(r["hash"], r["id"]) for r in drawn}
+        totals = keyed.sparkSession.createDataFrame([(k, float(max(stats[k][0], 1)), float(stats[k][1])) for k in sorted(split)], "range int, b double, n double")
+        inside = placed.select("hash", "id", "range", "size").join(F.broadcast(totals), "range")
+        weight = (F.col("size") / F.col("b") + 1 / F.col("n")) / 2
+        more = {(r["hash"], r["id"]) for r in _drawn(inside, weight, DRAWN * DRAWN, seed + turn).select("hash", "id").collect()}
         cuts = sorted(set(cuts) | more)
     shard_of = np.minimum(np.searchsorted(even, ends - 0.5 * np.diff(np.concatenate([[0], ends])), "right"), n_shards - 1)
     starts, seen = [], dict.fromkeys(range(n_shards), 0)
@@ -119,7 +111,7 @@ def shard_by_splitters(
     order = Window.partitionBy("range").orderBy("hash", "id", "size")
     return (
         placed.withColumn("__place", F.row_number().over(order)).join(F.broadcast(ranges), "range")
-        .select("hash", "id", "size", "shard", (F.col("first") + F.col("__place") - 1).alias("slot"))
+        .select("hash", "id", "size", *carry, "shard", (F.col("first") + F.col("__place") - 1).alias("slot"))
     )
 
 
@@ -127,22 +119,16 @@ def shard_documents(docs: DataFrame, n_shards: int = 8, id_col: str = "doc_id",
     """Shards of whole documents by the bytes law: size is the text's UTF-8 bytes plus 1, null text counts none.
 
     Returns doc_id, size, text_crc32 (unsigned, 0 for null or empty text), law, shard, slot and grown_shard (null
-    under this law). Only the id and the text are read, so further columns of any name are harmless. Null ids count as 0.
+    under this law). Only the id and the text are read, so further columns of any name are harmless. Null ids stay null.
     """
-    slim = stage(
-        docs.select(
-            F.coalesce(F.col(id_col), F.lit(0)).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("t")
-        ).select(
-            "id", F.xxhash64("t").alias("hash"), (F.octet_length("t") + F.lit(1)).cast("long").alias("size"), F.crc32(F.col("t").cast("binary")).alias("crc")
-        ),
-        "shard-input",
+    slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("t"))
+    slim = slim.select(
+        F.col("doc_id").alias("id"), "doc_id", F.xxhash64("t").alias("hash"), (F.octet_length("t") + F.lit(1)).cast("long").alias("size"), F.crc32(F.col("t").cast("binary")).alias("crc")
+    )
+    dealt = shard_by_splitters(slim, n_shards, carry=("doc_id", "crc"), **options)
+    return dealt.select(
+        "doc_id", "size", F.col("crc").cast("long").alias("text_crc32"), F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard")
     )
-    dealt = shard_by_splitters(slim, n_shards, **options)
-    crcs = slim.groupBy("hash", "id").agg(F.first("crc").alias("crc"))
-    return dealt.join(crcs, ["hash", "id"]).select(
-        F.col("id").alias("doc_id"), "size", F.col("crc").cast("long").alias("text_crc32"), F.lit("bytes").alias("law"), "shard", "slot",
-        F.lit(None).cast("int").alias("grown_shard"),
-    )
 
 
 def write_shards(docs: DataFrame, dealt: DataFrame, path: str, id_col: str = "doc_id") -> None:
