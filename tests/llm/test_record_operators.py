@@ -51,6 +51,27 @@ def test_warc_round_trip(spark, request):
     assert W.archive_round_trip(df.limit(0), f"{shared_dir(spark)}/t-empty").count() == 0
 
 
+def test_warc_repeated_rows_and_sizes(spark, request, monkeypatch):
+    """Every row is a capture; files hold a bounded number of bytes."""
+    monkeypatch.setattr(W, "FILE_BYTES", 6000)
+    monkeypatch.setattr(W, "SIZES", (100, 1000, 5000))
+    pages = [(1, "a", "one"), (1, "b", "one"), (1, "a", "one"), (2, "c", "one"), (None, "d", "two"), (None, "d", "two"), (3, "e", "two"), (4, "f", "one more")]
+    pages += [(10 + k, "g", "x" * (17 * k * k % 9000)) for k in range(60)] + [(None, None, None)]
+    df = spark.createDataFrame([(*p, "q", 2) for p in pages], "page_id long, url string, html string, uri string, copy int")
+    path = f"{shared_dir(spark)}/t-{request.node.name}"
+    got = sorted(((r["page_id"], r["uri"], r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"]) for r in W.archive_round_trip(df, path).collect()), key=repr)
+    want = []
+    for i, u, h in pages:
+        body = (h or "").encode()
+        most = max((j for j, _, x in pages if (x or "") == (h or "") and j is not None), default=None)
+        twins = {j for j, _, x in pages if (x or "") == (h or "")}
+        revisit = len(twins) > 1 and i != most
+        want.append((i, u or "", len(body), base64.b32encode(hashlib.sha1(body).digest()).decode(), "revisit" if revisit else "response", most if revisit else None))
+    assert got == sorted(want, key=repr)
+    sizes = [r["length"] for r in spark.read.format("binaryFile").option("recursiveFileLookup", "true").load(path).select("length").collect()]
+    assert len(sizes) > 10 and max(sizes) < 12_000 + 60 * 1500
+
+
 def test_captures_join_over_a_record_between(spark):
     rows = [("r1", "response", None), ("q1", "request", "r1"), ("m1", "metadata", "q1"), ("q2", "request", "gone")]
     out = W.assemble_captures(spark.createDataFrame(rows, "record_id string, record_type string, concurrent_to string")).collect()
@@ -278,6 +299,33 @@ def test_shards(spark):
     assert len(sizes) == 8 and max(sizes) < 1.05 * min(sizes)
 
 
+@pytest.mark.parametrize("range_rows", [100_000, 40])
+def test_shards_against_a_sort(spark, monkeypatch, range_rows):
+    """Shards are consecutive parts of all rows in key order, cut where the running bytes pass even steps; null ids and repeats stay."""
+    monkeypatch.setattr(D, "RANGE_ROWS", range_rows)
+    r = random.Random(2)
+    rows = [(k, words(r.randrange(60), k)) for k in range(3000)] + [(k, "hot text") for k in range(5000, 7000)] + [(None, "hot text")] * 3 + [(None, None), (1, None), (1, None), (2, words(8000, 1))]
+    df = spark.createDataFrame([(*x, "q", 3) for x in rows], "doc_id long, text string, range string, crc int").repartition(5)
+    out = D.shard_documents(df, ranges_per_shard=8).collect()
+    assert sorted(((x["doc_id"], x["size"], x["text_crc32"]) for x in out), key=repr) == sorted(((i, len((t or "").encode()) + 1, zlib.crc32((t or "").encode())) for i, t in rows), key=repr)
+    keys = {(x["doc_id"], x["text"]): x["h"] for x in df.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("h")).distinct().collect()}
+    crc_key = {zlib.crc32((t or "").encode()): h for (_, t), h in keys.items()}
+    out.sort(key=lambda x: (x["shard"], x["slot"]))
+    order = [(crc_key[x["text_crc32"]], x["doc_id"] or 0) for x in out]
+    assert order == sorted(order)
+    total, sizes = sum(x["size"] for x in out), {}
+    for x in out:
+        own = sizes.setdefault(x["shard"], [0, 0])
+        assert x["slot"] == own[1]
+        own[0] += x["size"]
+        own[1] += 1
+    end = 0
+    for k in range(7):
+        end += sizes[k][0]
+        assert abs(end - total * (k + 1) / 8) <= max(0.001 * total / 8, max(x["size"] for x in out))
+    assert sorted(map(tuple, D.shard_documents(df, ranges_per_shard=8).collect()), key=repr) == sorted(map(tuple, out), key=repr)
+
+
 def test_pipeline_stages_follow_each_other(spark):
     import corpus_pipeline as C
     from simweave.llm import minhash_dedup as N

@@ -264,6 +264,41 @@ def test_mix_meets_targets(spark):
     assert max(len(r["words"]) for r in blocks) == 16 and len({(r["shard"], r["place"]) for r in blocks}) == len(blocks)
 
 
+def test_mix_against_brute_force(spark):
+    """Words that are all different, counted in the blocks of the mix itself: what mix_documents says, source by source."""
+    sizes = [(7 + 31 * k * k) % 97 for k in range(200)] + [900, 0, 3000]
+    rows = [(k % 150, " ".join(f"d{k}w{i}" for i in range(n)) or None, ["a", "b", None, "é"][k % 4] if k < 200 else "hot") for k, n in enumerate(sizes)]
+    docs = table(spark, rows)
+    blocks = [r.asDict() for r in M.mixed_blocks(docs, block=16, n_shards=8).collect()]
+    used = {}
+    for b in blocks:
+        assert len(b["words"]) <= 16
+        for w in b["words"]:
+            used[w] = used.get(w, 0) + 1
+    per_row = [sum(used.get(f"d{k}w{i}", 0) for i in range(n)) for k, n in enumerate(sizes)]
+    got = M.mix_documents(docs, block=16, n_shards=8).collect()
+    assert sorted((r["doc_id"], r["size"], r["taken"]) for r in got) == sorted((rows[k][0], n, per_row[k]) for k, n in enumerate(sizes))
+    assert max(used.values()) <= 2 and len({(b["shard"], b["place"]) for b in blocks}) == len(blocks)
+    total, names = {}, ["a", "b", "hot", "é", None]
+    for (_, _, source), n in zip(rows, sizes):
+        total[source] = total.get(source, 0) + n
+    weight = dict(zip(names, [5, 2, 1, 5, 2]))
+    full, left = {}, dict(weight)
+    while True:
+        free = 1.5 * sum(total.values()) - sum(full.values())
+        over = [x for x in left if left[x] * free / sum(left.values()) > 2 * total[x]]
+        if not over:
+            break
+        for x in over:
+            full[x] = 2.0 * total[x]
+            del left[x]
+    target = {x: full.get(x, weight[x] * free / sum(left.values()) if x in left else 0) for x in names}
+    for x in names:
+        own = [k for k, r in enumerate(rows) if r[2] == x]
+        assert abs(sum(per_row[k] for k in own) - target[x]) <= 1
+        assert {round(r["target"], 6) for r in got if r["source"] == x} == {round(target[x], 6)}
+
+
 def brute_removed(texts, length):
     bodies = [(t or "").encode() for t in texts]
     count = {}
