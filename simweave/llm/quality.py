@@ -84,7 +84,10 @@ def host_rates(measured: DataFrame) -> DataFrame:
     """
     hosts = measured.groupBy("host").agg(F.count(F.lit(1)).alias("n_docs"), F.sum(F.col("base_failed").cast("long")).alias("n_failed"))
     hosts = hosts.withColumn("rate", F.col("n_failed") / F.col("n_docs"))
-    prior = hosts.agg(F.avg("rate").alias("mean"), F.var_pop("rate").alias("spread"))
+    # decimal sums, so that the prior does not depend on the order of hosts
+    exact = F.col("rate").cast("decimal(14,12)")
+    sums = hosts.agg(F.sum(exact).cast("double").alias("s"), F.sum((exact * exact).cast("decimal(25,24)")).cast("double").alias("q"), F.count(F.lit(1)).alias("k"))
+    prior = sums.select((F.col("s") / F.col("k")).alias("mean"), (F.col("q") / F.col("k") - F.pow(F.col("s") / F.col("k"), F.lit(2.0))).alias("spread"))
     strength = F.when(F.col("spread") > 0, F.greatest(F.least(F.col("mean") * (1 - F.col("mean")) / F.col("spread") - 1, F.lit(1e6)), F.lit(1.0))).otherwise(F.lit(1e6))
     prior = prior.select("mean", strength.alias("strength"))
     return hosts.join(F.broadcast(prior)).select(
@@ -113,7 +116,7 @@ def keep_good_documents(docs: DataFrame, host_rate: float = HOST_RATE, id_col="d
     Rows are staged together with their verdict, so no join by id moves the texts; host verdicts are joined to them.
     """
     own = "__base_failed"
-    measured = measure_documents(docs.select("*", F.struct("*").alias("__row")), id_col, text_col, host_col, carry="__row")
+    measured = measure_documents(docs.select(F.struct("*").alias("__row")), f"__row.{id_col}", f"__row.{text_col}", f"__row.{host_col}", carry="__row")
     rows = stage(measured.select("__row", F.col("host").alias("__host"), F.col("base_failed").alias(own)), "judged-rows")
     rates = host_rates(rows.select(F.col("__host").alias("host"), F.col(own).alias("base_failed")))
     bad = stage(rates.where(F.col("shrunk_rate") > host_rate).select(F.col("host").alias("__bad")), "bad-hosts")
