@@ -17,6 +17,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from simweave.operators.components import connected_components
 from simweave.plans.staging import broadcast_if_small, stage
@@ -26,12 +27,14 @@ WORDS, SIMILARITY = 5, 0.75
 BANDS, ROWS = 50, 5
 BINS = BANDS * ROWS
 #: Bits of the sketch, and the fewest that agree for a pair at 0.75 (expected 112 of 128, 7.2 deviations lower: fewer than one
-#: such pair in a billion is ruled out).
+#: such pair in a billion is ruled out). Sets of fewer shingles than bits are not judged by it, as their bins share hashes.
 SKETCH_BITS, LEAST_AGREE = 128, 85
 #: Words of a parity bitmap over a document's shingles. Bits that differ are at most the shingles that differ, so
 #: more than a seventh of both sizes (at 0.75) rules a pair out, without any error.
 PARITY_WORDS = 16
 PARITY = [f"x{k}" for k in range(PARITY_WORDS)]
+#: Members of a bucket that meet in one task; larger buckets are cut into blocks that meet pairwise.
+BLOCK = 2048
 #: Entries of a task's table of word hashes.
 WORD_TABLE = 1 << 20
 
@@ -200,11 +203,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """doc_id, n_shingles, component_id (smallest doc_id reachable by links) and kept (doc_id = component_id) of each document.
 
     A link is a pair with Jaccard similarity of at least similarity on 5-word shingles. Documents without a word are linked with
-    nothing. Rows with a null id are left out; of rows that repeat an id, one is taken. Equal sets are first collapsed, so a
-    group of copies is one entry; no bucket is capped. An empty table gives an empty result. Other columns are not read.
+    nothing. Rows with a null id are left out; of rows that repeat an id, the one with the smallest text is taken. Equal sets are
+    first collapsed, so a group of copies is one entry; no bucket is capped. An empty table gives an empty result. Other columns
+    are not read.
     """
     percent = round(100 * similarity)
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).where("doc_id is not null")
+    if _has_repeated_ids(slim, "doc_id"):
+        slim = stage(slim.groupBy("doc_id").agg(F.min("text").alias("text")), "single-texts")
     signed = stage(sign_documents(slim, "doc_id", "text", bands, rows), "signed")
     twins = signed.where("n_shingles > 0").groupBy("set_a", "set_b", "n_shingles").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n"))
     twins = stage(twins, "set-twins")
@@ -234,7 +240,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         rest = stage(rest.join(pairs.union(best), ["a", "b"], "left_anti"), "rest-pairs")
         links = links.unionByName(confirm(slim, rest, similarity))
     classes = connected_components(links.unionByName(copies))
-    found = signed.select("doc_id", "n_shingles").dropDuplicates(["doc_id"]).join(classes, F.col("doc_id") == F.col("node"), "left")
+    found = signed.select("doc_id", "n_shingles").join(classes, F.col("doc_id") == F.col("node"), "left")
     found = found.select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
     return found.withColumn("kept", F.col("doc_id") == F.col("component_id"))
 
@@ -256,7 +262,7 @@ def _differ() -> Column:
 
 def _could_link(percent: int) -> Column:
     agree = F.lit(SKETCH_BITS) - F.bit_count(F.col("pa").bitwiseXOR(F.col("pb"))) - F.bit_count(F.col("qa").bitwiseXOR(F.col("qb")))
-    alike = (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (agree >= LEAST_AGREE)
+    alike = (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & ((agree >= LEAST_AGREE) | (F.least("na", "nb") < SKETCH_BITS))
     return alike & ((100 + percent) * _differ() <= (100 - percent) * (F.col("na") + F.col("nb")))
 
 
@@ -274,20 +280,33 @@ def _mixed_buckets(crowded: DataFrame, sizes: DataFrame, parts: DataFrame) -> Da
 def _apart(inside: DataFrame, percent: int) -> DataFrame:
     """Pairs of one bucket but of two components that could link: members outside the component of the bucket's head meet all others.
 
-    The tests sit in the join condition, so other pairs are never rows.
+    The tests sit in the join condition, so other pairs are never rows. In a bucket of more than BLOCK members, blocks of the ones
+    meet blocks of the others in groups of their own.
     """
-    minor = _side(inside.where("c <> main"), "b", "key", F.col("c").alias("cb"))
-    every = _side(inside, "a", "key", F.col("main").alias("ma"), F.col("c").alias("ca"))
+    cuts = inside.groupBy("key").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"), F.ceil(F.count_if(F.col("c") != F.col("main")) / BLOCK).cast("int").alias("minor_blocks"))
+    cuts = stage(cuts.where("blocks > 1"), "bucket-cuts")
+    cut = inside.join(broadcast_if_small(cuts, 24), "key", "left").withColumn("h", F.xxhash64("doc_id"))
+    blocks, minor_blocks = F.coalesce("blocks", F.lit(1)), F.coalesce("minor_blocks", F.lit(1))
+    place, other = lambda n: F.pmod("h", n).cast("int"), lambda n: F.explode(F.sequence(F.lit(0), n - 1))
+    minor = _side(cut.where("c <> main").withColumn("i", other(blocks)), "b", "key", "i", place(minor_blocks).alias("j"), F.col("c").alias("cb"))
+    every = _side(cut.withColumn("j", other(F.greatest(minor_blocks, F.lit(1)))), "a", "key", place(blocks).alias("i"), "j", F.col("main").alias("ma"), F.col("c").alias("ca"))
     apart = (F.col("ca") != F.col("cb")) & ((F.col("ca") == F.col("ma")) | (F.col("a") < F.col("b")))
-    return every.join(minor, (every["key"] == minor["key"]) & apart & _could_link(percent)).select("a", "b", _differ().alias("differ"))
+    return every.join(minor, (every["key"] == minor["key"]) & (every["i"] == minor["i"]) & (every["j"] == minor["j"]) & apart & _could_link(percent)).select("a", "b", _differ().alias("differ"))
+
+
+def _has_repeated_ids(docs: DataFrame, id_col: str) -> bool:
+    """Whether an id other than null stands on two rows."""
+    ids = docs.select(F.col(id_col).alias("i")).where("i is not null").groupBy("i").agg(F.count(F.lit(1)).alias("n"))
+    return bool(ids.where("n > 1").limit(1).count())
 
 
 def keep_one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """The rows of docs that near_duplicates() keeps, one a class, with their own columns. Rows with a null id stay."""
-    ids = docs.select(id_col)
-    repeated = ids.where(F.col(id_col).isNotNull()).groupBy(id_col).agg(F.count(F.lit(1)).alias("n")).where("n > 1").limit(1).count()
-    if repeated:
-        single = docs.where(F.col(id_col).isNotNull()).dropDuplicates([id_col])
+    """The rows of docs that near_duplicates() keeps, one a class, with their own columns. Rows with a null id stay; of rows that
+    repeat an id, one with the smallest text is there to be kept."""
+    if _has_repeated_ids(docs, id_col):
+        named = docs.where(F.col(id_col).isNotNull()).select(F.struct("*").alias("row"))
+        rank = F.row_number().over(Window.partitionBy(f"row.{id_col}").orderBy(F.col(f"row.{text_col}").asc_nulls_last()))
+        single = named.withColumn("rank", rank).where("rank = 1").select("row.*")
         docs = stage(single.unionByName(docs.where(F.col(id_col).isNull())), "single-rows")
     gone = stage(near_duplicates(docs, id_col, text_col, **options).where("not kept").select(F.col("doc_id").alias("__gone")), "near-copies")
     return docs.join(broadcast_if_small(gone, 8), F.col(id_col) == F.col("__gone"), "left_anti")
