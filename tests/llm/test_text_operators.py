@@ -56,6 +56,8 @@ def test_host_verdict_rejects_a_bad_host_only(spark):
     assert kept == {k for k, _, _ in good} | {5000}
     rows = Q.keep_good_documents(docs)
     assert rows.columns == docs.columns and {r["doc_id"] for r in rows.collect()} == kept
+    clashing = docs.withColumn("__row", Q.F.lit(1)).withColumn("__host", Q.F.lit(2))
+    assert Q.keep_good_documents(clashing).columns == clashing.columns and Q.keep_good_documents(clashing).count() == len(kept)
 
 
 def shingles(text):
@@ -93,7 +95,9 @@ def edited(text, n, seed):
     return " ".join(w)
 
 
-def test_near_duplicates_against_brute_force(spark):
+@pytest.mark.parametrize("block", [N.BLOCK, 3])
+def test_near_duplicates_against_brute_force(spark, monkeypatch, block):
+    monkeypatch.setattr(N, "BLOCK", block)
     base = [words(150, 100 + k) for k in range(4)]
     rows = [(k, edited(base[k % 4], k % 9, k)) for k in range(80)] + [(200 + k, "A b C" if k % 2 else "a B c") for k in range(6)]
     rows += [(300, "s t u v w x y"), (301, "s t u v w x y z"), (302, None), (303, " "), (304, words(30000, 5)), (305, words(30000, 5) + " end")]
@@ -106,9 +110,17 @@ def test_near_duplicates_against_brute_force(spark):
 
 
 def test_repeated_and_null_ids(spark):
-    docs = table(spark, [(1, words(40, 1), "a"), (1, words(40, 1), "a"), (None, words(40, 2), "a"), (2, words(40, 1), "a")])
-    assert sorted((r["doc_id"], r["component_id"]) for r in N.near_duplicates(docs).collect()) == [(1, 1), (2, 1)]
-    assert sorted(str(r["doc_id"]) for r in N.keep_one_of_each(docs).collect()) == ["1", "None"]
+    docs = table(spark, [(1, words(40, 1), "a"), (1, words(40, 1), "a"), (None, words(40, 2), "a"), (2, words(40, 1), "a"), (3, "z z", "a"), (3, "y y", "b"), (3, None, "c"), (4, "y Y", "d")])
+    got = sorted((r["doc_id"], r["n_shingles"], r["component_id"]) for r in N.near_duplicates(docs).collect())
+    assert got == [(1, 36, 1), (2, 36, 1), (3, 1, 3), (4, 1, 3)]
+    assert sorted((str(r["doc_id"]), r["source"]) for r in N.keep_one_of_each(docs).collect()) == [("1", "a"), ("3", "b"), ("None", "a")]
+
+
+def test_tiny_sets_lose_no_link(spark):
+    """Pairs at exactly 0.75 (3 of 4 shingles), where a sketch of borrowed bins would judge by chance."""
+    rows = [x for k in range(400) for x in ((2 * k, " ".join(f"t{k}x{i}" for i in range(8)), "s"), (2 * k + 1, " ".join(f"t{k}x{i}" for i in range(7)), "s"))]
+    got = {r["doc_id"]: r["component_id"] for r in N.near_duplicates(table(spark, rows)).collect()}
+    assert got == {i: i // 2 * 2 for i, _, _ in rows}
 
 
 @given(st.sets(st.integers(0, 10**6), min_size=1, max_size=300), st.sets(st.integers(0, 10**6), max_size=100))
