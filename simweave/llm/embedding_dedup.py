@@ -8,6 +8,8 @@ links of every class found are then counted block by block with matrix products,
 from __future__ import annotations
 
 from collections.abc import Iterator
+from math import ceil, exp, log, pi, sqrt
+from statistics import NormalDist
 
 import numpy as np
 import pandas as pd
@@ -20,12 +22,34 @@ from simweave.operators.components import connected_components
 from simweave.plans.staging import broadcast_if_small, stage
 
 COSINE = 0.93
-#: Tables of projections each, and the quantisation width. At cosine 0.93 (distance 0.374) one projection agrees with probability
-#: 0.851, so a pair meets in none of the tables in about one case in a million; orthogonal vectors share a bucket in 4 of 100,000.
-TABLES, PROJECTIONS, WIDTH = 128, 14, 2.0
+#: Quantisation width, and the chance that a pair at the threshold meets in no table. At cosine 0.93 (distance 0.374) one projection
+#: agrees with probability 0.851, for orthogonal vectors (distance 1.414) with 0.486.
+WIDTH, MISSED = 2.0, 1e-6
+#: Cost of a bucket entry, which is shuffled, in tests of a pair that meets by chance.
+ENTRY_COST = 10
 #: Of 128 sign bits, the most that may differ at cosine 0.93 (expected 15.3, 6 deviations higher).
 MOST_DIFFERENT = 38
-BLOCK = 4096
+#: Vectors of a class that one task multiplies with as many others, and members of a bucket that meet in one task.
+BLOCK, BUCKET = 4096, 2048
+
+
+def agreement(distance: float, width: float = WIDTH) -> float:
+    """Chance that one quantised projection agrees on two points at this Euclidean distance."""
+    r = width / distance
+    return 1 - 2 * NormalDist().cdf(-r) - 2 / (sqrt(2 * pi) * r) * (1 - exp(-r * r / 2))
+
+
+def choose_tables(n: int, cosine: float = COSINE, width: float = WIDTH, missed: float = MISSED) -> tuple[int, int]:
+    """Tables, and projections of each, for n vectors of the largest label: the cheapest that miss a pair at the threshold with a
+    chance of missed. More vectors want more projections, so that a vector meets few others by chance."""
+    near, far = agreement(sqrt(2 - 2 * cosine), width), agreement(sqrt(2), width)
+    best = None
+    for k in range(8, 33):
+        tables = ceil(log(missed) / log(1 - near**k))
+        cost = tables * (ENTRY_COST + n * far**k)
+        if best is None or cost < best[0]:
+            best = (cost, tables, k)
+    return best[1:]
 
 
 class Projector:
@@ -56,7 +80,7 @@ class Projector:
         return keys, sketch
 
 
-SIGNED = "vec_id long, label long, fp_a long, fp_b long, sketch_a long, sketch_b long, unit array<double>, keys array<long>"
+SIGNED = "row long, vec_id long, label long, fp_a long, fp_b long, sketch_a long, sketch_b long, unit array<double>, keys array<long>"
 
 
 def sign_vectors(vectors: DataFrame, seed: int, tables: int, projections: int, width: float) -> DataFrame:
@@ -67,7 +91,7 @@ def sign_vectors(vectors: DataFrame, seed: int, tables: int, projections: int, w
         for batch in batches:
             for lo in range(0, batch.num_rows, 1000):
                 part = batch.slice(lo, 1000)
-                ids, labels, raw = part.column(0), part.column(1), part.column(2)
+                rows_, ids, labels, raw = (part.column(k) for k in range(4))
                 n = part.num_rows
                 units: list = [None] * n
                 fps, keys, sketches = np.zeros((n, 2), np.int64), [None] * n, np.zeros((n, 2), np.int64)
@@ -88,7 +112,7 @@ def sign_vectors(vectors: DataFrame, seed: int, tables: int, projections: int, w
                     for i, own, sk in zip(rows, k, s, strict=True):
                         keys[i], sketches[i] = own, sk
                 yield pa.RecordBatch.from_arrays(
-                    [ids, labels, *map(pa.array, (fps[:, 0], fps[:, 1], sketches[:, 0], sketches[:, 1])), pa.array(units, pa.list_(pa.float64())), pa.array(keys, pa.list_(pa.int64()))],
+                    [rows_, ids, labels, *map(pa.array, (fps[:, 0], fps[:, 1], sketches[:, 0], sketches[:, 1])), pa.array(units, pa.list_(pa.float64())), pa.array(keys, pa.list_(pa.int64()))],
                     [x.split()[0] for x in SIGNED.split(", ")],
                 )
 
@@ -111,27 +135,33 @@ def _close() -> Column:
     return F.bit_count(F.col("pa").bitwiseXOR(F.col("pb"))) + F.bit_count(F.col("qa").bitwiseXOR(F.col("qb"))) <= MOST_DIFFERENT
 
 
-def _side(facts: DataFrame, side: str, *more: str) -> DataFrame:
+def _side(facts: DataFrame, side: str, *more) -> DataFrame:
     return facts.select(F.col("id").alias(side), F.col("sketch_a").alias(f"p{side}"), F.col("sketch_b").alias(f"q{side}"), *more)
 
 
 def link_embeddings(
     vectors: DataFrame, id_col="vec_id", vector_col="embedding", label_col="label", cosine: float = COSINE,
-    tables: int = TABLES, projections: int = PROJECTIONS, width: float = WIDTH, seed: int = 7,
+    tables: int | None = None, projections: int | None = None, width: float = WIDTH, seed: int = 7,
 ) -> DataFrame:
     """vec_id, n_links, component_id and kept of every vector; links join vectors of one label with enough cosine.
 
     Vectors that are null, empty, zero or hold null or non-finite components, and those without label, link with nothing.
-    Equal vectors are one entry with a weight, so copies are never paired. Repeated rows of an id count as vectors of
-    their own in n_links and share its component. Rows with a null id are left out. An empty table gives an empty result.
+    Equal vectors are one entry with a weight, so copies are never paired. Rows that repeat an id are vectors of their own, each
+    with its own links and class; a class is named by its smallest id. Rows with a null id are left out. An empty table gives an
+    empty result; other columns are not read. Tables and projections are chosen by the largest label's size unless given.
     """
     slim = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(label_col).cast("long").alias("label"), F.col(vector_col).cast("array<double>").alias("v")).where("vec_id is not null")
-    signed = stage(sign_vectors(slim, seed, tables, projections, width), "vectors")
+    if tables is None or projections is None:
+        largest = slim.where("label is not null").groupBy("label").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0]
+        tables, projections = choose_tables(largest or 1, cosine, width)
+    numbered = slim.select(F.monotonically_increasing_id().alias("row"), "vec_id", "label", "v")
+    signed = stage(sign_vectors(numbered, seed, tables, projections, width), "vectors")
     valid = signed.where("unit is not null")
-    groups = stage(valid.groupBy("label", "fp_a", "fp_b").agg(F.min("vec_id").alias("id"), F.count(F.lit(1)).alias("weight")), "vector-groups")
-    firsts = valid.join(broadcast_if_small(groups, 48), ["label", "fp_a", "fp_b"]).where("vec_id = id").dropDuplicates(["id", "label", "fp_a", "fp_b"])
-    facts = stage(firsts.select("id", "weight", "sketch_a", "sketch_b", "unit", "keys").dropDuplicates(["id"]), "vector-facts")
-    entries = facts.select("id", F.explode("keys").alias("key"))
+    groups = valid.groupBy("label", "fp_a", "fp_b").agg(F.min("row").alias("id"), F.min("vec_id").alias("least"), F.count(F.lit(1)).alias("weight"))
+    groups = stage(groups, "vector-groups")
+    firsts = valid.join(broadcast_if_small(groups.select("id", "weight"), 16), F.col("row") == F.col("id"))
+    facts = stage(firsts.select("id", "weight", "sketch_a", "sketch_b", "unit", "keys"), "vector-facts")
+    entries = facts.select("id", "sketch_a", "sketch_b", F.explode("keys").alias("key"))
     heads = entries.groupBy("key").agg(F.min("id").alias("head"), F.count(F.lit(1)).alias("n")).where("n > 1").select("key", "head")
     crowded = stage(entries.join(heads, "key"), "vector-buckets")
     sketches = facts.select("id", "sketch_a", "sketch_b")
@@ -139,28 +169,40 @@ def link_embeddings(
     stars = stage(stars.join(_side(sketches, "b"), "b").join(_side(sketches, "a"), "a").where(_close()).select("a", "b"), "vector-stars")
     units = facts.select("id", "unit")
     links = stage(_cosines(stars, units, cosine), "vector-links")
-    parts = connected_components(links)
-    members = crowded.join(parts, F.col("id") == F.col("node"), "left").select("key", "id", F.coalesce("component", "id").alias("c"))
+    parts = stage(connected_components(links), "vector-parts")
+    members = crowded.join(broadcast_if_small(parts, 16), F.col("id") == F.col("node"), "left").withColumn("c", F.coalesce("component", "id")).drop("node", "component")
     members = stage(members, "vector-members")
-    mixed = members.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("key")
-    inside = stage(members.join(mixed, "key").join(sketches, "id"), "vector-mixed")
-    apart = _side(inside, "a", "key", F.col("c").alias("ca")).join(_side(inside, "b", "key", F.col("c").alias("cb")), "key").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & _close())
-    rest = stage(apart.select("a", "b").distinct(), "vector-rest")
+    mixed = members.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.max(F.when(F.col("id") == F.col("head"), F.col("c"))).alias("main"), F.count(F.lit(1)).alias("m"))
+    mixed = stage(mixed.where("lo <> hi").select("key", "main", F.ceil(F.col("m") / BUCKET).cast("int").alias("blocks")), "vector-mixed")
+    inside = stage(members.join(broadcast_if_small(mixed, 24), "key").drop("head"), "vector-inside")
+    rest = stage(_apart(inside).distinct(), "vector-rest")
     links = links.unionByName(_cosines(rest, units, cosine))
     classes = stage(connected_components(links), "vector-classes")
     counts = _count_links(facts, classes, cosine)
+    named = classes.join(broadcast_if_small(groups.select("id", "least"), 16), F.col("node") == F.col("id")).groupBy("component").agg(F.min("least").alias("name"))
+    named = stage(classes.join(broadcast_if_small(stage(named, "class-names"), 16), "component").select("node", "name"), "vector-names")
     return (
         signed.select("vec_id", "label", "fp_a", "fp_b", F.col("unit").isNotNull().alias("ok"))
-        .join(broadcast_if_small(groups, 48), ["label", "fp_a", "fp_b"], "left")
-        .join(broadcast_if_small(counts, 24), "id", "left").join(broadcast_if_small(classes, 16), F.col("id") == F.col("node"), "left")
+        .join(broadcast_if_small(groups, 56), ["label", "fp_a", "fp_b"], "left")
+        .join(broadcast_if_small(counts, 24), "id", "left").join(broadcast_if_small(named, 16), F.col("id") == F.col("node"), "left")
         .select(
             "vec_id",
             F.when(F.col("ok"), F.coalesce("links", F.lit(0)) + F.col("weight") - 1).otherwise(0).cast("long").alias("n_links"),
-            F.when(F.col("ok"), F.coalesce("component", "id")).otherwise(F.col("vec_id")).alias("component_id"),
+            F.when(F.col("ok"), F.coalesce("name", "least")).otherwise(F.col("vec_id")).alias("component_id"),
         ).withColumn("kept", F.col("vec_id") == F.col("component_id"))
     )
 
 
+def _apart(inside: DataFrame) -> DataFrame:
+    """Close pairs of one bucket but of two components: members outside the component of the bucket's head meet all others, in
+    blocks where a bucket is large. The tests sit in the join condition, so other pairs are never rows."""
+    place, every = F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    minor = _side(inside.where("c <> main").withColumn("i", every), "b", F.col("key").alias("kb"), F.col("i").alias("ib"), place.alias("jb"), F.col("c").alias("cb"))
+    other = _side(inside.withColumn("j", every), "a", "key", place.alias("i"), "j", F.col("main").alias("ma"), F.col("c").alias("ca"))
+    met = (F.col("key") == F.col("kb")) & (F.col("i") == F.col("ib")) & (F.col("j") == F.col("jb")) & (F.col("ca") != F.col("cb"))
+    return other.join(minor, met & ((F.col("ca") == F.col("ma")) | (F.col("a") < F.col("b"))) & _close()).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+
+
 def _count_links(facts: DataFrame, classes: DataFrame, cosine: float) -> DataFrame:
     """id and links (weights of the other entries of its class with enough cosine).
 

@@ -8,6 +8,7 @@ import random
 import sys
 import time
 import zlib
+from math import sqrt
 
 import numpy as np
 import public_tokenizers
@@ -97,9 +98,10 @@ def brute_links(rows):
     return {i: (n[i], comp[i]) for i in n}
 
 
-@pytest.mark.parametrize("block", [4096, 8])
-def test_embedding_links(spark, monkeypatch, block):
+@pytest.mark.parametrize("block,bucket", [(4096, 2048), (8, 3)])
+def test_embedding_links(spark, monkeypatch, block, bucket):
     monkeypatch.setattr(E, "BLOCK", block)
+    monkeypatch.setattr(E, "BUCKET", bucket)
     r = np.random.default_rng(4)
     rows = []
     for c in range(6):
@@ -114,6 +116,36 @@ def test_embedding_links(spark, monkeypatch, block):
     assert E.link_embeddings(df.limit(0)).count() == 0
 
 
+def test_one_id_with_two_vectors(spark):
+    rows = [(1, [1.0, 0.0], 0), (1, [0.0, 1.0], 0), (2, [0.0, 1.0], 0), (3, [1.0, 0.01], 0), (3, [1.0, 0.01], 0), (None, [1.0, 0.0], 0), (0, [-1.0, 0.0], 0)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int").repartition(3)
+    got = sorted((r["vec_id"], r["n_links"], r["component_id"], r["kept"]) for r in E.link_embeddings(df).collect())
+    assert got == [(0, 0, 0, True), (1, 1, 1, True), (1, 2, 1, True), (2, 1, 1, False), (3, 2, 1, False), (3, 2, 1, False)]
+
+
+def test_no_link_near_the_threshold_is_lost(spark):
+    """Pairs with cosines from 0.93 to 0.95 and from 0.91 to 0.93, each apart from all others."""
+    r = np.random.default_rng(6)
+    rows, want = [], {}
+    for k in range(1500):
+        a, b = r.standard_normal((2, 64))
+        a /= np.linalg.norm(a)
+        b -= (a @ b) * a
+        b /= np.linalg.norm(b)
+        c = 0.9301 + 0.02 * r.random() if k % 3 else 0.9299 - 0.02 * r.random()
+        rows += [(2 * k, a.tolist(), k % 4), (2 * k + 1, (c * a + sqrt(1 - c * c) * b).tolist(), k % 4)]
+        want[2 * k + 1] = 2 * k if k % 3 else 2 * k + 1
+    got = {x["vec_id"]: x["component_id"] for x in E.link_embeddings(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")).collect()}
+    assert got == want | {2 * k: 2 * k for k in range(1500)}
+
+
+def test_tables_follow_the_number_of_vectors():
+    some = [E.choose_tables(n) for n in (1, 10**3, 10**6, 10**9)]
+    assert [k for _, k in some] == sorted(k for _, k in some) and some[-1][1] > some[0][1]
+    near = E.agreement(sqrt(2 - 2 * 0.93))
+    assert all((1 - near**k) ** t <= E.MISSED for t, k in some) and abs(near - 0.851) < 0.001
+
+
 @given(st.lists(st.integers(1, 64), max_size=120))
 @settings(max_examples=60, deadline=None)
 def test_best_fit_fills_gaplessly(sizes):
