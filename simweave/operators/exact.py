@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from functools import reduce
+from operator import and_
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from simweave.functions.columns import binary_cosine, jaccard
-from simweave.operators.candidates import all_pairs, sharing_pairs
+from simweave.operators.candidates import all_pairs, in_blocks, sharing_pairs
 
 DIGITS = 9
 
@@ -19,11 +25,33 @@ def _above(t: float, closed: bool = True) -> Column:
 
 
 def dot_join(pairs: DataFrame, vectors: DataFrame) -> DataFrame:
-    """id_a, id_b and similarity (dot product of unit vectors) of each pair; 0 without a common feature."""
-    a = vectors.select(F.col("id").alias("id_a"), "feature", F.col("weight").alias("wa"))
-    b = vectors.select(F.col("id").alias("id_b"), "feature", F.col("weight").alias("wb"))
-    dots = pairs.join(a, "id_a").join(b, ["id_b", "feature"]).groupBy("id_a", "id_b").agg(F.sum(F.col("wa") * F.col("wb")).alias("similarity"))
-    return pairs.join(dots, ["id_a", "id_b"], "left").select("id_a", "id_b", F.coalesce("similarity", F.lit(0.0)).alias("similarity"))
+    """id_a, id_b and similarity (dot product of unit vectors) of each pair; 0 without a common feature.
+
+    Vectors are packed once, sorted by a hash of the feature; a pair is one merge, so no row a common feature is ever shuffled.
+    """
+    packed = vectors.groupBy("id").agg(F.array_sort(F.collect_list(F.struct(F.xxhash64("feature").alias("f"), F.col("weight").alias("w")))).alias("v"))
+    packed = packed.select("id", F.col("v.f").alias("f"), F.col("v.w").alias("w"))
+    a = packed.select(F.col("id").alias("id_a"), F.col("f").alias("fa"), F.col("w").alias("wa"))
+    b = packed.select(F.col("id").alias("id_b"), F.col("f").alias("fb"), F.col("w").alias("wb"))
+
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            lists = [batch.column(k) for k in range(2, 6)]
+            ends = [x.offsets.to_numpy() for x in lists]
+            fa, wa, fb, wb = (x.values.to_numpy(zero_copy_only=False) for x in lists)
+            out = np.zeros(batch.num_rows)
+            for k in range(batch.num_rows):
+                x, y = fa[ends[0][k] : ends[0][k + 1]], fb[ends[2][k] : ends[2][k + 1]]
+                if len(x) and len(y):
+                    at = np.minimum(np.searchsorted(y, x), len(y) - 1)
+                    hit = np.flatnonzero(y[at] == x)
+                    out[k] = wa[ends[1][k] : ends[1][k + 1]][hit] @ wb[ends[3][k] : ends[3][k + 1]][at[hit]]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out)], ["id_a", "id_b", "similarity"])
+
+    both = pairs.select("id_a", "id_b").join(a, "id_a", "left").join(b, "id_b", "left")
+    none = F.array().cast("array<long>"), F.array().cast("array<double>")
+    filled = both.select("id_a", "id_b", *(F.coalesce(c, none[c[0] == "w"]).alias(c) for c in ("fa", "wa", "fb", "wb")))
+    return filled.mapInArrow(merge, "id_a long, id_b long, similarity double")
 
 
 def set_similarity(pairs: DataFrame, sets: DataFrame, measure: str) -> DataFrame:
@@ -66,41 +94,41 @@ def all_pairs_join(objects: DataFrame, t: float, measure: str) -> DataFrame:
 
 
 def weighted_prefix(vectors: DataFrame, t: float, bound: str = "both", order: str = "rare_first") -> DataFrame:
-    """id, feature, weight of each vector's prefix: what is left of it cannot reach t with any vector.
+    """id, feature, weight and tail of each vector's prefix: what is left of it cannot reach t with any vector.
 
     Features are ordered once for all vectors. From the last feature backwards, the rest of a vector is bounded by its length
-    ('l2'), by its weights times the largest weight of each feature ('maxweight'), or by the smaller ('both').
+    ('l2'), by its weights times the largest weight of each feature ('maxweight'), or by the smaller ('both'). tail is the length
+    of what comes after the feature.
     """
     stats = vectors.groupBy("feature").agg(F.count(F.lit(1)).alias("df"), F.max("weight").alias("maxw"))
     ranked = [F.col("df").desc(), F.col("feature").desc()] if order == "rare_first" else [F.col("feature").desc()]
     last = Window.partitionBy("id").orderBy(*ranked).rowsBetween(Window.unboundedPreceding, 0)
     rest = vectors.join(stats, "feature").withColumn("l2", F.sqrt(F.sum(F.col("weight") * F.col("weight")).over(last))).withColumn("mw", F.sum(F.col("weight") * F.col("maxw")).over(last))
     residual = {"l2": F.col("l2"), "maxweight": F.col("mw"), "both": F.least("l2", "mw")}[bound]
-    return rest.where(residual >= t - 1e-9).select("id", "feature", "weight")
+    tail = F.sqrt(F.greatest(F.col("l2") * F.col("l2") - F.col("weight") * F.col("weight"), F.lit(0.0)))
+    return rest.where(residual >= t - 1e-9).select("id", "feature", "weight", tail.alias("tail"))
 
 
-def prefix_candidates(vectors: DataFrame, t: float, bound: str = "both", order: str = "rare_first", upper_bound_check: bool = False) -> DataFrame:
+def prefix_candidates(vectors: DataFrame, t: float, bound: str = "both", order: str = "rare_first", upper_bound_check: bool = False, max_bucket: int | None = None) -> DataFrame:
     """Pairs whose prefixes share a feature: complete for cosine >= t.
 
-    With upper_bound_check, the score of the shared prefix features plus the smaller of the two residual bounds must reach t.
+    With upper_bound_check, the weights' product at a shared feature plus the product of the lengths of both tails must reach t: that
+    holds at the first feature that a pair at t shares, as its dot product is no more. The test is part of the join condition.
     """
     prefix = weighted_prefix(vectors, t, bound, order)
     if not upper_bound_check:
-        return sharing_pairs(prefix)
-    a = prefix.select(F.col("id").alias("id_a"), "feature", F.col("weight").alias("wa"))
-    b = prefix.select(F.col("id").alias("id_b"), "feature", F.col("weight").alias("wb"))
-    score = a.join(b, "feature").where("id_a < id_b").groupBy("id_a", "id_b").agg(F.sum(F.col("wa") * F.col("wb")).alias("score"))
-    left = vectors.join(prefix.select("id", "feature"), ["id", "feature"], "left_anti")
-    rest = left.groupBy("id").agg(F.sqrt(F.sum(F.col("weight") * F.col("weight"))).alias("rest"))
-    ra, rb = rest.select(F.col("id").alias("id_a"), F.col("rest").alias("ra")), rest.select(F.col("id").alias("id_b"), F.col("rest").alias("rb"))
-    # a feature outside both prefixes gives at most the product of the rests; one inside a single prefix at most that side's other rest
-    most = F.col("score") + F.least(F.lit(1.0), F.coalesce("ra", F.lit(0.0)) + F.coalesce("rb", F.lit(0.0)))
-    return score.join(ra, "id_a", "left").join(rb, "id_b", "left").where(most >= t - 1e-9).select("id_a", "id_b")
-
-
-def exact_weighted_join(vectors: DataFrame, t: float, bound: str = "both", order: str = "rare_first", upper_bound_check: bool = False) -> DataFrame:
+        return sharing_pairs(prefix, max_bucket)
+    left, right, on = in_blocks(prefix, ["feature"], max_bucket)
+    a = left.select(*on, *(F.col(c).alias(c + "_a") for c in ("id", "weight", "tail")))
+    b = right.select(*on, *(F.col(c).alias(c + "_b") for c in ("id", "weight", "tail")))
+    most = F.col("weight_a") * F.col("weight_b") + F.col("tail_a") * F.col("tail_b")
+    met = reduce(and_, (a[c] == b[c] for c in on)) & (F.col("id_a") < F.col("id_b")) & (most >= t - 1e-9)
+    return a.join(b, met).select("id_a", "id_b").distinct()
+
+
+def exact_weighted_join(vectors: DataFrame, t: float, bound: str = "both", order: str = "rare_first", upper_bound_check: bool = False, max_bucket: int | None = None) -> DataFrame:
     """All pairs with cosine at or over t, by weighted prefixes."""
-    return verify_all_exact(prefix_candidates(vectors, t, bound, order, upper_bound_check), vectors, t, "cosine")
+    return verify_all_exact(prefix_candidates(vectors, t, bound, order, upper_bound_check, max_bucket), vectors, t, "cosine")
 
 
 def _need(na: Column, nb: Column, t: float, measure: str) -> Column:
@@ -109,34 +137,48 @@ def _need(na: Column, nb: Column, t: float, measure: str) -> Column:
     return F.ceil(need - 1e-9)
 
 
-def set_prefix_candidates(sets: DataFrame, t: float, measure: str = "jaccard", positional: bool = True, suffix: bool = False) -> DataFrame:
-    """Pairs of sets that can reach t: prefixes in rare-first order share a token, sizes are close, and enough tokens are left after
-    the shared one on both sides (positional), and on each side of a middle token too (suffix)."""
+#: Parts of the token order that the suffix filter compares.
+SUFFIX_PARTS = 8
+
+
+def set_prefix_candidates(sets: DataFrame, t: float, measure: str = "jaccard", positional: bool = True, suffix: bool = False, max_bucket: int | None = None) -> DataFrame:
+    """Pairs of sets that can reach t: prefixes in rare-first order share a token, sizes are close, enough tokens are left after
+    the shared one on both sides (positional), and enough can be common in each part of what is left (suffix).
+
+    The suffix filter parts the token order at fixed places, the same for all sets, and bounds the overlap of two suffixes by the
+    smaller number of tokens in each part.
+    """
     rows = sets.select("id", F.size("features").alias("n"), F.explode("features").alias("token"))
     df = rows.groupBy("token").agg(F.count(F.lit(1)).alias("df"))
     place = Window.partitionBy("id").orderBy("df", "token")
     rows = rows.join(df, "token").withColumn("pos", F.row_number().over(place))
     keep = t if measure == "jaccard" else t * t
-    prefix = rows.where(F.col("pos") <= F.col("n") - F.ceil(F.col("n") * keep - 1e-9) + 1)
-    half = None
+    extra = []
     if suffix:
-        # tokens at odd ids: the overlap of each class is bounded apart
-        half = sets.select("id", F.size(F.filter("features", lambda x: x % 2 == 1)).alias("odd"))
-        prefix = prefix.join(half, "id")
-    names = ["id", "n", "pos", *(["odd"] if suffix else [])]
-    a = prefix.select("token", *(F.col(c).alias(c + "_a") for c in names))
-    b = prefix.select("token", *(F.col(c).alias(c + "_b") for c in names))
+        # a token's part: by its frequency, and by a hash among tokens that are equally rare
+        key = F.col("df") + F.pmod(F.xxhash64("token"), F.lit(1 << 20)) / F.lit(1 << 20)
+        cuts = rows.agg(F.percentile_approx(key, [k / SUFFIX_PARTS for k in range(1, SUFFIX_PARTS)], 1000)).first()[0] or []
+        part = sum(((key > c).cast("int") for c in cuts), F.lit(0))
+        after = Window.partitionBy("id").orderBy(F.col("df").desc(), F.col("token").desc()).rowsBetween(Window.unboundedPreceding, -1)
+        rows = rows.withColumn("part", part)
+        rows = rows.select("id", "n", "token", "pos", F.array(*(F.coalesce(F.count_if(F.col("part") == k).over(after), F.lit(0)) for k in range(len(cuts) + 1))).alias("rest"))
+        extra = ["rest"]
+    prefix = rows.where(F.col("pos") <= F.col("n") - F.ceil(F.col("n") * keep - 1e-9) + 1).select("id", "n", "pos", "token", *extra)
+    left, right, on = in_blocks(prefix, ["token"], max_bucket)
+    names = ["id", "n", "pos", *extra]
+    a = left.select(*on, *(F.col(c).alias(c + "_a") for c in names))
+    b = right.select(*on, *(F.col(c).alias(c + "_b") for c in names))
     na, nb = F.col("n_a"), F.col("n_b")
     test = (F.col("id_a") < F.col("id_b")) & (F.least(na, nb) >= F.ceil(F.greatest(na, nb) * keep - 1e-9))
+    before = F.least(F.col("pos_a"), F.col("pos_b"))
     if positional:
-        test &= 1 + F.least(na - F.col("pos_a"), nb - F.col("pos_b")) + F.least(F.col("pos_a"), F.col("pos_b")) - 1 >= _need(na, nb, t, measure)
+        test &= before + F.least(na - F.col("pos_a"), nb - F.col("pos_b")) >= _need(na, nb, t, measure)
     if suffix:
-        test &= F.least("odd_a", "odd_b") + F.least(na - F.col("odd_a"), nb - F.col("odd_b")) >= _need(na, nb, t, measure)
-    return a.join(b, (a["token"] == b["token"]) & test).select("id_a", "id_b").distinct()
+        common = F.aggregate(F.zip_with("rest_a", "rest_b", lambda x, y: F.least(x, y)), F.lit(0).cast("long"), lambda s, x: s + x)
+        test &= before + common >= _need(na, nb, t, measure)
+    return a.join(b, reduce(and_, (a[c] == b[c] for c in on)) & test).select("id_a", "id_b").distinct()
 
 
 def exact_set_join(sets: DataFrame, t: float, measure: str = "jaccard", suffix: bool = False) -> DataFrame:
     """All pairs of sets at or over t, by the positional prefix filter."""
     return verify_all_exact(set_prefix_candidates(sets, t, measure, True, suffix), sets, t, measure)
-
-

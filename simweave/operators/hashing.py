@@ -17,6 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from simweave.functions.columns import CODES_PER_UNIT, LIMIT, PRIME, feature_id
+from simweave.plans.staging import broadcast_if_small, stage
 
 WEIGHT_SCALE = 1 << 20
 
@@ -145,6 +146,28 @@ def extend_signatures(objects: DataFrame, alive: DataFrame, lo: int, hi: int, me
     return make(left, hi - lo, seed, family, lo)
 
 
+class HashSource:
+    """Parts of signatures: the first made hashes come from a table, further ones are made when they are asked for, and only for
+    objects that are still in a pair. Hash 0 of a part is hash first of the family."""
+
+    def __init__(self, sigs: DataFrame, made: int | None = None, objects: DataFrame | None = None, measure: str = "jaccard", seed: int = 1, family: str = "parity", first: int = 0):
+        self.sigs, self.made, self.first = sigs, None if made is None else made - first, first
+        self.objects, self.measure, self.seed, self.family = objects, measure, seed, family
+
+    def part(self, lo: int, hi: int, pairs: DataFrame, packed: bool) -> DataFrame:
+        """id and part (hashes lo to hi) of the objects in pairs; integers are cut to 4 bytes."""
+        lo, hi = lo + self.first, hi + self.first
+        if self.made is None or hi <= self.made + self.first:
+            part = F.slice("sig", lo // 32 + 1, (hi - lo) // 32) if packed else F.slice("sig", lo + 1, hi - lo)
+            out = self.sigs.select("id", part.alias("part"))
+        else:
+            alive = stage(pairs.select(F.explode(F.array("id_a", "id_b")).alias("id")).distinct(), "alive")
+            own = self.objects.join(broadcast_if_small(alive, 8), "id", "left_semi")
+            make = minhash if self.measure == "jaccard" else sign_bits
+            out = stage(make(own, hi - lo, self.seed, self.family, lo), "more-hashes").withColumnRenamed("sig", "part")
+        return out if packed else out.select("id", F.transform("part", lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")).alias("part"))
+
+
 def signatures(objects: DataFrame, measure: str, n_hashes: int, seed: int = 1, family: str = "parity") -> DataFrame:
     """Signatures for a measure: minwise hashes for 'jaccard', packed sign bits for 'cosine' and 'cosine_binary'.
 

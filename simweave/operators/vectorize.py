@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from simweave.functions.columns import feature_id
 
@@ -58,8 +59,8 @@ def idf_weighted(counts: DataFrame, n_objects: DataFrame | None = None) -> DataF
 
 def unit_length(weights: DataFrame) -> DataFrame:
     """Weights divided by each object's length; objects of length 0 vanish."""
-    norms = weights.groupBy("id").agg(F.sqrt(F.sum(F.col("weight") * F.col("weight"))).alias("norm")).where("norm > 0")
-    return weights.join(norms, "id").select("id", "feature", (F.col("weight") / F.col("norm")).alias("weight"))
+    norm = F.sqrt(F.sum(F.col("weight") * F.col("weight")).over(Window.partitionBy("id")))
+    return weights.withColumn("norm", norm).where("norm > 0").select("id", "feature", (F.col("weight") / F.col("norm")).alias("weight"))
 
 
 def tfidf(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -7,19 +7,20 @@ not depend on how rounds are grouped into joins or on the physical strategy.
 from __future__ import annotations
 
 from functools import reduce
+from operator import and_, or_
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from simweave.functions.columns import matches_int, r2c
-from simweave.operators.candidates import band_keys
+from simweave.operators.candidates import band_keys, in_blocks
 from simweave.operators.exact import exact_similarity
-from simweave.operators.hashing import extend_signatures
+from simweave.operators.hashing import HashSource, extend_signatures
 from simweave.plans.decision import DecisionTable
 from simweave.plans.staging import stage
 
-#: Hashes after which survivors are joined to the next part of their signatures; the last group ends at the cap.
-GROUPS = (128, 512)
+#: Hashes of the first group of rounds, and how much longer each further group is; the last one ends at the cap.
+FIRST, LONGER = 128, 4
 
 
 def round_matches(a: Column, b: Column, k: Column, step: int, packed: bool) -> Column:
@@ -63,36 +64,68 @@ def estimate(n: Column, m: Column, table: DecisionTable) -> Column:
     return F.least(F.greatest((m + (alpha - 1)) / (n + (alpha + beta - 2)), F.lit(0.0)), F.lit(1.0))
 
 
-def _attach(pairs: DataFrame, sigs: DataFrame, lo: int, hi: int, packed: bool) -> DataFrame:
+def _attach(pairs: DataFrame, sigs: DataFrame | HashSource, lo: int, hi: int, packed: bool) -> DataFrame:
     """The signature part of hashes lo to hi of both sides, as columns a and b."""
-    part = F.slice("sig", lo // 32 + 1, (hi - lo) // 32) if packed else F.slice("sig", lo + 1, hi - lo)
-    a = sigs.select(F.col("id").alias("id_a"), part.alias("a"))
-    b = sigs.select(F.col("id").alias("id_b"), part.alias("b"))
+    source = sigs if isinstance(sigs, HashSource) else HashSource(sigs)
+    part = source.part(lo, hi, pairs, packed)
+    a = part.select(F.col("id").alias("id_a"), F.col("part").alias("a"))
+    b = part.select(F.col("id").alias("id_b"), F.col("part").alias("b"))
     return pairs.join(a, "id_a").join(b, "id_b")
 
 
-def walk_pairs(pairs: DataFrame, sigs: DataFrame, table: DecisionTable, packed: bool, upto: int | None = None, groups: tuple[int, ...] = GROUPS) -> DataFrame:
+def group_bounds(upto: int, step: int, made: int | None = None, start: int = 0) -> list[int]:
+    """Ends of the groups of rounds from start to upto: they grow by LONGER, and one ends where the made hashes do."""
+    made = min(made // step * step if made else upto, upto)
+    out, x = [start], max(min(FIRST // step * step or step, made), start * LONGER)
+    while out[-1] < upto:
+        stop = made if out[-1] < made < x else min(x, upto)
+        if stop > out[-1]:
+            out.append(stop)
+        x = max(out[-1] * LONGER, step)
+    return out
+
+
+def walk_pairs(pairs: DataFrame, sigs: DataFrame | HashSource, table: DecisionTable, packed: bool, upto: int | None = None, groups: tuple[int, ...] | None = None, start: int = 0) -> DataFrame:
     """id_a, id_b, n_used, matches and status of every candidate ('continue' where hashes ended at upto).
 
-    One join per group of rounds, each only for pairs that are still open and only for the next part of the signatures.
+    One join per group of rounds, each only for pairs that are still open and only for the next part of the signatures; with a
+    HashSource, parts that were not made yet are made for the objects of those pairs only. pairs with a column state have been
+    walked up to start.
     """
     upto = upto or table.cap
-    bounds = [0, *(g for g in groups if g < upto and g % table.params.step == 0), upto]
-    open_, parts = pairs.withColumn("state", _start()), []
+    step = table.params.step
+    if groups is None:
+        bounds = group_bounds(upto, step, sigs.made if isinstance(sigs, HashSource) else None, start)
+    else:
+        bounds = [start, *(g for g in groups if start < g < upto and g % step == 0), *([upto] if upto > start else [])]
+    parts = []
+    if ("state" in pairs.columns) != (start > 0):
+        raise ValueError("start says how far pairs with a state have been walked")
+    if "state" in pairs.columns:
+        parts.append(pairs.where(F.col("state.status") != "continue"))
+        open_ = pairs.where(F.col("state.status") == "continue")
+    else:
+        open_ = pairs.withColumn("state", _start())
     for lo, hi in zip(bounds[:-1], bounds[1:], strict=True):
         after = _attach(open_, sigs, lo, hi, packed).withColumn("state", walk(F.col("state"), F.col("a"), F.col("b"), table, lo, hi, packed)).drop("a", "b")
         if hi < upto:
             after = stage(after, "walked")
             parts.append(after.where(F.col("state.status") != "continue"))
             open_ = after.where(F.col("state.status") == "continue")
+            if not open_.limit(1).count():
+                open_ = None
+                break
         else:
             parts.append(after)
+            open_ = None
+    if open_ is not None:
+        parts.append(open_)
     return reduce(DataFrame.unionByName, parts).select("id_a", "id_b", "state.n_used", "state.matches", "state.status")
 
 
 def verify_estimate(
-    pairs: DataFrame, sigs: DataFrame, table: DecisionTable, packed: bool, keep: str = "unpruned", on_cap: str = "emit", objects: DataFrame | None = None,
-    seed: int = 1, family: str = "parity", with_trail: bool = False, groups: tuple[int, ...] = GROUPS, extend_to: int | None = None,
+    pairs: DataFrame, sigs: DataFrame | HashSource, table: DecisionTable, packed: bool, keep: str = "unpruned", on_cap: str = "emit", objects: DataFrame | None = None,
+    seed: int = 1, family: str = "parity", with_trail: bool = False, groups: tuple[int, ...] | None = None, extend_to: int | None = None, start: int = 0,
 ) -> DataFrame:
     """Pairs that were not pruned, with their estimate: id_a, id_b, similarity, n_used, matches, status.
 
@@ -100,7 +133,7 @@ def verify_estimate(
     verified exactly ('exact', needs objects), or walked on with freshly made hashes up to extend_to ('extend', needs objects).
     with_trail returns every candidate, pruned ones with a null similarity.
     """
-    trail = walk_pairs(pairs, sigs, table, packed, groups=groups)
+    trail = walk_pairs(pairs, sigs, table, packed, groups=groups, start=start)
     trail = trail.withColumn("similarity", F.when(F.col("status") != "pruned", estimate(F.col("n_used"), F.col("matches"), table)))
     measure = table.posterior.measure
     if on_cap == "extend":
@@ -111,7 +144,7 @@ def verify_estimate(
         open_ = trail.where("status = 'continue'").select("id_a", "id_b", F.struct("n_used", "matches", "status").alias("state"))
         alive = open_.select(F.col("id_a").alias("id")).union(open_.select(F.col("id_b").alias("id")))
         tail = extend_signatures(objects, alive, table.cap, more.cap, measure, seed, family)
-        after = _attach(open_, tail, 0, more.cap - table.cap, packed).withColumn("state", walk(F.col("state"), F.col("a"), F.col("b"), more, table.cap, more.cap, packed))
+        after = _attach(open_, HashSource(tail), 0, more.cap - table.cap, packed).withColumn("state", walk(F.col("state"), F.col("a"), F.col("b"), more, table.cap, more.cap, packed))
         after = after.select("id_a", "id_b", "state.n_used", "state.matches", "state.status")
         after = after.withColumn("similarity", F.when(F.col("status") != "pruned", estimate(F.col("n_used"), F.col("matches"), more)))
         trail = trail.where("status <> 'continue'").unionByName(after)
@@ -128,17 +161,19 @@ def verify_estimate(
     return out.where(F.round("similarity", 9) >= table.params.t) if keep == "estimate_ge_t" else out
 
 
-def verify_prune_exact(pairs: DataFrame, sigs: DataFrame, objects: DataFrame, table: DecisionTable, packed: bool, measure: str, h: int | None = None, closed: bool = False) -> DataFrame:
+def verify_prune_exact(
+    pairs: DataFrame, sigs: DataFrame | HashSource, objects: DataFrame, table: DecisionTable, packed: bool, measure: str, h: int | None = None, closed: bool = False, start: int = 0
+) -> DataFrame:
     """Pairs that no round up to h hashes prunes and whose exact similarity is over t (at or over it if closed)."""
     h = h or (128 if packed else 64)
     h = -(-h // table.params.step) * table.params.step
-    alive = walk_pairs(pairs, sigs, table, packed, upto=h, groups=()).where("status <> 'pruned'").select("id_a", "id_b")
+    alive = stage(walk_pairs(pairs, sigs, table, packed, upto=h, groups=(), start=start).where("status <> 'pruned'").select("id_a", "id_b"), "not-pruned")
     known = exact_similarity(alive, objects, measure)
     value = F.round("similarity", 9)
     return known.where(value >= table.params.t if closed else value > table.params.t)
 
 
-def verify_classical(pairs: DataFrame, sigs: DataFrame, t: float, n: int, packed: bool) -> DataFrame:
+def verify_classical(pairs: DataFrame, sigs: DataFrame | HashSource, t: float, n: int, packed: bool) -> DataFrame:
     """Match fraction of n hashes (cosine: mapped to the cosine), kept at or over t: id_a, id_b, similarity, matches."""
     both = _attach(pairs, sigs, 0, n, packed)
     if packed:
@@ -149,41 +184,48 @@ def verify_classical(pairs: DataFrame, sigs: DataFrame, t: float, n: int, packed
     return both.select("id_a", "id_b", m.alias("matches")).withColumn("similarity", value).where(F.round("similarity", 9) >= t).select("id_a", "id_b", "similarity", "matches")
 
 
-def fused_candidates(sigs: DataFrame, table: DecisionTable, w: int, n_bands: int, packed: bool, upto: int = 128) -> DataFrame:
-    """Banded candidates whose first upto hashes do not prune them: the prune test is part of the join condition.
+def fused_candidates(sigs: DataFrame, table: DecisionTable, w: int, n_bands: int, packed: bool, upto: int = FIRST, max_bucket: int | None = None) -> DataFrame:
+    """Banded candidates whose first upto hashes do not prune them, with their state (n_used, matches, status) after those.
 
-    The prefix words travel with the band rows, so pairs that are pruned early are never rows, and only survivors are
-    deduplicated by a shuffle.
+    The prune test is part of the join condition: the prefix words travel with the band rows, so pairs that are pruned
+    early are never rows, and only survivors are deduplicated by a shuffle.
     """
     step = table.params.step
     upto = min(upto // step * step, table.cap)
     parts = upto // step
+    half = F.lit(0xFFFFFFFF)
     if packed:
-        words = [F.get("sig", F.lit(k)).alias(f"p{k}") for k in range(upto // 32)]
+        # two words of 32 bits a column
+        high = lambda k: F.call_function("shiftleft", F.coalesce(F.get("sig", F.lit(k + 1)), F.lit(0).cast("long")), F.lit(32))
+        words = [F.get("sig", F.lit(k)).bitwiseOR(high(k)).alias(f"p{k // 2}") for k in range(0, upto // 32, 2)]
     else:
-        words = [F.slice("sig", k * step + 1, step).alias(f"p{k}") for k in range(parts)]
+        words = [F.transform(F.slice("sig", k * step + 1, step), lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")).alias(f"p{k}") for k in range(parts)]
     names = [f"p{k}" for k in range(len(words))]
     rows = sigs.select("id", *words, F.posexplode(band_keys(w, n_bands, packed)).alias("band", "key"))
-    a = rows.select("band", "key", F.col("id").alias("id_a"), *(F.col(x).alias(x + "a") for x in names))
-    b = rows.select("band", "key", F.col("id").alias("id_b"), *(F.col(x).alias(x + "b") for x in names))
+    left, right, on = in_blocks(rows, ["band", "key"], max_bucket)
+    a = left.select(*on, F.col("id").alias("id_a"), *(F.col(x).alias(x + "a") for x in names))
+    b = right.select(*on, F.col("id").alias("id_b"), *(F.col(x).alias(x + "b") for x in names))
+
+    def word(j: int) -> Column:
+        differ = F.col(f"p{j // 2}a").bitwiseXOR(F.col(f"p{j // 2}b"))
+        return F.lit(32) - F.bit_count(F.call_function("shiftrightunsigned", differ, F.lit(32)) if j % 2 else differ.bitwiseAND(half))
 
     def found(k: int) -> Column:
-        if packed:
-            own = range(k * step // 32, (k + 1) * step // 32)
-            return sum((F.lit(32) - F.bit_count(F.col(f"p{j}a").bitwiseXOR(F.col(f"p{j}b"))) for j in own), F.lit(0))
-        return matches_int(F.col(f"p{k}a"), F.col(f"p{k}b"), 0, step)
+        return sum((word(j) for j in range(k * step // 32, (k + 1) * step // 32)), F.lit(0)) if packed else matches_int(F.col(f"p{k}a"), F.col(f"p{k}b"), 0, step)
 
-    alive = F.lit(True)
     sums = []
     for k in range(parts):
         sums.append((sums[-1] if sums else F.lit(0)) + found(k))
+    accepted = [reduce(or_, (sums[k].between(lo, hi) for lo, hi in table.accepted[k]), F.lit(False)) for k in range(parts)]
+    alive = F.lit(True)
+    for k in reversed(range(parts)):
+        alive = (sums[k] >= table.fewest[k]) & (accepted[k] | alive)
+    state = lambda k, status: F.struct(F.lit((k + 1) * step).alias("n_used"), sums[k].cast("int").alias("matches"), F.lit(status).alias("status"))
+    after = state(parts - 1, "continue")
     for k in reversed(range(parts)):
-        accepted = F.lit(False)
-        for lo, hi in table.accepted[k]:
-            accepted = accepted | sums[k].between(lo, hi)
-        alive = (sums[k] >= table.fewest[k]) & (accepted | alive)
-    met = a.join(b, (a["band"] == b["band"]) & (a["key"] == b["key"]) & (F.col("id_a") < F.col("id_b")) & alive)
-    return met.select("id_a", "id_b").distinct()
+        after = F.when(accepted[k], state(k, "accepted")).otherwise(after)
+    met = a.join(b, reduce(and_, (a[c] == b[c] for c in on)) & (F.col("id_a") < F.col("id_b")) & alive)
+    return met.select("id_a", "id_b", after.alias("state")).dropDuplicates(["id_a", "id_b"])
 
 
 def trace_pairs(pairs: DataFrame, sigs: DataFrame, table: DecisionTable, packed: bool, upto: int) -> DataFrame:

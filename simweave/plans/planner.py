@@ -12,7 +12,7 @@ from simweave.functions.posterior import BetaPosterior, TruncatedPosterior, beta
 from simweave.operators import candidates as C
 from simweave.operators import exact as X
 from simweave.operators import verify as V
-from simweave.operators.hashing import signatures
+from simweave.operators.hashing import HashSource, signatures
 from simweave.operators.vectorize import binary_weights
 from simweave.plans.decision import JoinParams, decision_table, round_up
 from simweave.plans.staging import stage
@@ -33,26 +33,44 @@ def default_posterior(measure: str):
     return BetaPosterior() if measure == "jaccard" else TruncatedPosterior()
 
 
-def choose_band_width(measure: str, t: float, fn: float, n_objects: int, cap: int, typical: float = 0.1) -> PhysicalChoice:
-    """The width with the least modelled cost: band rows plus the pairs that unrelated objects make."""
+#: Hashes that bands may use, and the modelled costs of a band row, of a hash and of testing a pair that meets by chance.
+BAND_BITS, BAND_INTEGERS = 8192, 1024
+ROW_COST, HASH_COST, PAIR_COST = 6.0, 0.2, 1.0
+
+
+def choose_band_width(measure: str, t: float, fn: float, n_objects: int, cap: int | None = None, typical: float = 0.1) -> PhysicalChoice:
+    """The width with the least modelled cost: hashes, band rows and the pairs that unrelated objects (of typical similarity) make.
+
+    The more objects, the wider the bands, so that a bucket holds few unrelated ones.
+    """
     from simweave.functions.posterior import cosine_to_angular
 
     packed = measure != "jaccard"
+    cap = cap or (BAND_BITS if packed else BAND_INTEGERS)
     low = cosine_to_angular(typical) if packed else typical
     best = None
-    for w in (4, 8, 16, 32) if packed else range(2, 9):
+    for w in (4, 6, 8, 10, 12, 14, 16, 20, 24, 28, 32) if packed else range(2, 9):
         bands = C.num_bands(t, w, fn, "jaccard" if not packed else "cosine")
         if w * bands > cap:
             continue
-        cost = n_objects * bands * 4 + bands * n_objects * n_objects / 2 * low**w
+        cost = n_objects * (bands * ROW_COST + w * bands * HASH_COST) + bands * n_objects * n_objects / 2 * low**w * PAIR_COST
         if best is None or cost < best[0]:
             best = (cost, PhysicalChoice(w, bands, cap))
     return best[1] if best else PhysicalChoice(8 if packed else 3, C.num_bands(t, 8 if packed else 3, fn, "cosine" if packed else "jaccard"), cap)
 
 
+def n_objects_of(objects: DataFrame) -> int:
+    """Objects of a collection, sets or vectors in long form."""
+    return objects.count() if "features" in objects.columns else objects.select("id").distinct().count()
+
+
 def fit_beta_prior(pairs: DataFrame, objects: DataFrame, measure: str = "jaccard", sample: int = 1000) -> tuple[float, float]:
     """Prior by moments from the exact similarities of a deterministic sample of candidate pairs."""
-    drawn = pairs.orderBy(F.xxhash64("id_a", "id_b"), "id_a", "id_b").limit(sample)
+    # the pairs with the smallest keyed hashes: a cut below which few more than sample lie, and a top-k of those
+    total = pairs.count()
+    key = F.pmod(F.xxhash64("id_a", "id_b"), F.lit(1 << 40))
+    cut = (1 << 40) if total <= 2 * sample else int((1 << 40) * min(1.0, 1.2 * (sample + 100) / total))
+    drawn = pairs.where(key < cut).orderBy(key, "id_a", "id_b").limit(sample)
     row = X.exact_similarity(drawn, objects, measure).agg(F.avg("similarity"), F.var_pop("similarity")).first()
     return beta_from_moments(row[0], row[1])
 
@@ -60,17 +78,25 @@ def fit_beta_prior(pairs: DataFrame, objects: DataFrame, measure: str = "jaccard
 def similarity_join(
     objects: DataFrame, measure: str, t: float, generator: str | DataFrame = "bands", verifier: str = "estimate", *, eps: float = 0.03, delta: float = 0.05, gamma: float = 0.03,
     step: int = 32, cap: int | None = None, fn: float = 0.03, w: int | None = None, n: int | None = None, h: int | None = None, seed: int = 1, family: str = "parity",
-    posterior=None, reuse_hashes: bool = True, strategy: str = "rounds", sigs: DataFrame | None = None, **options,
+    posterior=None, reuse_hashes: bool = True, strategy: str = "auto", sigs: DataFrame | None = None, lazy: bool = True, max_bucket: int | None = None, **options,
 ) -> DataFrame:
     """Pairs of one collection that are similar.
 
     objects: (id, features) for 'jaccard' and 'cosine_binary', (id, feature, weight) of unit length for 'cosine'. generator: 'bands',
     'weighted_prefix', 'set_prefix', 'sharing', or a DataFrame (id_a, id_b). verifier: 'estimate', 'prune_exact', 'classical' or
-    'exact'. reuse_hashes False verifies on hashes that the bands did not use. strategy 'fused' puts the first rounds into
-    the band join. Extra options go to the verifier. Results: id_a < id_b, similarity, and what the verifier adds.
+    'exact'. w: hashes a band, by the cost model unless given. reuse_hashes False verifies on hashes that the bands did not use.
+    strategy 'fused' puts the first rounds into the band join, 'rounds' walks listed candidates; 'auto' takes the first for packed
+    bits and the second for sets, whose hashes are wide and whose buckets hold few unrelated objects. lazy makes hashes beyond the
+    first group only for objects that are still in an open pair. max_bucket cuts larger buckets and feature lists into blocks; where
+    copies crowd buckets, join the representatives of similarity_classes(). Extra options go to the verifier. Results: id_a <
+    id_b, similarity, and what the verifier adds.
     """
     if measure not in MEASURES:
         raise ValueError(f"measure must be one of {MEASURES}")
+    if verifier not in ("estimate", "prune_exact", "classical", "exact"):
+        raise ValueError("unknown verifier")
+    if not isinstance(generator, DataFrame) and generator not in ("bands", "weighted_prefix", "set_prefix", "sharing"):
+        raise ValueError("unknown generator")
     packed = measure != "jaccard"
     params = JoinParams(t, eps, delta, gamma, step, cap)
     posterior = posterior or default_posterior(measure)
@@ -80,39 +106,53 @@ def similarity_join(
         h = round_up(h or (128 if packed else 64), step)
         table = decision_table(posterior, JoinParams(t, eps, delta, gamma, step, h), False)
     n = n or (2048 if packed else 360)
-    width = w or (8 if packed else 3)
-    bands = C.num_bands(t, width, fn, "cosine" if packed else "jaccard") if isinstance(generator, str) and generator == "bands" else 0
+    objects = objects if hasattr(objects, "staged_at") else stage(objects, "objects")
+    banding = isinstance(generator, str) and generator == "bands"
+    width = w or (choose_band_width(measure, t, fn, n_objects_of(objects)).w if banding else 0)
+    bands = C.num_bands(t, width, fn, "cosine" if packed else "jaccard") if banding else 0
     wanted = max(table.cap if table else 0, n if verifier == "classical" else 0)
     shift = 0 if reuse_hashes else round_up(bands * width, 32)
     vectors = binary_weights(objects) if measure == "cosine_binary" else objects
-    if sigs is None and (bands or verifier != "exact"):
-        sigs = stage(signatures(vectors if packed else objects, measure, round_up(max(bands * width, wanted + shift), 32), seed, family), "signatures")
+    source = None
+    if sigs is not None:
+        source = HashSource(sigs, first=shift)
+    elif banding or verifier != "exact":
+        first = min(wanted, max(V.FIRST, h or 0)) if lazy and needs_table else wanted
+        made = round_up(max(bands * width, first + shift), 32)
+        sigs = stage(signatures(vectors, measure, made, seed, family), "signatures")
+        source = HashSource(sigs, made, vectors if packed else objects.where(F.size("features") > 0), measure, seed, family, shift)
+    start = 0
     if isinstance(generator, DataFrame):
         pairs = generator
     elif generator == "bands":
-        fused = strategy == "fused" and needs_table and reuse_hashes
-        pairs = V.fused_candidates(sigs, table, width, bands, packed) if fused else C.banded(sigs, width, bands, packed)
+        fused = needs_table and reuse_hashes and not options.get("with_trail") and (strategy == "fused" or strategy == "auto" and packed)
+        if fused:
+            start = min(V.FIRST // step * step, table.cap, h or table.cap)
+            fused = start > 0 and (not packed or step % 32 == 0)
+        pairs = V.fused_candidates(sigs, table, width, bands, packed, start, max_bucket) if fused else C.banded(sigs, width, bands, packed, max_bucket=max_bucket)
+        start = start if fused else 0
     elif generator == "weighted_prefix":
         # binary cosine is never under Jaccard similarity, so the same threshold is complete for both
-        pairs = X.prefix_candidates(vectors if packed else binary_weights(objects), t)
+        pairs = X.prefix_candidates(vectors if packed else binary_weights(objects), t, upper_bound_check=verifier == "exact", max_bucket=max_bucket)
     elif generator == "set_prefix":
-        pairs = X.set_prefix_candidates(objects, t, measure)
-    elif generator == "sharing":
-        pairs = C.sharing_pairs(vectors if packed else objects.select("id", F.explode("features").alias("feature")))
+        pairs = X.set_prefix_candidates(objects, t, measure, max_bucket=max_bucket)
     else:
-        raise ValueError("unknown generator")
-    if shift and verifier != "exact":
-        part = F.slice("sig", shift // 32 + 1, wanted // 32) if packed else F.slice("sig", shift + 1, wanted)
-        sigs = sigs.select("id", part.alias("sig"))
+        pairs = C.sharing_pairs(vectors if packed else objects.select("id", F.explode("features").alias("feature")), max_bucket)
     if verifier == "exact":
         return X.verify_all_exact(pairs, objects, t, measure)
+    if not isinstance(generator, DataFrame):
+        pairs = stage(pairs, "candidates")
     if verifier == "estimate":
-        return V.verify_estimate(pairs, sigs, table, packed, objects=objects, seed=seed, family=family, **options)
+        return V.verify_estimate(pairs, source, table, packed, objects=objects, seed=seed, family=family, start=start, **options)
     if verifier == "prune_exact":
-        return V.verify_prune_exact(pairs, sigs, objects, table, packed, measure, h, **options)
-    if verifier == "classical":
-        return V.verify_classical(pairs, sigs, t, n, packed)
-    raise ValueError("unknown verifier")
+        return V.verify_prune_exact(pairs, source, objects, table, packed, measure, h, start=start, **options)
+    return V.verify_classical(pairs, source, t, n, packed)
+
+
+def similarity_classes(objects: DataFrame, measure: str, t: float, generator: str = "bands", verifier: str = "estimate", **options) -> tuple[DataFrame, DataFrame]:
+    """Pairs between representatives of equal objects, and id to rep of every object: copies are never paired with each other."""
+    reps, members = C.collapse_duplicates(objects)
+    return similarity_join(stage(reps, "representatives"), measure, t, generator, verifier, **options), members
 
 
 def similarity_search(queries: DataFrame, corpus: DataFrame, measure: str, t: float | None = None, k: int | None = None) -> DataFrame:

@@ -11,7 +11,7 @@ from simweave.operators.hashing import minhash, sign_bits
 from simweave.operators.ranges import asof_join, range_join
 from simweave.operators.vectorize import binary_weights, shingle_sets, tfidf, word_sets
 from simweave.plans.staging import keep, release, scratch, stage
-from simweave.plans.planner import choose_band_width, fit_beta_prior, similarity_join, similarity_search
+from simweave.plans.planner import choose_band_width, fit_beta_prior, similarity_classes, similarity_join, similarity_search
 from simweave.workloads import collection, decision_of
 
 D = "/root/testdata/sf0.01"
@@ -50,7 +50,7 @@ def test_strategies_and_groupings_agree(spark):
     key = lambda df: sorted(map(tuple, df.select("id_a", "id_b", "n_used", "matches", "status").collect()))
     base = key(V.verify_estimate(c, s, table, False))
     assert base == key(V.verify_estimate(c, s, table, False, groups=())) == key(V.verify_estimate(c, s, table, False, groups=(64, 128, 256)))
-    assert base == key(V.verify_estimate(V.fused_candidates(s, table, 3, 27, False), s, table, False))
+    assert base == key(V.verify_estimate(V.fused_candidates(s, table, 3, 27, False), s, table, False, start=V.FIRST))
     assert pairs(C.banded(s, 3, 27, False, "first_band")) == pairs(c) == pairs(C.banded(s, 3, 27, False, max_bucket=2))
 
 
@@ -112,7 +112,7 @@ def test_search_topk_and_prior(spark):
     top = similarity_search(sets.where("id = 1"), sets.where("id > 1"), "jaccard", k=1).collect()
     assert [(r["id_b"], round(r["similarity"], 2)) for r in top] == [(2, 0.75)]
     assert fit_beta_prior(C.all_pairs(sets.limit(1)), sets) == (1.0, 1.0)
-    assert choose_band_width("cosine", 0.9, 0.03, 10_000, 4096).w in (8, 16, 32)
+    assert choose_band_width("cosine", 0.9, 0.03, 10_000, 4096).w in (8, 10, 12, 14, 16, 20, 24, 28, 32)
 
 
 def test_binary_vectors_have_unit_length(spark):
@@ -122,6 +122,58 @@ def test_binary_vectors_have_unit_length(spark):
     assert {r["id"] for r in tfidf(docs).collect()} == {1, 3}
 
 
+def test_group_bounds():
+    assert V.group_bounds(480, 32, 96) == [0, 96, 384, 480] and V.group_bounds(3360, 32, 704) == [0, 128, 512, 704, 2816, 3360]
+    assert V.group_bounds(64, 32) == [0, 64] and V.group_bounds(512, 64) == [0, 128, 512] and V.group_bounds(512, 32, 704, 128) == [128, 512] and V.group_bounds(128, 32, 128, 128) == [128]
+
+
+@pytest.mark.parametrize("measure,name,t", [("jaccard", "docs_words", 0.4), ("cosine", "emb_noisy", 0.6), ("cosine_binary", "docs_words", 0.6)])
+def test_lazy_fused_and_eager_walks_agree(spark, measure, name, t):
+    objects = stage(collection(spark, "/root/testdata/sf0.001", name), "objects")
+    rows = lambda **own: sorted(map(tuple, similarity_join(objects, measure, t, w=8 if measure != "jaccard" else 3, **own).collect()))
+    eager = rows(lazy=False, strategy="rounds")
+    assert eager and eager == rows(lazy=True, strategy="rounds") == rows(lazy=True, strategy="fused") == rows(max_bucket=3, strategy="fused") == rows(max_bucket=3, strategy="rounds")
+    assert rows(verifier="prune_exact", strategy="rounds") == rows(verifier="prune_exact", strategy="fused", max_bucket=2)
+    assert rows(reuse_hashes=False, lazy=True) == rows(reuse_hashes=False, lazy=False)
+
+
+def test_bands_of_any_width(spark):
+    s = spark.createDataFrame([(1, [0b1011 | 5 << 30, 7]), (2, [0xFFFFFFFF, 0xFFFFFFFF])], "id long, sig array<long>")
+    for w in (5, 12, 20, 32):
+        bits = [sum(((x >> k) & 1) << (32 * j + k) for j, x in enumerate(sig) for k in range(32)) for sig in ([0b1011 | (5 << 30 & 0xFFFFFFFF), 7], [0xFFFFFFFF] * 2)]
+        got = [r[0] for r in s.where("id = 2").select(C.band_keys(w, 64 // w, True)).collect()]
+        assert got[0] == [bits[1] >> (w * b) & ((1 << w) - 1) for b in range(64 // w)]
+
+
+def test_wider_bands_for_more_objects():
+    for measure, t in (("cosine", 0.7), ("jaccard", 0.5)):
+        widths = [choose_band_width(measure, t, 0.03, n, 1 << 20).w for n in (10**3, 10**5, 10**7, 10**9)]
+        assert widths == sorted(widths) and widths[-1] > widths[0]
+
+
+@pytest.mark.parametrize("measure,t", [("jaccard", 0.3), ("jaccard", 0.7), ("cosine_binary", 0.6)])
+def test_suffix_filter_loses_nothing_and_prunes(spark, measure, t):
+    sets = stage(collection(spark, D, "docs_words").where("id < 400"), "sets")
+    truth = pairs(X.brute_force_join(sets, t, measure))
+    plain, filtered = (pairs(X.set_prefix_candidates(sets, t, measure, suffix=s)) for s in (False, True))
+    assert truth <= filtered <= plain and (len(filtered) < len(plain) or len(plain) == len(truth))
+    assert pairs(X.set_prefix_candidates(sets, t, measure, suffix=True, max_bucket=5)) == filtered
+
+
+def test_upper_bound_check_loses_nothing_and_prunes(spark):
+    v = stage(collection(spark, "/root/testdata/sf0.001", "cust_supp"), "vectors")
+    truth = pairs(X.brute_force_join(v, 0.6, "cosine"))
+    plain, checked = (pairs(X.prefix_candidates(v, 0.6, upper_bound_check=c)) for c in (False, True))
+    assert truth <= checked < plain and pairs(X.prefix_candidates(v, 0.6, upper_bound_check=True, max_bucket=4)) == checked
+
+
+def test_representatives_and_members(spark):
+    sets = sets_of(spark, [(1, [1, 2, 3, 4]), (5, [1, 2, 3, 4]), (7, [1, 2, 3]), (9, [8])])
+    found, members = similarity_classes(sets, "jaccard", 0.5, "sharing", "exact")
+    assert pairs(found) == {(1, 7)} and dict(members.select("id", "rep").collect()) == {1: 1, 5: 1, 7: 7, 9: 9}
+    assert dict(C.collapse_duplicates(binary_weights(sets))[1].collect()) == {1: 1, 5: 1, 7: 7, 9: 9}
+
+
 def test_components(spark):
     edges = spark.createDataFrame([(5, 4), (4, 3), (3, 2), (2, 1), (9, 8), (7, 7), (8, 9), (None, 3)], "a long, b long")
     assert dict(connected_components(edges).collect()) == {1: 1, 2: 1, 3: 1, 4: 1, 5: 1, 7: 7, 8: 8, 9: 8}
