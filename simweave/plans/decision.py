@@ -79,14 +79,29 @@ class DecisionTable:
         ]
 
 
-def _runs(flags: list[bool], first: int) -> list[tuple[int, int]]:
-    out: list[tuple[int, int]] = []
-    for m, flag in enumerate(flags, first):
-        if flag and out and out[-1][1] == m - 1:
-            out[-1] = (out[-1][0], m)
-        elif flag:
-            out.append((m, m))
-    return out
+def _accepted(posterior, params: JoinParams, n: int, low: int) -> list[tuple[int, int]]:
+    """Runs of m from low to n at which the estimate is accurate enough.
+
+    An estimate is least certain where half of the hashes agree and more certain the farther from there, so each side of the
+    middle is one run that a binary search finds.
+    """
+    good = lambda m: posterior.concentration(params.delta, m, n) >= 1 - params.gamma
+    middle = min(max(low, n // 2), n)
+    if low > n:
+        return []
+    below = -1
+    if low <= middle and good(low):
+        lo, hi = low, middle
+        while lo < hi:
+            mid = (lo + hi + 1) // 2
+            lo, hi = (mid, hi) if good(mid) else (lo, mid - 1)
+        below = lo
+    lo, hi = max(middle, below + 1), n + 1
+    while lo < hi:
+        mid = (lo + hi) // 2
+        lo, hi = (lo, mid) if good(mid) else (mid + 1, hi)
+    runs = ([(low, below)] if below >= 0 else []) + ([(lo, n)] if lo <= n else [])
+    return [(low, n)] if len(runs) == 2 and runs[0][1] + 1 == runs[1][0] else runs
 
 
 @lru_cache(maxsize=256)
@@ -94,22 +109,21 @@ def decision_table(posterior, params: JoinParams, estimates: bool = True) -> Dec
     """The table for params; with estimates, also the runs of m at which the estimate is accurate enough."""
     cap = round_up(params.cap or required_cap(posterior, params), params.step)
     fewest = min_matches(posterior, params.t, params.eps, params.step, cap)
-    accepted = []
-    for k, n in enumerate(range(params.step, cap + 1, params.step)):
-        flags = [estimates and posterior.concentration(params.delta, m, n) >= 1 - params.gamma for m in range(fewest[k], n + 1)]
-        accepted.append(_runs(flags, fewest[k]))
+    accepted = [_accepted(posterior, params, n, fewest[k]) if estimates else [] for k, n in enumerate(range(params.step, cap + 1, params.step))]
     return DecisionTable(params, posterior, cap, fewest, accepted)
 
 
 @lru_cache(maxsize=256)
-def required_cap(posterior, params: JoinParams, most: int = 8192) -> int:
-    """Smallest multiple of the step from which on every pair that is not pruned is accepted."""
+def required_cap(posterior, params: JoinParams, most: int = 1 << 17) -> int:
+    """Smallest multiple of the step from which on every pair that is not pruned is accepted; an error if that is over most."""
     n, quiet, out = params.step, 0, params.step
-    while n <= most and quiet < 8:
+    while quiet < 8:
+        if n > most:
+            raise ValueError(f"more than {most} hashes are needed; choose a larger delta or gamma, or give a cap")
         low = min_matches(posterior, params.t, params.eps, n, n)[0]
         # the least certain survivor is the one with a share of matches nearest a half
-        worst = min(range(low, n + 1), key=lambda m: abs(m / n - 0.5), default=None)
-        near = [m for m in {low, worst, min(n, (worst or 0) + 1), max(low, (worst or 0) - 1)} if m is not None and low <= m <= n]
+        worst = min(max(low, n // 2), n)
+        near = [m for m in {low, worst, min(n, worst + 1), max(low, worst - 1)} if low <= m <= n]
         if all(posterior.concentration(params.delta, m, n) >= 1 - params.gamma for m in near):
             quiet += 1
         else:

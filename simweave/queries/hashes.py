@@ -49,21 +49,9 @@ def h04(spark, d):
 
 @query(
     "h05_packed_matches",
-    f"""WITH h AS MATERIALIZED ({S.sign_bits('user_events', 64)}) SELECT a.id AS id_a, b.id AS id_b, sum((a.h = b.h)::INT)::INT AS m FROM h a JOIN h b ON a.j = b.j AND a.id < b.id WHERE a.id < 20 GROUP BY ALL""",
-)
-def h05(spark, d):
-    s = stage(sign_bits(collection(spark, d, "user_events"), 64), "bits")
-    a = s.where("id < 20").select(F.col("id").alias("id_a"), F.col("sig").alias("a"))
-    b = s.select(F.col("id").alias("id_b"), F.col("sig").alias("b"))
-    m = matches(F.get("a", F.lit(0)), F.get("b", F.lit(0))) + matches(F.get("a", F.lit(1)), F.get("b", F.lit(1)))
-    return a.join(b, F.col("id_a") < F.col("id_b")).select("id_a", "id_b", m.cast("int").alias("m"))
-
-
-@query(
-    "h05_packed_matches_whole",
     f"""WITH h AS MATERIALIZED ({S.sign_bits('user_events', 64)}) SELECT a.id AS id_a, b.id AS id_b, sum((a.h = b.h)::INT)::INT AS m FROM h a JOIN h b ON a.j = b.j AND a.id < b.id GROUP BY ALL""",
 )
-def h05_whole(spark, d):
+def h05(spark, d):
     s = stage(sign_bits(collection(spark, d, "user_events"), 64), "bits")
     a, b = (s.select(F.col("id").alias(f"id_{x}"), F.col("sig").alias(x)) for x in "ab")
     m = matches(F.get("a", F.lit(0)), F.get("b", F.lit(0))) + matches(F.get("a", F.lit(1)), F.get("b", F.lit(1)))

@@ -15,13 +15,15 @@ from simweave.plans.staging import stage
 from simweave.queries import query
 from simweave.workloads import METHODS, collection, decision_of, run_method
 
-#: Collections and parameters of the grid; the caps keep the oracles' hash tables small.
+#: Collections and parameters of the grid. cap is what the required accuracy takes at any similarity, n the match fraction's hashes;
+#: the band widths are given, so that the oracles have the same bands at every size of the tables.
+SIDE = {"jaccard": "jaccard", "cosine": "cosine", "cosine_binary": "cosine"}
 GRID = {
-    "jaccard": {"name": "page_links", "t": 0.5, "w": 3, "cap": 480, "n": 360},
-    "cosine": {"name": "user_events", "t": 0.5, "w": 8, "cap": 512, "n": 512},
-    "cosine_binary": {"name": "page_links", "t": 0.7, "w": 8, "cap": 512, "n": 512},
+    m: {"name": name, "t": t, "w": w, "cap": decision_of(SIDE[m], t).cap, "n": n}
+    for m, name, t, w, n in (("jaccard", "page_links", 0.5, 3, 360), ("cosine", "user_events", 0.5, 8, 2048), ("cosine_binary", "page_links", 0.7, 8, 2048))
 }
-SIDE = {"jaccard": "jaccard", "cosine": "cosine", "cosine_binary": "cosine"}
+#: The cap of the queries that show what happens at one.
+SMALL = 512
 
 
 def _round(df):
@@ -33,9 +35,13 @@ def _bands(measure: str) -> int:
     return C.num_bands(g["t"], g["w"], 0.03, SIDE[measure])
 
 
-def _hash_sql(measure: str, n: int | None = None) -> str:
-    g = GRID[measure]
-    return S.hashes(g["name"], SIDE[measure], n or max(g["cap"], -(-_bands(measure) * g["w"] // 32) * 32))
+def _band_hashes(measure: str) -> int:
+    return -(-_bands(measure) * GRID[measure]["w"] // 32) * 32
+
+
+def _hash_sql(measure: str, n: int = 0) -> str:
+    """At least n hashes, and what the bands need."""
+    return S.hashes(GRID[measure]["name"], SIDE[measure], max(n, _band_hashes(measure)))
 
 
 def _cands_sql(measure: str) -> str:
@@ -47,7 +53,7 @@ def _sigs(spark, d, measure: str):
     g = GRID[measure]
     objects = stage(collection(spark, d, g["name"]), "objects")
     vectors = binary_weights(objects) if measure == "cosine_binary" else objects
-    n = max(g["cap"], -(-_bands(measure) * g["w"] // 32) * 32)
+    n = max(SMALL, _band_hashes(measure))
     return objects, stage(minhash(objects, n) if measure == "jaccard" else sign_bits(vectors, n), "sigs")
 
 
@@ -109,13 +115,8 @@ def c06(spark, d):
     return C.sharing_pairs(collection(spark, d, "page_links").select("id", F.explode("features").alias("feature")))
 
 
-@query("c06_all_pairs", "SELECT a.page_id AS id_a, b.page_id AS id_b FROM pages a JOIN pages b ON a.page_id < b.page_id WHERE a.page_id < 40 AND b.page_id < 40")
+@query("c06_all_pairs", "SELECT a.page_id AS id_a, b.page_id AS id_b FROM pages a JOIN pages b ON a.page_id < b.page_id")
 def c06_all(spark, d):
-    return C.all_pairs(spark.read.parquet(f"{d}/pages.parquet").where("page_id < 40").select(F.col("page_id").alias("id")))
-
-
-@query("c06_all_pairs_whole")
-def c06_all_whole(spark, d):
     """Every pair of pages: rows grow with the square of the table."""
     return C.all_pairs(spark.read.parquet(f"{d}/pages.parquet").select(F.col("page_id").alias("id")))
 
@@ -147,10 +148,12 @@ def c09_k(spark, d):
 
 @query(
     "c09_cross_collection",
-    f"WITH h AS MATERIALIZED ({_hash_sql('jaccard')}), k AS (SELECT id, j // 3 AS band, list(h ORDER BY j) AS key FROM h WHERE j < {3 * _bands('jaccard')} GROUP BY id, j // 3) SELECT DISTINCT a.id AS id_a, b.id AS id_b FROM k a JOIN k b ON a.band = b.band AND a.key = b.key WHERE a.id % 2 = 0 AND b.id % 2 = 1",
+    f"WITH h AS MATERIALIZED ({S.minhash('docs_words', 96)}), k AS (SELECT id, j // 3 AS band, list(h ORDER BY j) AS key FROM h WHERE j < {3 * _bands('jaccard')} GROUP BY id, j // 3) SELECT DISTINCT a.id AS id_a, b.id AS id_b FROM k a JOIN k b ON a.band = b.band AND a.key = b.key WHERE a.id % 2 = 0 AND b.id % 2 = 1",
 )
 def c09_cross(spark, d):
-    _, s = _sigs(spark, d, "jaccard")
+    """Even and odd documents as two collections."""
+    sets = collection(spark, d, "docs_words").where(F.size("features") > 0)
+    s = stage(minhash(sets, 96), "sigs")
     return C.cross_banded(s.where("id % 2 = 0"), s.where("id % 2 = 1"), 3, _bands("jaccard"), False)
 
 
@@ -168,10 +171,10 @@ def _prefix_cands(measure: str) -> str:
     return f"SELECT DISTINCT a.id AS id_a, b.id AS id_b FROM ({prefix}) a JOIN ({prefix}) b ON a.feature = b.feature AND a.id < b.id"
 
 
-def _estimate_sql(measure: str, tail: str = "WHERE status <> 'pruned'", cands: str | None = None) -> str:
+def _estimate_sql(measure: str, tail: str = "WHERE status <> 'pruned'", cands: str | None = None, cap: int | None = None) -> str:
     g = GRID[measure]
-    table = decision_of(SIDE[measure], g["t"], g["cap"])
-    return f"""WITH h AS MATERIALIZED ({_hash_sql(measure)}), c AS MATERIALIZED ({cands or _cands_sql(measure)}), k AS ({S.walk('h', 'SELECT * FROM c', table)})
+    table = decision_of(SIDE[measure], g["t"], cap or g["cap"])
+    return f"""WITH h AS MATERIALIZED ({_hash_sql(measure, table.cap)}), c AS MATERIALIZED ({cands or _cands_sql(measure)}), k AS ({S.walk('h', 'SELECT * FROM c', table)})
       SELECT id_a, id_b, round({S.estimate(SIDE[measure])}, 6) AS similarity, n_used::INT AS n_used, matches::INT AS matches, CASE WHEN status = 'continue' THEN 'capped' ELSE status END AS status FROM k {tail}"""
 
 
@@ -187,13 +190,13 @@ def _prune_exact_sql(measure: str, cands: str | None = None) -> str:
     g = GRID[measure]
     h = 64 if measure == "jaccard" else 128
     table = decision_table(default_posterior(measure), JoinParams(g["t"], cap=h), False)
-    return f"WITH h AS MATERIALIZED ({_hash_sql(measure)}), c AS MATERIALIZED ({cands or _cands_sql(measure)}), k AS MATERIALIZED ({S.walk('h', 'SELECT * FROM c', table)}) " + _truth_join(measure, "SELECT * FROM k WHERE status <> 'pruned'")
+    return f"WITH h AS MATERIALIZED ({_hash_sql(measure, h)}), c AS MATERIALIZED ({cands or _cands_sql(measure)}), k AS MATERIALIZED ({S.walk('h', 'SELECT * FROM c', table)}) " + _truth_join(measure, "SELECT * FROM k WHERE status <> 'pruned'")
 
 
 def _classical_sql(measure: str) -> str:
     g = GRID[measure]
     value = f"cos(pi() * (1 - m / {g['n']}::DOUBLE))" if measure != "jaccard" else f"m / {g['n']}::DOUBLE"
-    return f"""WITH h AS MATERIALIZED ({_hash_sql(measure, max(g['n'], g['cap'], -(-_bands(measure) * g['w'] // 32) * 32))}), c AS MATERIALIZED ({_cands_sql(measure)}),
+    return f"""WITH h AS MATERIALIZED ({_hash_sql(measure, g['n'])}), c AS MATERIALIZED ({_cands_sql(measure)}),
       k AS (SELECT c.id_a, c.id_b, sum((x.h = y.h)::INT) AS m FROM c JOIN h x ON x.id = c.id_a JOIN h y ON y.id = c.id_b AND y.j = x.j WHERE x.j < {g['n']} GROUP BY ALL)
       SELECT id_a, id_b, round({value}, 6) AS similarity, m::INT AS matches FROM k WHERE round({value}, 9) >= {g['t']}"""
 
@@ -212,7 +215,7 @@ for _m in GRID:
     @query(f"v01_estimate_{_m}", _estimate_sql(_m))
     def v01(spark, d, m=_m):
         g = GRID[m]
-        return _round(similarity_join(collection(spark, d, g["name"]), m, g["t"], "bands", "estimate", cap=g["cap"], **_own(m)))
+        return _round(similarity_join(collection(spark, d, g["name"]), m, g["t"], "bands", "estimate", **_own(m)))
 
     @query(f"v02_prune_exact_{_m}", _prune_exact_sql(_m))
     def v02(spark, d, m=_m):
@@ -222,7 +225,7 @@ for _m in GRID:
     @query(f"v03_classical_{_m}", _classical_sql(_m))
     def v03(spark, d, m=_m):
         g = GRID[m]
-        return _round(similarity_join(collection(spark, d, g["name"]), m, g["t"], "bands", "classical", n=g["n"], **_own(m)))
+        return _round(similarity_join(collection(spark, d, g["name"]), m, g["t"], "bands", "classical", **_own(m)))
 
     @query(f"v04_exact_{_m}", _exact_sql(_m))
     def v04(spark, d, m=_m):
@@ -230,37 +233,30 @@ for _m in GRID:
         return _round(similarity_join(collection(spark, d, g["name"]), m, g["t"], "bands", "exact", **_own(m)))
 
 
-#: Both cosines without a cap of the grid's: enough bits for (delta, gamma) at any similarity, 2048 bits for the match fraction.
-for _m in ("cosine", "cosine_binary"):
-
-    @query(f"v01_estimate_{_m}_fullcap")
-    def v01_full(spark, d, m=_m):
-        g = GRID[m]
-        return _round(similarity_join(collection(spark, d, g["name"]), m, g["t"], "bands", "estimate", **_own(m)))
-
-    @query(f"v03_classical_{_m}_fullcap")
-    def v03_full(spark, d, m=_m):
-        g = GRID[m]
-        return _round(similarity_join(collection(spark, d, g["name"]), m, g["t"], "bands", "classical", **_own(m)))
-
-
 @query("v05_fused_equals_rounds", _estimate_sql("cosine"))
 def v05(spark, d):
     g = GRID["cosine"]
-    return _round(similarity_join(collection(spark, d, g["name"]), "cosine", g["t"], "bands", "estimate", cap=g["cap"], strategy="fused", **_own("cosine")))
+    return _round(similarity_join(collection(spark, d, g["name"]), "cosine", g["t"], "bands", "estimate", strategy="fused", **_own("cosine")))
+
+
+@query("v06_rounds", _estimate_sql("cosine"))
+def v06(spark, d):
+    """Listed candidates and signatures made up to the cap for every object."""
+    g = GRID["cosine"]
+    return _round(similarity_join(collection(spark, d, g["name"]), "cosine", g["t"], "bands", "estimate", strategy="rounds", lazy=False, **_own("cosine")))
 
 
-@query("v07_emit_on_cap", _estimate_sql("cosine", "WHERE status = 'continue'"))
+@query("v07_emit_on_cap", _estimate_sql("cosine", "WHERE status = 'continue'", cap=SMALL))
 def v07_emit(spark, d):
     g = GRID["cosine"]
-    out = similarity_join(collection(spark, d, g["name"]), "cosine", g["t"], "bands", "estimate", cap=g["cap"], **_own("cosine"))
+    out = similarity_join(collection(spark, d, g["name"]), "cosine", g["t"], "bands", "estimate", cap=SMALL, **_own("cosine"))
     return _round(out.where("status = 'capped'"))
 
 
 def _extend_sql() -> str:
     g = GRID["cosine"]
     table = decision_of("cosine", g["t"], 2 * 256)
-    return f"""WITH h AS MATERIALIZED ({_hash_sql('cosine')}), c AS MATERIALIZED ({_cands_sql('cosine')}), k AS ({S.walk('h', 'SELECT * FROM c', table)})
+    return f"""WITH h AS MATERIALIZED ({_hash_sql('cosine', 512)}), c AS MATERIALIZED ({_cands_sql('cosine')}), k AS ({S.walk('h', 'SELECT * FROM c', table)})
       SELECT id_a, id_b, round({S.estimate('cosine')}, 6) AS similarity, n_used::INT AS n_used, matches::INT AS matches, CASE WHEN status = 'continue' THEN 'capped' ELSE status END AS status FROM k WHERE status <> 'pruned'"""
 
 
@@ -274,7 +270,7 @@ def v07_extend(spark, d):
 def _exact_on_cap_sql() -> str:
     g = GRID["cosine"]
     table = decision_of("cosine", g["t"], 128)
-    return f"""WITH h AS MATERIALIZED ({_hash_sql('cosine')}), c AS MATERIALIZED ({_cands_sql('cosine')}), k AS MATERIALIZED ({S.walk('h', 'SELECT * FROM c', table)}),
+    return f"""WITH h AS MATERIALIZED ({_hash_sql('cosine', 128)}), c AS MATERIALIZED ({_cands_sql('cosine')}), k AS MATERIALIZED ({S.walk('h', 'SELECT * FROM c', table)}),
       e AS (SELECT * FROM ({S.truth(g['name'], 'cosine', 0.0001)}))
       SELECT k.id_a, k.id_b, round(CASE WHEN k.status = 'continue' THEN e.similarity ELSE {S.estimate('cosine')} END, 6) AS similarity, n_used::INT AS n_used, matches::INT AS matches,
         CASE WHEN k.status = 'continue' THEN 'exact' ELSE k.status END AS status FROM k LEFT JOIN e ON e.id_a = k.id_a AND e.id_b = k.id_b
@@ -291,7 +287,7 @@ def v07_exact(spark, d):
 def _trace_sql() -> str:
     table = decision_of("jaccard", 0.5, 480)
     limits = ", ".join(f"({k}, {m})" for k, m in enumerate(table.fewest[:4]))
-    return f"""WITH h AS MATERIALIZED ({_hash_sql('jaccard')}), p AS (SELECT id_a, id_b FROM ({S.truth('page_links', 'jaccard', 0.5)}))
+    return f"""WITH h AS MATERIALIZED ({_hash_sql('jaccard', 128)}), p AS (SELECT id_a, id_b FROM ({S.truth('page_links', 'jaccard', 0.5)}))
       SELECT id_a, id_b, ((n + 1) * 32)::INT AS n, m::INT AS m, l.f::INT AS fewest, round(m / ((n + 1) * 32)::DOUBLE, 6) AS estimate FROM (
         SELECT id_a, id_b, n, sum(m) OVER (PARTITION BY id_a, id_b ORDER BY n) AS m FROM (SELECT p.id_a, p.id_b, x.j // 32 AS n, sum((x.h = y.h)::INT) AS m FROM p JOIN h x ON x.id = p.id_a
         JOIN h y ON y.id = p.id_b AND y.j = x.j WHERE x.j < 128 GROUP BY ALL)) q JOIN (VALUES {limits}) l(k, f) ON l.k = q.n"""
@@ -349,15 +345,5 @@ for _method in METHODS:
 
         @query(f"{_method}_{_m}", _grid_sql(_method, _m))
         def grid(spark, d, method=_method, m=_m):
-            g = GRID[m]
-            own = {"cap": g["cap"]} if METHODS[method][1] == "estimate" else {"n": g["n"]} if METHODS[method][1] == "classical" else {}
-            return _round(run_method(stage(collection(spark, d, g["name"]), "objects"), method, m, g["t"], **_own(m), **own))
-
-
-for _method in ("bs_pe", "wp_pe", "bs_ml"):
-    for _m in ("cosine", "cosine_binary"):
-
-        @query(f"{_method}_{_m}_fullcap")
-        def grid_full(spark, d, method=_method, m=_m):
             g = GRID[m]
             return _round(run_method(stage(collection(spark, d, g["name"]), "objects"), method, m, g["t"], **_own(m)))

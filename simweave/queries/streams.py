@@ -66,32 +66,14 @@ def s03(spark, d):
 _BANDS = C.num_bands(0.5, 3, 0.03)
 
 
-def _incremental_sql() -> str:
-    t = decision_of("jaccard", 0.5, 96)
-    name = "docs_shingles"
-    return f"""WITH h AS MATERIALIZED (SELECT * FROM ({S.minhash(name, 96)}) WHERE id < 300), c AS MATERIALIZED ({S.bands('h', 3, _BANDS)}), k AS ({S.walk('h', 'SELECT * FROM c', t)})
-      SELECT id_a, id_b, round({S.estimate('jaccard')}, 6) AS similarity, n_used::INT AS n_used, matches::INT AS matches, CASE WHEN status = 'continue' THEN 'capped' ELSE status END AS status FROM k WHERE status <> 'pruned'"""
-
-
-@query("s04_incremental_join", _incremental_sql())
+@query("s04_incremental_join")
 def s04(spark, d):
-    """300 documents arrive in 4 batches; the union of the batches' pairs is the pairs of one join."""
-    docs = table(spark, d, "documents", "doc_id", "text").where("doc_id < 300")
-    decisions = decision_of("jaccard", 0.5, 96)
-    join = T.IncrementalJoin(
-        spark, lambda b: minhash(shingle_sets(b).where(F.size("features") > 0), 96), lambda s: C.banded(s, 3, _BANDS, False), lambda p, s: V.verify_estimate(p, s, decisions, False)
-    )
-    return _round(join.run(T.replay(docs, "doc_id", 4)))
-
-
-@query("s04_incremental_join_whole")
-def s04_whole(spark, d):
     """All documents arrive in 4 batches, under the default cap; SQL over all of them is too slow, tests compare with one join."""
     docs = table(spark, d, "documents", "doc_id", "text")
     decisions = decision_of("jaccard", 0.5)
     n = max(decisions.cap, 3 * _BANDS)
     join = T.IncrementalJoin(
-        spark, lambda b: minhash(shingle_sets(b).where(F.size("features") > 0), n), lambda s: C.banded(s, 3, _BANDS, False), lambda p, s: V.verify_estimate(p, s, decisions, False)
+        spark, lambda b: minhash(shingle_sets(b).where(F.size("features") > 0), n), lambda s: C.banded(s, 3, _BANDS, False), lambda a, b: C.cross_banded(a, b, 3, _BANDS, False), lambda p, s: V.verify_estimate(p, s, decisions, False)
     )
     return _round(join.run(T.replay(docs, "doc_id", 4)))
 
@@ -104,8 +86,13 @@ def s05(spark, d):
 
 @query("s06_drift")
 def s06(spark, d):
-    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
-    return T.run_to_table(T.drift(T.replay(_events(spark, d), "ts", 3)), "update")
+    key, own = "spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, own)
+    try:
+        return T.run_to_table(T.drift(T.replay(_events(spark, d), "ts", 3)), "update")
+    finally:
+        spark.conf.unset(key) if before is None else spark.conf.set(key, before)
 
 
 @query(
@@ -116,16 +103,11 @@ def s06(spark, d):
 )
 def s07(spark, d):
     """Users with alike event mixes in each window of ten days: windows close in the stream, pairs are joined per window."""
-    rows = []
     stream = T.replay(_events(spark, d), "ts", 3).withWatermark("ts", "1 hour")
     counts = stream.groupBy(F.floor(F.unix_timestamp("ts") / 864000).alias("w"), "user_id", "event_type").agg(F.count(F.lit(1)).cast("double").alias("n"))
     done = stage(T.run_to_table(counts, "complete"), "windows")
     norms = done.groupBy("w", "user_id").agg(F.sqrt(F.sum(F.col("n") * F.col("n"))).alias("s"))
     vectors = stage(done.join(norms, ["w", "user_id"]).select(F.col("user_id").alias("id"), F.concat_ws(":", "w", "event_type").alias("feature"), (F.col("n") / F.col("s")).alias("weight"), "w"), "vectors")
-    for r in vectors.select("w").distinct().collect():
-        own = brute_force_join(vectors.where(F.col("w") == r["w"]).drop("w"), 0.97, "cosine")
-        rows.append(own.select(F.lit(r["w"]).alias("w"), "id_a", "id_b", F.round("similarity", 6).alias("similarity")))
-    out = rows[0]
-    for x in rows[1:]:
-        out = out.unionByName(x)
-    return out
+    a, b = (vectors.select("w", "feature", F.col("id").alias(f"id_{x}"), F.col("weight").alias(f"w{x}")) for x in "ab")
+    dots = a.join(b, ["w", "feature"]).where("id_a < id_b").groupBy("w", "id_a", "id_b").agg(F.sum(F.col("wa") * F.col("wb")).alias("similarity"))
+    return dots.where(F.round("similarity", 9) >= 0.97).withColumn("similarity", F.round("similarity", 6))

@@ -2,26 +2,29 @@
 
 from __future__ import annotations
 
-import time
-
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from simweave.operators import candidates as C
 from simweave.operators import exact as X
+from simweave.functions.posterior import BetaPosterior
 from simweave.operators import metrics as M
+from simweave.operators import verify as V
 from simweave.operators.components import connected_components
+from simweave.operators.hashing import minhash, sign_bits
 from simweave.operators.vectorize import shingle_sets
 from simweave.oracles import sql as S
 from simweave.plans.decision import JoinParams, decision_table
-from simweave.plans.planner import default_posterior, similarity_join
+from simweave.plans.planner import default_posterior, fit_beta_prior, similarity_join
 from simweave.plans.staging import stage
 from simweave.queries import query
 from simweave.queries.joins import _prefix_sql
 from simweave.sources.tables import table
-from simweave.workloads import METHODS, collection, counts_over_thresholds, parameter_sweep, quality_table, run_method, trail, w01_profiles, w08_pruning_curves
+from simweave.workloads import METHODS, collection, counts_over_thresholds, parameter_sweep, quality_table, run_method, timed, trail, w01_profiles, w08_pruning_curves
 
-NAME, T, CAP = "user_events", 0.5, 512
+NAME, T = "user_events", 0.5
+#: Hashes that the required accuracy takes at any similarity.
+CAP = decision_table(default_posterior("cosine"), JoinParams(T)).cap
 
 
 def _table(measure: str, t: float, cap: int, estimates: bool = True, **own):
@@ -42,7 +45,7 @@ def _walk_ctes(name: str, t: float, cap: int, generator: str = "bands", estimate
 
 
 def _trail(spark, d, cap=CAP):
-    return stage(trail(spark, d, NAME, "cosine", T, cap=cap), "trail")
+    return stage(trail(spark, d, NAME, "cosine", T, cap=cap, w=8), "trail")
 
 
 def _truth(spark, d):
@@ -55,13 +58,10 @@ _K = _walk_ctes(NAME, T, CAP)
 
 @query("a01_timing")
 def a01(spark, d):
-    """Seconds of one run of each method, candidate generation included, into a sink that drops its rows."""
+    """Mean seconds of three runs of each method with three seeds, candidate generation included, into a sink that drops its rows; a
+    method that passes the limit is cancelled and marked."""
     objects = stage(collection(spark, d, "page_links"), "objects")
-    rows = []
-    for m in ("bs_pe", "bs_px", "bs_exact", "sp_exact"):
-        start = time.perf_counter()
-        run_method(objects, m, "jaccard", 0.5).write.format("noop").mode("overwrite").save()
-        rows.append((m, 0.5, time.perf_counter() - start, False))
+    rows = [(m, 0.5, *timed(spark, lambda seed, m=m: run_method(objects, m, "jaccard", 0.5, seed=seed), limit=300.0)) for m in ("bs_pe", "bs_px", "bs_ml", "bs_exact", "sp_exact")]
     return spark.createDataFrame(rows, "method string, t double, seconds double, timed_out boolean")
 
 
@@ -144,16 +144,6 @@ def a11(spark, d, cap=CAP):
     return M.precision(_trail(spark, d, cap).where("status <> 'pruned'"), truth).withColumn("precision", F.round("precision", 6))
 
 
-#: The same measures without CAP: enough bits for (delta, gamma) at any similarity.
-for _name, _measure in {
-    "a03_recall": a03, "a04_false_negatives": a04, "a05_error_share": a05, "a06_mean_error": a06, "a07_pruning_curve": a07, "a08_bytes_examined": a08, "a09_set_sizes": a09, "a10_hash_work": a10, "a11_precision": a11,
-}.items():
-
-    @query(f"{_name}_fullcap")
-    def full(spark, d, measure=_measure):
-        return measure(spark, d, None)
-
-
 def _profile_sql(name: str) -> str:
     long = S.long_form(name)
     return f"""SELECT '{name}' AS collection, count(*) AS vectors, (SELECT count(DISTINCT feature) FROM ({long})) AS dimensions, round(avg(n), 6) AS avg_length, sum(n)::BIGINT AS non_zeros, round(var_pop(n), 4) AS var_length
@@ -177,116 +167,136 @@ def _count_sql(names, measure, ts) -> str:
     return " UNION ALL ".join(f"(SELECT '{n}' AS collection, {t}::DOUBLE AS t, count(*) AS pairs FROM ({S.truth(n, measure, t)}))" for n in names for t in ts)
 
 
-@query("w02_weighted_cosine", _count_sql(("user_events", "cust_supp", "page_words"), "cosine", (0.5, 0.7, 0.9)))
+_HIGH, _LOW = (0.5, 0.6, 0.7, 0.8, 0.9), (0.3, 0.4, 0.5, 0.6, 0.7)
+_WEIGHTED, _BINARY = ("user_events", "cust_supp", "page_words", "docs_tfidf"), ("page_links", "docs_shingles", "docs_words")
+
+
+@query("w02_weighted_cosine", _count_sql(_WEIGHTED, "cosine", _HIGH))
 def w02(spark, d):
-    return counts_over_thresholds(spark, d, ("user_events", "cust_supp", "page_words"), "cosine", (0.5, 0.7, 0.9), "wp_exact")
+    return counts_over_thresholds(spark, d, _WEIGHTED, "cosine", _HIGH, "wp_exact")
 
 
-@query("w03_binary_jaccard", _count_sql(("page_links", "docs_shingles", "docs_words"), "jaccard", (0.3, 0.5, 0.7)))
+@query("w03_binary_jaccard", _count_sql(_BINARY, "jaccard", _LOW))
 def w03(spark, d):
-    return counts_over_thresholds(spark, d, ("page_links", "docs_shingles", "docs_words"), "jaccard", (0.3, 0.5, 0.7), "sp_exact")
+    return counts_over_thresholds(spark, d, _BINARY, "jaccard", _LOW, "sp_exact")
 
 
-@query("w04_binary_cosine", _count_sql(("page_links", "docs_words"), "cosine_binary", (0.5, 0.7, 0.9)))
+@query("w04_binary_cosine", _count_sql(_BINARY, "cosine_binary", _HIGH))
 def w04(spark, d):
-    return counts_over_thresholds(spark, d, ("page_links", "docs_words"), "cosine_binary", (0.5, 0.7, 0.9), "sp_exact")
+    return counts_over_thresholds(spark, d, _BINARY, "cosine_binary", _HIGH, "sp_exact")
+
+
+#: Every method at every threshold on document vectors and sets: what it finds of the true pairs. Signatures beyond SQL's reach.
+for _key, _name, _m, _ts in (("w02_methods", "docs_tfidf", "cosine", _HIGH), ("w03_methods", "docs_shingles", "jaccard", _LOW), ("w04_methods", "docs_words", "cosine_binary", _HIGH)):
+
+    @query(_key)
+    def w_methods(spark, d, name=_name, m=_m, ts=_ts):
+        return quality_table(spark, d, name, m, ts, tuple(x for x in METHODS if not (x == "sp_exact" and m == "cosine")), family="table" if m != "jaccard" else "wide")
 
 
 @query("w05_fastest_variant")
 def w05(spark, d):
-    """Seconds of every method on one collection, and the ratio to the fastest."""
-    objects = stage(collection(spark, d, NAME), "objects")
-    rows = []
-    for m in ("wp_exact", "wp_px", "bs_exact", "bs_ml", "bs_pe", "bs_px"):
-        start = time.perf_counter()
-        run_method(objects, m, "cosine", 0.7, family="table").write.format("noop").mode("overwrite").save()
-        rows.append((m, 0.7, time.perf_counter() - start, False))
-    return M.speedups(spark.createDataFrame(rows, "method string, t double, seconds double, timed_out boolean"), min(rows, key=lambda r: r[2])[0])
-
-
-def _quality_sql(method: str, t: float, cap: int = CAP, tail: str = "", **own) -> str:
-    generator, verifier = METHODS[method]
-    if verifier == "classical":
-        ctes = _walk_ctes(NAME, t, cap, generator) + f""", o2 AS (SELECT id_a, id_b, cos(pi() * (1 - m / {cap}::DOUBLE)) AS est FROM (SELECT c.id_a, c.id_b, sum((x.h = y.h)::INT) AS m FROM c
-          JOIN h x ON x.id = c.id_a JOIN h y ON y.id = c.id_b AND y.j = x.j WHERE x.j < {cap} GROUP BY ALL) WHERE round(cos(pi() * (1 - m / {cap}::DOUBLE)), 9) >= {t})"""
-        o = "o2"
-    elif verifier == "prune_exact":
-        ctes = _walk_ctes(NAME, t, 128, generator, False) + f""", o2 AS (SELECT o.id_a, o.id_b, e.similarity AS est FROM o JOIN e ON e.id_a = o.id_a AND e.id_b = o.id_b WHERE round(e.similarity, 9) > {t})"""
-        o = "o2"
-    else:
-        ctes, o = _walk_ctes(NAME, t, cap, generator, **own), "o"
-    return f"""(WITH {ctes} SELECT '{method}' AS method, {t}::DOUBLE AS t, (SELECT count(*) FROM tr JOIN {o} USING (id_a, id_b)) AS found, (SELECT count(*) FROM tr) AS truth,
-      round((SELECT count(*) FROM tr JOIN {o} USING (id_a, id_b)) / nullif((SELECT count(*) FROM tr), 0)::DOUBLE, 6) AS recall,
-      round((SELECT avg((abs(q.est - coalesce(e.similarity, 0)) > 0.05)::INT) FROM {o} q LEFT JOIN e USING (id_a, id_b)), 6) AS error_share,
-      round((SELECT avg(abs(q.est - coalesce(e.similarity, 0))) FROM {o} q LEFT JOIN e USING (id_a, id_b)), 6) AS mean_error{tail})"""
+    """Mean seconds of three runs of every method on document vectors over thresholds, and the ratio to the fastest."""
+    objects = stage(collection(spark, d, "docs_tfidf"), "objects")
+    rows = [
+        (m, t, *timed(spark, lambda seed, m=m, t=t: run_method(objects, m, "cosine", t, family="table", seed=seed), limit=120.0))
+        for m in ("wp_exact", "wp_pe", "wp_px", "bs_exact", "bs_ml", "bs_pe", "bs_px") for t in (0.7, 0.9)
+    ]
+    total = {m: sum(r[2] for r in rows if r[0] == m) for m, *_ in rows}
+    return M.speedups(spark.createDataFrame(rows, "method string, t double, seconds double, timed_out boolean"), min(total, key=total.get))
 
 
-@query("w06_recall", " UNION ALL ".join(_quality_sql(m, t) for t in (0.5, 0.6) for m in ("wp_pe", "wp_px")))
+@query("w06_recall")
 def w06(spark, d):
-    return quality_table(spark, d, NAME, "cosine", (0.5, 0.6), ("wp_pe",), cap=CAP).unionByName(quality_table(spark, d, NAME, "cosine", (0.5, 0.6), ("wp_px",)))
+    """Recall of the prefix join's candidates under both pruned verifications, on document vectors."""
+    return quality_table(spark, d, "docs_tfidf", "cosine", _HIGH, ("wp_pe", "wp_px"), family="table")
 
 
-@query("w07_error_shares", " UNION ALL ".join(_quality_sql(m, t) for t in (0.5, 0.6) for m in ("bs_ml", "bs_pe")))
+@query("w07_error_shares")
 def w07(spark, d):
-    return quality_table(spark, d, NAME, "cosine", (0.5, 0.6), ("bs_pe",), cap=CAP).unionByName(quality_table(spark, d, NAME, "cosine", (0.5, 0.6), ("bs_ml",), n=CAP))
-
-
-@query("w06_recall_fullcap")
-def w06_full(spark, d):
-    return quality_table(spark, d, NAME, "cosine", (0.5, 0.6), ("wp_pe", "wp_px"))
-
-
-@query("w07_error_shares_fullcap")
-def w07_full(spark, d):
-    return quality_table(spark, d, NAME, "cosine", (0.5, 0.6), ("bs_ml", "bs_pe"))
+    """Errors of the match fraction and of the posterior estimate over banded candidates, on document vectors."""
+    return quality_table(spark, d, "docs_tfidf", "cosine", _HIGH, ("bs_ml", "bs_pe"), family="table")
 
 
 @query("w08_pruning_curves")
 def w08(spark, d):
-    return w08_pruning_curves(spark, d, cap=512)
+    return w08_pruning_curves(spark, d, (("docs_tfidf", "cosine"), ("cust_supp", "cosine"), ("docs_words", "cosine_binary")))
 
 
 @query("w08_pruning_curve_parity", _curve_sql(_walk_ctes(NAME, 0.6, 256)))
 def w08_parity(spark, d):
-    return M.pruning_curve(trail(spark, d, NAME, "cosine", 0.6, cap=256), 32)
+    return M.pruning_curve(trail(spark, d, NAME, "cosine", 0.6, cap=256, w=8), 32)
 
 
 @query("w09_sweep_cost")
 def w09(spark, d):
-    return parameter_sweep(spark, d, NAME, 0.5).select("parameter", "value", "hashes")
-
-
-_SWEEP = [(p, v) for p in ("gamma", "delta", "eps") for v in (0.03, 0.09)]
+    """Hashes compared for five values of each parameter, on document vectors at 0.7."""
+    return parameter_sweep(spark, d, "docs_tfidf", 0.7, quality=False)
 
 
-def _sweep_sql(p: str, v: float) -> str:
-    own = {"gamma": 0.05, "delta": 0.05, "eps": 0.05, p: v}
-    inner = _quality_sql("bs_pe", T, 2048, ", (SELECT sum(n_used) FROM k)::BIGINT AS hashes", **own)
-    return f"(SELECT '{p}' AS parameter, {v}::DOUBLE AS value, hashes, error_share, mean_error, recall FROM {inner})"
-
-
-@query("w10_sweep_quality", " UNION ALL ".join(_sweep_sql(p, v) for p, v in _SWEEP))
+@query("w10_sweep_quality")
 def w10(spark, d):
-    return parameter_sweep(spark, d, NAME, T, (0.03, 0.09), family="parity")
+    """Error share, mean error and recall for the same values."""
+    return parameter_sweep(spark, d, "docs_tfidf", 0.7)
 
 
 @query("w12_ablations")
 def w12(spark, d):
-    """The same join under other choices: pairs found, hashes compared, recall."""
-    objects, truth = _truth(spark, d)
+    """The same join under other choices: candidates, hashes compared, pairs found, recall, error share."""
+    objects = stage(collection(spark, d, "docs_tfidf"), "objects")
+    truth = stage(X.brute_force_join(objects, 0.7, "cosine"), "truth")
+    fixed = {"family": "table", "w": 12}
     variants = {
-        "base": {}, "disjoint hashes": {"reuse_hashes": False}, "step 64": {"step": 64}, "step 128": {"step": 128}, "no accept test": {"delta": 0.0001, "gamma": 0.0001},
+        "base": {}, "disjoint hashes": {"reuse_hashes": False}, "step 64": {"step": 64}, "step 128": {"step": 128}, "fused": {"strategy": "fused"}, "all hashes at once": {"lazy": False},
+        "no accept test": {"delta": 0.0001, "gamma": 0.0001, "cap": 2048}, "no prune test": {"eps": 1e-12},
     }
     out = None
     for name, own in variants.items():
-        walk = stage(similarity_join(objects, "cosine", T, "bands", "estimate", cap=CAP, family="table", with_trail=True, **own), "variant")
-        row = M.recall(walk.where("status <> 'pruned'"), truth).join(F.broadcast(walk.agg(F.count(F.lit(1)).alias("candidates"), F.sum("n_used").alias("hashes"))))
-        row = row.select(F.lit(name).alias("variant"), "candidates", "hashes", "found", F.round("recall", 6).alias("recall"))
+        trail_ = name != "fused"
+        walk = stage(similarity_join(objects, "cosine", 0.7, "bands", "estimate", with_trail=trail_, **fixed, **own), "variant")
+        found = walk.where("status <> 'pruned'")
+        errors = M.errors(found, X.exact_similarity(found.select("id_a", "id_b"), objects, "cosine"))
+        row = M.recall(found, truth).join(F.broadcast(errors)).join(F.broadcast(walk.agg(F.count(F.lit(1)).alias("candidates"), F.sum("n_used").alias("hashes"))))
+        row = row.select(F.lit(name).alias("variant"), "candidates", "hashes", "found", F.round("recall", 6).alias("recall"), F.round("error_share", 6).alias("error_share"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("w12_priors")
+def w12_priors(spark, d):
+    """Flat prior against one fitted to a sample of the candidates' exact similarities, on sets."""
+    objects = stage(collection(spark, d, "docs_shingles"), "objects")
+    truth = stage(X.brute_force_join(objects, 0.5, "jaccard"), "truth")
+    pairs = stage(C.banded(stage(minhash(objects.where(F.size("features") > 0), 96, family="wide"), "bits"), 3, C.num_bands(0.5, 3), False), "pairs")
+    out = None
+    for name, posterior in (("flat", BetaPosterior()), ("fitted", BetaPosterior(*fit_beta_prior(pairs, objects)))):
+        walk = stage(similarity_join(objects, "jaccard", 0.5, pairs, "estimate", family="wide", posterior=posterior, with_trail=True), "variant")
+        found = walk.where("status <> 'pruned'")
+        errors = M.errors(found, X.exact_similarity(found.select("id_a", "id_b"), objects, "jaccard"))
+        row = M.recall(found, truth).join(F.broadcast(errors)).join(F.broadcast(walk.agg(F.count(F.lit(1)).alias("candidates"), F.sum("n_used").alias("hashes"))))
+        shape = [F.lit(round(x, 6)).alias(n) for n, x in (("alpha", posterior.alpha), ("beta", posterior.beta))]
+        row = row.select(F.lit(name).alias("prior"), *shape, "candidates", "hashes", "found", F.round("recall", 6).alias("recall"), F.round("error_share", 6).alias("error_share"))
         out = row if out is None else out.unionByName(row)
-    fused = similarity_join(objects, "cosine", T, "bands", "estimate", cap=CAP, family="table", strategy="fused", with_trail=True)
-    fused = stage(fused, "variant")
-    row = M.recall(fused.where("status <> 'pruned'"), truth).join(F.broadcast(fused.agg(F.count(F.lit(1)).alias("candidates"), F.sum("n_used").alias("hashes"))))
-    return out.unionByName(row.select(F.lit("fused").alias("variant"), "candidates", "hashes", "found", F.round("recall", 6).alias("recall")))
+    return out
+
+
+@query("w12_inference_savers")
+def w12_savers(spark, d):
+    """Posterior evaluations that the walks of all candidates take: for each pair and round, with the fewest matches known in
+    advance, and with concentrations kept by cell as well (what the decision table does)."""
+    table_ = _table("cosine", T, 512)
+    objects = stage(collection(spark, d, NAME), "objects")
+    s = stage(sign_bits(objects, 704), "bits")
+    pairs = stage(C.banded(s, 8, C.num_bands(T, 8, 0.03, "cosine"), True), "pairs")
+    ends = V.walk_pairs(pairs, s, table_, True)
+    visits = V.trace_pairs(pairs, s, table_, True, table_.cap).join(ends.select("id_a", "id_b", "n_used"), ["id_a", "id_b"]).where("n <= n_used")
+    per = visits.agg(F.count(F.lit(1)).alias("rounds"), F.count_if(F.col("m") >= F.col("fewest")).alias("kept"), F.countDistinct(F.when(F.col("m") >= F.col("fewest"), F.struct("n", "m"))).alias("cells"))
+    searches = F.lit(sum((n + 1).bit_length() for n in range(32, table_.cap + 1, 32)))
+    rows = F.array(
+        F.struct(F.lit("none").alias("savers"), (F.col("rounds") + F.col("kept")).alias("evaluations")), F.struct(F.lit("fewest matches").alias("savers"), (searches + F.col("kept")).alias("evaluations")),
+        F.struct(F.lit("fewest matches and cells").alias("savers"), (searches + F.col("cells")).alias("evaluations")),
+    )
+    return per.select(F.explode(rows).alias("r")).select("r.*")
 
 
 _W14 = ("user_events", "cust_supp")
@@ -301,8 +311,6 @@ _W14 = ("user_events", "cust_supp")
     ),
 )
 def w14(spark, d):
-    from simweave.operators.hashing import sign_bits
-
     out = None
     for n in _W14:
         v = stage(collection(spark, d, n), "vectors")
@@ -369,61 +377,3 @@ def w18(spark, d):
     labels = table(spark, d, "labels", "doc_id", "quality").where("quality is not null")
     votes = near.join(labels, near["other"] == labels["doc_id"]).groupBy("id").agg(F.count(F.lit(1)).alias("votes"), F.sum("quality").alias("good"))
     return votes.select(F.col("id").alias("doc_id"), "votes", (F.col("good") * 2 > F.col("votes")).cast("int").alias("guess"))
-
-
-#: The workloads in full: their collections, thresholds, methods and parameter values, with the planner's own caps. Too slow for SQL.
-_WEIGHTED = ("docs_tfidf", "page_words", "cust_supp", "cust_brand", "emb_noisy")
-_BINARY = ("docs_words", "docs_shingles", "order_parts", "page_links")
-_HIGH, _LOW = (0.5, 0.6, 0.7, 0.8, 0.9), (0.3, 0.4, 0.5, 0.6, 0.7)
-
-
-def _union(frames):
-    out = None
-    for f in frames:
-        out = f if out is None else out.unionByName(f)
-    return out
-
-
-def _all_counts(spark, d, names, measure, ts):
-    methods = [m for m in METHODS if not (m == "sp_exact" and measure == "cosine")]
-    return _union(counts_over_thresholds(spark, d, names, measure, ts, m).withColumn("method", F.lit(m)) for m in methods)
-
-
-@query("w02_weighted_cosine_survey")
-def w02_survey(spark, d):
-    return _all_counts(spark, d, _WEIGHTED, "cosine", _HIGH)
-
-
-@query("w03_binary_jaccard_survey")
-def w03_survey(spark, d):
-    return _all_counts(spark, d, _BINARY, "jaccard", _LOW)
-
-
-@query("w04_binary_cosine_survey")
-def w04_survey(spark, d):
-    return _all_counts(spark, d, _BINARY, "cosine_binary", _HIGH)
-
-
-@query("w06_recall_survey")
-def w06_survey(spark, d):
-    return _union(quality_table(spark, d, n, "cosine", _HIGH, ("wp_pe", "wp_px")).withColumn("collection", F.lit(n)) for n in _WEIGHTED)
-
-
-@query("w07_error_shares_survey")
-def w07_survey(spark, d):
-    return _union(quality_table(spark, d, n, "cosine", _HIGH, ("bs_ml", "bs_pe")).withColumn("collection", F.lit(n)) for n in _WEIGHTED)
-
-
-@query("w08_pruning_curves_survey")
-def w08_survey(spark, d):
-    return w08_pruning_curves(spark, d, (("docs_tfidf", "cosine"), ("cust_supp", "cosine"), ("docs_words", "cosine_binary")))
-
-
-@query("w09_sweep_cost_survey")
-def w09_survey(spark, d):
-    return parameter_sweep(spark, d, "docs_tfidf", 0.7, cap=None).select("parameter", "value", "hashes")
-
-
-@query("w10_sweep_quality_survey")
-def w10_survey(spark, d):
-    return parameter_sweep(spark, d, "docs_tfidf", 0.7, cap=None)

@@ -73,26 +73,25 @@ def clicks_to_purchases(events_a: DataFrame, events_b: DataFrame, hours: int = 1
 
 
 class IncrementalJoin:
-    """New objects against a stored signature table, batch by batch; results and signatures are partitioned by batch.
+    """New objects against each other (candidates) and against a stored signature table (cross), batch by batch; stored objects are
+    not joined with each other again. Results and signatures are partitioned by batch.
 
     A batch that is run again replaces its own partitions, so the sink is idempotent.
     """
 
-    def __init__(self, spark: SparkSession, sign, candidates, verify):
-        self.spark, self.sign, self.candidates, self.verify = spark, sign, candidates, verify
+    def __init__(self, spark: SparkSession, sign, candidates, cross, verify):
+        self.spark, self.sign, self.candidates, self.cross, self.verify = spark, sign, candidates, cross, verify
         self.store, self.pairs = _dir(spark, "signature-store"), _dir(spark, "pair-store")
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         new = stage(self.sign(batch), "batch-signatures")
         old = self.spark.read.schema("id long, sig array<long>, batch long").parquet(self.store).where(F.col("batch") < batch_id).drop("batch") if batch_id else new.limit(0)
         new.withColumn("batch", F.lit(batch_id).cast("long")).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("batch").parquet(self.store)
-        every = stage(old.unionByName(new), "known-signatures")
-        fresh = new.select("id")
-        found = self.candidates(every)
-        by_a = found.join(fresh.withColumnRenamed("id", "id_a"), "id_a", "left_semi")
-        by_b = found.join(fresh.withColumnRenamed("id", "id_b"), "id_b", "left_semi")
-        touched = by_a.unionByName(by_b).distinct()
-        out = self.verify(touched, every).withColumn("batch", F.lit(batch_id).cast("long"))
+        touched = self.candidates(new)
+        if batch_id:
+            met = self.cross(new, old)
+            touched = touched.unionByName(met.select(F.least("id_a", "id_b").alias("id_a"), F.greatest("id_a", "id_b").alias("id_b")))
+        out = self.verify(touched.where("id_a < id_b").distinct(), old.unionByName(new)).withColumn("batch", F.lit(batch_id).cast("long"))
         out.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("batch").parquet(self.pairs)
 
     def run(self, stream: DataFrame) -> DataFrame:

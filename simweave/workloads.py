@@ -2,14 +2,20 @@
 
 from __future__ import annotations
 
+import time
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from simweave.operators import metrics as M
+from simweave.operators.candidates import banded, num_bands
 from simweave.operators.exact import brute_force_join, exact_similarity
+from simweave.operators.hashing import HashSource, sign_bits
 from simweave.operators.vectorize import dense_vectors, idf_weighted, profile, sets_from_edges, shingle_sets, tfidf, word_sets
-from simweave.plans.planner import default_posterior, similarity_join
-from simweave.plans.decision import JoinParams, decision_table
+from simweave.operators.verify import verify_estimate
+from simweave.plans.decision import JoinParams, decision_table, round_up
+from simweave.plans.planner import choose_band_width, default_posterior, n_objects_of, similarity_join
 from simweave.plans.staging import stage
 from simweave.sources.tables import table
 
@@ -117,12 +123,47 @@ def counts_over_thresholds(spark: SparkSession, d: str, names: tuple[str, ...],
     return out
 
 
+def timed(spark: SparkSession, run, limit: float, seeds: tuple[int, ...] = (1, 2, 3)) -> tuple[float, bool]:
+    """Mean seconds of run(seed).write to a sink that drops its rows, and whether a run passed limit seconds and was cancelled (the
+    seconds are then a lower bound)."""
+    from pyspark import InheritableThread
+
+    total = 0.0
+    for k, seed in enumerate(seeds, 1):
+        group, failed = f"timed-{uuid.uuid4().hex[:8]}", []
+
+        def work(seed=seed, group=group, failed=failed) -> None:
+            spark.sparkContext.setJobGroup(group, "timed run", interruptOnCancel=True)
+            try:
+                run(seed).write.format("noop").mode("overwrite").save()
+            except Exception as e:  # noqa: BLE001 - raised below unless it is the cancellation
+                failed.append(e)
+
+        thread, start = InheritableThread(target=work), time.perf_counter()
+        thread.start()
+        thread.join(limit)
+        late = thread.is_alive()
+        while thread.is_alive():
+            spark.sparkContext.cancelJobGroup(group)
+            thread.join(1.0)
+        total += time.perf_counter() - start
+        if late:
+            return total / k, True
+        if failed:
+            raise failed[0]
+    return total / len(seeds), False
+
+
 def quality_table(spark: SparkSession, d: str, name: str, measure: str, thresholds: tuple[float, ...], methods: tuple[str, ...], **options) -> DataFrame:
-    """Recall, error share and mean error of methods over thresholds: method, t, found, truth, recall, error_share, mean_error."""
+    """Recall, error share and mean error of methods over thresholds: method, t, found, truth, recall, error_share, mean_error.
+
+    The truth is joined once, at the lowest threshold, and so are the exact similarities of what a method finds.
+    """
     objects = stage(collection(spark, d, name), "collection")
+    lowest = stage(brute_force_join(objects, min(thresholds), measure), "truth")
     out = None
     for t in thresholds:
-        truth = stage(brute_force_join(objects, t, measure), "truth")
+        truth = lowest.where(F.round("similarity", 9) >= t)
         for m in methods:
             found = stage(run_method(objects, m, measure, t, **options), "found")
             known = stage(exact_similarity(found.select("id_a", "id_b"), objects, measure), "known")
@@ -146,20 +187,30 @@ def w08_pruning_curves(spark: SparkSession, d: str, names: tuple[tuple[str, str]
     return out
 
 
-def parameter_sweep(spark: SparkSession, d: str, name: str = "page_words", t: float = 0.7, values: tuple[float, ...] = (0.01, 0.03, 0.05, 0.07, 0.09), family: str = "table", cap: int | None = 2048, **options) -> DataFrame:
-    """gamma, delta and eps in turn over values, the other two at 0.05: hashes compared, error share, mean error, recall."""
+def parameter_sweep(spark: SparkSession, d: str, name: str = "docs_tfidf", t: float = 0.7, values: tuple[float, ...] = (0.01, 0.03, 0.05, 0.07, 0.09), family: str = "table", cap: int | None = None, quality: bool = True, **options) -> DataFrame:
+    """gamma, delta and eps in turn over values, the other two at 0.05: parameter, value, hashes compared and, with quality, error
+    share, mean error and recall. Candidates are found once, and hashes are made as long as pairs are open."""
     objects = stage(collection(spark, d, name), "collection")
-    truth = stage(brute_force_join(objects, t, "cosine"), "truth")
-    known = None
+    width = choose_band_width("cosine", t, 0.03, n_objects_of(objects)).w
+    bands = num_bands(t, width, 0.03, "cosine")
+    made = round_up(max(width * bands, 512), 32)
+    sigs = stage(sign_bits(objects, made, family=family), "sweep-bits")
+    pairs = stage(banded(sigs, width, bands, True), "sweep-pairs")
+    truth = stage(brute_force_join(objects, t, "cosine"), "truth") if quality else None
+    known = stage(exact_similarity(pairs, objects, "cosine"), "known") if quality else None
     out = None
     for parameter in ("gamma", "delta", "eps"):
         for v in values:
             own = {"gamma": 0.05, "delta": 0.05, "eps": 0.05, parameter: v}
-            walk = stage(similarity_join(objects, "cosine", t, "bands", "estimate", with_trail=True, family=family, cap=cap, **own, **options), "sweep")
-            found = walk.where("status <> 'pruned'")
-            known = stage(exact_similarity(found.select("id_a", "id_b"), objects, "cosine"), "known")
-            row = M.recall(found, truth).join(F.broadcast(M.errors(found, known, 0.05))).join(F.broadcast(walk.agg(F.sum("n_used").alias("hashes"))))
-            row = row.select(F.lit(parameter).alias("parameter"), F.lit(v).alias("value"), "hashes", F.round("error_share", 6).alias("error_share"), F.round("mean_error", 6).alias("mean_error"), F.round("recall", 6).alias("recall"))
+            table_ = decision_table(default_posterior("cosine"), JoinParams(t, cap=cap, **own))
+            walk = stage(verify_estimate(pairs, HashSource(sigs, made, objects, "cosine", family=family), table_, True, with_trail=True, **options), "sweep")
+            hashes = walk.agg(F.sum("n_used").alias("hashes")).select(F.lit(parameter).alias("parameter"), F.lit(v).alias("value"), "hashes")
+            if quality:
+                found = walk.where("status <> 'pruned'")
+                row = hashes.join(F.broadcast(M.recall(found, truth))).join(F.broadcast(M.errors(found, known, 0.05)))
+                row = row.select("parameter", "value", "hashes", F.round("error_share", 6).alias("error_share"), F.round("mean_error", 6).alias("mean_error"), F.round("recall", 6).alias("recall"))
+            else:
+                row = hashes
             out = row if out is None else out.unionByName(row)
     return out
 

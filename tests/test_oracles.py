@@ -7,7 +7,8 @@ from simweave.queries import load
 
 D = "/root/testdata/sf0.001"
 QUERIES, ORACLES = load()
-SLOW = {"a01_timing", "w05_fastest_variant", "w08_pruning_curves", "w09_sweep_cost", "w12_ablations"}
+#: Many joins each; test_survey_workloads.py runs what they are made of.
+SLOW = {"a01_timing", "w02_methods", "w03_methods", "w04_methods", "w05_fastest_variant", "w06_recall", "w07_error_shares", "w08_pruning_curves", "w09_sweep_cost", "w10_sweep_quality", "w12_ablations", "w12_priors", "w12_inference_savers"}
 
 
 @pytest.fixture(scope="module")
