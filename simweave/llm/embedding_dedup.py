@@ -26,7 +26,7 @@ COSINE = 0.93
 #: agrees with probability 0.851, for orthogonal vectors (distance 1.414) with 0.486.
 WIDTH, MISSED = 2.0, 1e-6
 #: Cost of a bucket entry, which is shuffled, in tests of a pair that meets by chance.
-ENTRY_COST = 10
+ENTRY_COST = 1
 #: Of 128 sign bits, the most that may differ at cosine 0.93 (expected 15.3, 6 deviations higher).
 MOST_DIFFERENT = 38
 #: Vectors of a class that one task multiplies with as many others, and members of a bucket that meet in one task.
