@@ -4,6 +4,10 @@ from __future__ import annotations
 
 import uuid
 
+import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
+
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
