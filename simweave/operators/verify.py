@@ -74,14 +74,13 @@ def _attach(pairs: DataFrame, sigs: DataFrame | HashSource, lo: int, hi: int, pa
 
 
 def group_bounds(upto: int, step: int, made: int | None = None, start: int = 0) -> list[int]:
-    """Ends of the groups of rounds from start to upto: they grow by LONGER, and one ends where the made hashes do."""
-    made = min(made // step * step if made else upto, upto)
-    out, x = [start], max(min(FIRST // step * step or step, made), start * LONGER)
+    """Ends of the groups of rounds from start to upto: the first is FIRST or what is made already, each further one LONGER times
+    as far, and a last one that would be short joins the one before."""
+    first = max(min(FIRST, made or FIRST) // step * step, step)
+    out, x = [start], start * LONGER or first
     while out[-1] < upto:
-        stop = made if out[-1] < made < x else min(x, upto)
-        if stop > out[-1]:
-            out.append(stop)
-        x = max(out[-1] * LONGER, step)
+        out.append(upto if 2 * x >= upto and out[-1] or x >= upto else x)
+        x = out[-1] * LONGER
     return out
 
 

@@ -123,7 +123,7 @@ def test_binary_vectors_have_unit_length(spark):
 
 
 def test_group_bounds():
-    assert V.group_bounds(480, 32, 96) == [0, 96, 384, 480] and V.group_bounds(3360, 32, 704) == [0, 128, 512, 704, 2816, 3360]
+    assert V.group_bounds(480, 32, 96) == [0, 96, 480] and V.group_bounds(3360, 32, 704) == [0, 128, 512, 3360] and V.group_bounds(37760, 32) == [0, 128, 512, 2048, 8192, 37760]
     assert V.group_bounds(64, 32) == [0, 64] and V.group_bounds(512, 64) == [0, 128, 512] and V.group_bounds(512, 32, 704, 128) == [128, 512] and V.group_bounds(128, 32, 128, 128) == [128]
 
 
