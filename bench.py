@@ -9,6 +9,7 @@ from __future__ import annotations
 import json
 import os
 import shutil
+import sys
 import tempfile
 import time
 
@@ -56,6 +57,7 @@ def main() -> None:
                     made: list = []
                     took, over = timed(spark, lambda seed, m=m, t=t, made=made: made.append(stage(run_method(objects, m, measure, t, **options), "bench-out")) or made[0], LIMIT, (1,))
                     seconds[key], late[m] = round(took, 2), late[m] or over
+                    print(key, seconds[key], "timed out" if over else "", file=sys.stderr, flush=True)
                     if over:
                         quality[key] = {"timed_out": True}
                         continue
