@@ -4,7 +4,11 @@ from __future__ import annotations
 
 import time
 import uuid
+from collections.abc import Callable, Iterable
+from concurrent.futures import ThreadPoolExecutor
+from functools import reduce
 
+from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -155,6 +159,17 @@ def timed(spark: SparkSession, run, limit: float, seeds: tuple[int, ...] = (1, 2
     return total / len(seeds), False
 
 
+#: Independent runs that a table of measures submits at once; their small jobs leave most cores idle one by one.
+AT_ONCE = 4
+
+
+def side_by_side(one: Callable[..., DataFrame], cases: Iterable) -> DataFrame:
+    """The rows of one(case) for all cases, in order: each is written by its own thread, and an error in one is raised."""
+    work = inheritable_thread_target(lambda case: stage(one(case), "row"))
+    with ThreadPoolExecutor(AT_ONCE) as pool:
+        return reduce(DataFrame.unionByName, list(pool.map(work, cases)))
+
+
 def quality_table(spark: SparkSession, d: str, name: str, measure: str, thresholds: tuple[float, ...], methods: tuple[str, ...], **options) -> DataFrame:
     """Recall, error share and mean error of methods over thresholds: method, t, found, truth, recall, error_share, mean_error.
 
@@ -162,16 +177,16 @@ def quality_table(spark: SparkSession, d: str, name: str, measure: str, threshol
     """
     objects = stage(collection(spark, d, name), "collection")
     lowest = stage(brute_force_join(objects, min(thresholds), measure), "truth")
-    out = None
-    for t in thresholds:
+
+    def one(case: tuple[float, str]) -> DataFrame:
+        t, m = case
         truth = lowest.where(F.round("similarity", 9) >= t)
-        for m in methods:
-            found = stage(run_method(objects, m, measure, t, **options), "found")
-            known = stage(exact_similarity(found.select("id_a", "id_b"), objects, measure), "known")
-            row = M.recall(found, truth).join(F.broadcast(M.errors(found, known, 0.05)))
-            row = row.select(F.lit(m).alias("method"), F.lit(t).alias("t"), "found", "truth", F.round("recall", 6).alias("recall"), F.round("error_share", 6).alias("error_share"), F.round("mean_error", 6).alias("mean_error"))
-            out = row if out is None else out.unionByName(row)
-    return out
+        found = stage(run_method(objects, m, measure, t, **options), "found")
+        known = stage(exact_similarity(found.select("id_a", "id_b"), objects, measure), "known")
+        row = M.recall(found, truth).join(F.broadcast(M.errors(found, known, 0.05)))
+        return row.select(F.lit(m).alias("method"), F.lit(t).alias("t"), "found", "truth", F.round("recall", 6).alias("recall"), F.round("error_share", 6).alias("error_share"), F.round("mean_error", 6).alias("mean_error"))
+
+    return side_by_side(one, [(t, m) for t in thresholds for m in methods])
 
 
 def trail(spark: SparkSession, d: str, name: str, measure: str, t: float, generator: str = "bands", **options) -> DataFrame:
@@ -199,21 +214,20 @@ def parameter_sweep(spark: SparkSession, d: str, name: str = "docs_tfidf", t: fl
     pairs = stage(banded(sigs, width, bands, True), "sweep-pairs")
     truth = stage(brute_force_join(objects, t, "cosine"), "truth") if quality else None
     known = stage(exact_similarity(pairs, objects, "cosine"), "known") if quality else None
-    out = None
-    for parameter in ("gamma", "delta", "eps"):
-        for v in values:
-            own = {"gamma": 0.05, "delta": 0.05, "eps": 0.05, parameter: v}
-            table_ = decision_table(default_posterior("cosine"), JoinParams(t, cap=cap, **own))
-            walk = stage(verify_estimate(pairs, HashSource(sigs, made, objects, "cosine", family=family), table_, True, with_trail=True, **options), "sweep")
-            hashes = walk.agg(F.sum("n_used").alias("hashes")).select(F.lit(parameter).alias("parameter"), F.lit(v).alias("value"), "hashes")
-            if quality:
-                found = walk.where("status <> 'pruned'")
-                row = hashes.join(F.broadcast(M.recall(found, truth))).join(F.broadcast(M.errors(found, known, 0.05)))
-                row = row.select("parameter", "value", "hashes", F.round("error_share", 6).alias("error_share"), F.round("mean_error", 6).alias("mean_error"), F.round("recall", 6).alias("recall"))
-            else:
-                row = hashes
-            out = row if out is None else out.unionByName(row)
-    return out
+
+    def one(case: tuple[str, float]) -> DataFrame:
+        parameter, v = case
+        own = {"gamma": 0.05, "delta": 0.05, "eps": 0.05, parameter: v}
+        table_ = decision_table(default_posterior("cosine"), JoinParams(t, cap=cap, **own))
+        walk = stage(verify_estimate(pairs, HashSource(sigs, made, objects, "cosine", family=family), table_, True, with_trail=True, **options), "sweep")
+        hashes = walk.agg(F.sum("n_used").alias("hashes")).select(F.lit(parameter).alias("parameter"), F.lit(v).alias("value"), "hashes")
+        if not quality:
+            return hashes
+        found = walk.where("status <> 'pruned'")
+        row = hashes.join(F.broadcast(M.recall(found, truth))).join(F.broadcast(M.errors(found, known, 0.05)))
+        return row.select("parameter", "value", "hashes", F.round("error_share", 6).alias("error_share"), F.round("mean_error", 6).alias("mean_error"), F.round("recall", 6).alias("recall"))
+
+    return side_by_side(one, [(parameter, v) for parameter in ("gamma", "delta", "eps") for v in values])
 
 
 def decision_of(measure: str, t: float, cap: int | None = None, **own):
