@@ -160,10 +160,12 @@ def o08_scalar(spark, d):
 )
 def o09(spark, d):
     r6 = lambda c: F.round(c, 6)
+    # of several lines at the largest price, the first in key order, which SQL's one-threaded scan meets first
+    dearest = F.when(F.col("l_extendedprice").isNotNull() & F.col("l_orderkey").isNotNull(), F.struct("l_extendedprice", -F.col("l_orderkey")))
     return _read(spark, d, "lineitem").groupBy("l_returnflag").agg(
         F.count(F.lit(1)).alias("n"), r6(F.avg("l_quantity")).alias("mean"), F.min("l_shipdate").alias("first_day"), F.max("l_quantity").alias("top"), r6(F.stddev_samp("l_discount")).alias("sd"),
         r6(F.var_pop("l_tax")).alias("vp"), r6(F.corr("l_quantity", "l_extendedprice")).alias("r"), r6(F.covar_samp("l_discount", "l_tax") * 1000).alias("cv"), F.bool_and(F.col("l_quantity") > 0).alias("pos"),
-        F.max_by("l_orderkey", "l_extendedprice").alias("dearest"), r6(F.median("l_quantity")).alias("med"), F.count_if(F.col("l_discount") > 0.05).alias("deals"),
+        F.max_by("l_orderkey", dearest).alias("dearest"), r6(F.median("l_quantity")).alias("med"), F.count_if(F.col("l_discount") > 0.05).alias("deals"),
     )
 
 

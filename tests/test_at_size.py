@@ -1,5 +1,7 @@
 """What only shows on larger tables: ties, orders that a shuffle loses, rows and disk of joins."""
 
+from pyspark.sql import functions as F
+
 from simweave.queries import load
 
 D = "/root/testdata/sf0.001"
@@ -14,3 +16,12 @@ def test_topk_keeps_its_order_through_the_shuffle(spark):
     frame = QUERIES["o08_lateral_topk"](spark, D)
     windows = [line for line in plan(frame).splitlines() if "row_number()" in line and "windowspecdefinition" in line]
     assert windows and all("o_totalprice" in line for line in windows)
+
+
+def test_dearest_line_is_the_first_of_a_tie(spark, tmp_path):
+    lines = spark.read.parquet(f"{D}/lineitem.parquet")
+    shift = lines.agg(F.max("l_orderkey")).first()[0] + 1
+    copies = lines.withColumn("copy", F.explode(F.array(*map(F.lit, reversed(range(6))))))
+    copies.withColumn("l_orderkey", F.col("l_orderkey") + F.col("copy") * shift).drop("copy").repartition(8).write.parquet(f"{tmp_path}/lineitem.parquet")
+    dearest = lambda d: {r["l_returnflag"]: r["dearest"] for r in QUERIES["o09_aggregates"](spark, d).collect()}
+    assert dearest(str(tmp_path)) == dearest(D)
