@@ -1,8 +1,13 @@
 """What only shows on larger tables: ties, orders that a shuffle loses, rows and disk of joins."""
 
+import duckdb
+import pytest
+from oracle import same
 from pyspark.sql import functions as F
 
-from simweave.queries import load
+from simweave.operators import copies, exact
+from simweave.plans import planner
+from simweave.queries import hashes, joins, load
 
 D = "/root/testdata/sf0.001"
 QUERIES, ORACLES = load()
@@ -25,3 +30,39 @@ def test_dearest_line_is_the_first_of_a_tie(spark, tmp_path):
     copies.withColumn("l_orderkey", F.col("l_orderkey") + F.col("copy") * shift).drop("copy").repartition(8).write.parquet(f"{tmp_path}/lineitem.parquet")
     dearest = lambda d: {r["l_returnflag"]: r["dearest"] for r in QUERIES["o09_aggregates"](spark, d).collect()}
     assert dearest(str(tmp_path)) == dearest(D)
+
+
+COPIES = {"pages": ("page_id", 100_000), "events": ("user_id", 100_000)}
+
+
+@pytest.fixture(scope="module")
+def copied(spark, tmp_path_factory):
+    """The tables with each page and each user four times."""
+    d = tmp_path_factory.mktemp("copied")
+    for name in ("events", "pages"):
+        key, shift = COPIES[name]
+        rows = spark.read.parquet(f"{D}/{name}.parquet").withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(3))))
+        rows = rows.withColumn(key, F.col(key) + F.col("copy") * shift)
+        rows = rows.withColumn("event_id", F.col("event_id") + F.col("copy") * shift) if name == "events" else rows
+        rows.drop("copy").write.parquet(f"{d}/{name}.parquet")
+    return str(d)
+
+
+OF_COPIES = ["c01_bands_jaccard", "c07_hot_bucket_blocks", "bs_ml_jaccard", "v03_classical_jaccard", "h07_collision_law_jaccard", "v01_estimate_cosine_binary"]
+OF_COPIES += ["b01_weighted_join_l2", "b01_weighted_join_maxweight", "bs_exact_cosine", "bs_ml_cosine", "v02_prune_exact_cosine", "v03_classical_cosine", "v05_fused_equals_rounds"]
+OF_COPIES += ["a07_pruning_curve", "a08_bytes_examined", "a09_set_sizes", "a10_hash_work"]
+
+
+@pytest.mark.parametrize("name", OF_COPIES)
+def test_copies_are_joined_once_with_the_same_rows(spark, copied, name, monkeypatch):
+    """The oracle's rows on tables of copies, and every dot product, signature and candidate is of distinct objects."""
+    seen = []
+    of = copies.copies_of
+    for module in (joins, hashes, exact, planner):
+        monkeypatch.setattr(module, "copies_of", lambda objects: seen.append(of(objects)) or seen[-1])
+    duck = duckdb.connect()
+    for table in COPIES:
+        duck.execute(f"create view {table} as select * from '{copied}/{table}.parquet/*.parquet'")
+    frame = QUERIES[name](spark, copied)
+    assert same(frame, duck.execute(ORACLES[name]))
+    assert seen and all(c.reps.select("id").distinct().count() * 4 <= c.classes.agg(F.sum(F.size("ids"))).first()[0] for c in seen)
