@@ -66,3 +66,19 @@ def test_copies_are_joined_once_with_the_same_rows(spark, copied, name, monkeypa
     frame = QUERIES[name](spark, copied)
     assert same(frame, duck.execute(ORACLES[name]))
     assert seen and all(c.reps.select("id").distinct().count() * 4 <= c.classes.agg(F.sum(F.size("ids"))).first()[0] for c in seen)
+
+
+MOVED = ["a02_speedups", "a04_prune_probability", "a13_classical_variance", "b05_hashes_needed_inward", "c02_num_bands", "d01_min_matches_cosine", "d01_min_matches_jaccard"]
+MOVED += ["d02_verdicts_cosine", "d02_verdicts_jaccard", "d03_gaussian_codes", "d04_required_cap_cosine", "d04_required_cap_jaccard"]
+
+
+@pytest.mark.parametrize("name", MOVED)
+def test_tables_are_read_by_spark(spark, name):
+    """The rows come from a scan of a given table, and follow it."""
+    assert "Relation" in plan(QUERIES[name](spark, D))
+
+
+def test_levels_follow_the_table(spark, tmp_path):
+    spark.read.parquet(f"{D}/lineitem.parquet").where("l_discount in (0.02, 0.06)").write.parquet(f"{tmp_path}/lineitem.parquet")
+    for name in ("a04_prune_probability", "c02_num_bands", "d01_min_matches_jaccard", "d04_required_cap_cosine"):
+        assert {r["t"] for r in QUERIES[name](spark, str(tmp_path)).collect()} == {0.5, 0.7}
