@@ -43,7 +43,12 @@ def s01_sliding(spark, d):
       SELECT *, (ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) >= INTERVAL 30 MINUTE OR lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) IS NULL)::INT AS fresh FROM events)) GROUP BY user_id, g""",
 )
 def s01_session(spark, d):
-    out = T.run_to_table(T.windowed_counts(T.replay(_events(spark, d), "ts", 4), "session"), "complete")
+    """Append mode: sessions go to files as they close, so neither the driver nor the state holds them all. A last row a day after all
+    others closes theirs; its own stays open and is never written."""
+    events = _events(spark, d)
+    none = [F.lit(None).cast(t).alias(c) for c, t in events.dtypes if c != "ts"]
+    closing = events.agg((F.max("ts") + F.expr("interval 1 day")).alias("ts")).where("ts is not null").select("ts", *none).select(*events.columns)
+    out = T.run_to_table(T.windowed_counts(T.replay(events, "ts", 4, closing), "session"), "append")
     return out.select(F.col("start").cast("timestamp_ntz").alias("start"), "user_id", "n")
 
 

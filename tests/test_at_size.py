@@ -82,3 +82,7 @@ def test_levels_follow_the_table(spark, tmp_path):
     spark.read.parquet(f"{D}/lineitem.parquet").where("l_discount in (0.02, 0.06)").write.parquet(f"{tmp_path}/lineitem.parquet")
     for name in ("a04_prune_probability", "c02_num_bands", "d01_min_matches_jaccard", "d04_required_cap_cosine"):
         assert {r["t"] for r in QUERIES[name](spark, str(tmp_path)).collect()} == {0.5, 0.7}
+
+
+def test_sessions_are_not_collected_on_the_driver(spark):
+    assert "parquet" in QUERIES["s01_session"](spark, D)._jdf.queryExecution().optimizedPlan().toString()
