@@ -5,9 +5,11 @@ import pytest
 from oracle import same
 from pyspark.sql import functions as F
 
-from simweave.operators import copies, exact
+from simweave.operators import blocks, copies, exact
 from simweave.plans import planner
+from simweave.plans.staging import stage
 from simweave.queries import hashes, joins, load
+from simweave.workloads import collection
 
 D = "/root/testdata/sf0.001"
 QUERIES, ORACLES = load()
@@ -86,3 +88,14 @@ def test_levels_follow_the_table(spark, tmp_path):
 
 def test_sessions_are_not_collected_on_the_driver(spark):
     assert "parquet" in QUERIES["s01_session"](spark, D)._jdf.queryExecution().optimizedPlan().toString()
+
+
+@pytest.mark.parametrize("measure,t", [("jaccard", 0.5), ("cosine_binary", 0.7)])
+def test_set_join_in_blocks_shuffles_no_pair(spark, measure, t, monkeypatch):
+    """The rows of the brute force from several blocks; candidates are never rows of a join."""
+    monkeypatch.setattr(blocks, "BLOCK", 6_000)
+    sets = stage(collection(spark, D, "docs_words"), "sets")
+    pairs = lambda frame: {(r["id_a"], r["id_b"], round(r["similarity"], 9)) for r in frame.collect()}
+    frame = exact.exact_set_join(sets, t, measure, suffix=True)
+    assert pairs(frame) == pairs(exact.brute_force_join(sets, t, measure)) != set()
+    assert not any("token" in line for line in plan(frame).splitlines())
