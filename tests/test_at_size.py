@@ -99,3 +99,11 @@ def test_set_join_in_blocks_shuffles_no_pair(spark, measure, t, monkeypatch):
     frame = exact.exact_set_join(sets, t, measure, suffix=True)
     assert pairs(frame) == pairs(exact.brute_force_join(sets, t, measure)) != set()
     assert not any("token" in line for line in plan(frame).splitlines())
+
+
+def test_dot_products_in_blocks_shuffle_no_pair(spark, monkeypatch):
+    monkeypatch.setattr(blocks, "BLOCK", 40_000)
+    vectors = stage(collection(spark, D, "docs_tfidf"), "vectors")
+    pairs = lambda frame: {(r["id_a"], r["id_b"], round(r["similarity"], 8)) for r in frame.collect()}
+    assert pairs(blocks.block_dot_join(vectors, 0.5)) == pairs(exact.brute_force_join(vectors, 0.5, "cosine")) != set()
+    assert "Join" not in plan(QUERIES["b07_brute_force_cosine"](spark, D))
