@@ -107,3 +107,15 @@ def test_dot_products_in_blocks_shuffle_no_pair(spark, monkeypatch):
     pairs = lambda frame: {(r["id_a"], r["id_b"], round(r["similarity"], 8)) for r in frame.collect()}
     assert pairs(blocks.block_dot_join(vectors, 0.5)) == pairs(exact.brute_force_join(vectors, 0.5, "cosine")) != set()
     assert "Join" not in plan(QUERIES["b07_brute_force_cosine"](spark, D))
+
+
+@pytest.mark.parametrize("measure,t", [("jaccard", 0.2), ("cosine_binary", 0.4)])
+def test_counts_in_blocks_shuffle_no_pair(spark, measure, t, monkeypatch):
+    """The rows of the brute force from several blocks and rounds of counting; ids that are far apart, sets without features."""
+    monkeypatch.setattr(blocks, "BLOCK", 6_000)
+    monkeypatch.setattr(blocks, "AT_ONCE", 2_000)
+    words = collection(spark, D, "docs_words").withColumn("id", F.col("id") * 1_000_003)
+    sets = stage(words.unionByName(words.limit(1).select(F.lit(-1).cast("long").alias("id"), F.array().cast("array<long>").alias("features"))), "sets")
+    pairs = lambda frame: sorted((r["id_a"], r["id_b"], round(r["similarity"], 9)) for r in frame.collect())
+    assert pairs(blocks.block_count_join(sets, t, measure)) == pairs(exact.brute_force_join(sets, t, measure)) != []
+    assert "Join" not in plan(QUERIES["b07_brute_force_jaccard"](spark, D))
