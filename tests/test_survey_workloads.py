@@ -61,3 +61,18 @@ def test_timed_runs_are_cancelled(spark):
     assert W.timed(spark, lambda seed: slow, limit=3.0)[1] and time.perf_counter() - start < 50
     with pytest.raises(ValueError):
         W.timed(spark, lambda seed: W.run_method(spark.range(1), "sp_exact", "cosine", 0.5), limit=5.0)
+
+
+def test_runs_delete_what_they_staged(spark):
+    """After a run of a method, and after each row of a table of measures, only its own rows and what all runs share are left."""
+    from pathlib import Path
+
+    from simweave.plans.staging import shared_dir
+
+    objects = stage(W.collection(spark, D, "page_links"), "objects")
+    before = {p.name for p in Path(shared_dir(spark)).iterdir()}
+    W.timed(spark, lambda seed: W.run_method(objects, "bs_pe", "jaccard", 0.5, seed=seed), limit=300.0, seeds=(1,))
+    assert {p.name for p in Path(shared_dir(spark)).iterdir()} == before
+    W.quality_table(spark, D, "page_links", "jaccard", (0.5, 0.7), ("bs_pe", "bs_exact"))
+    left = [p.name.rpartition("-")[0] for p in Path(shared_dir(spark)).iterdir() if p.name not in before]
+    assert left.count("row") == 4 and not {"found", "known", "signatures", "candidates"} & set(left)
