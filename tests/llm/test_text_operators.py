@@ -14,6 +14,7 @@ from simweave.llm import mixing as M
 from simweave.llm import quality as Q
 from simweave.llm import suffix_dedup as S
 from simweave.llm import surrogates as P
+from simweave.llm.queries import QUERIES
 
 SCHEMA = "doc_id long, text string, source string, lang string, n_chars long, size long, row long, shard int"
 
@@ -388,3 +389,19 @@ def test_scan_in_parts_gives_the_same(spark, monkeypatch):
     monkeypatch.setattr(S, "PART", 700)
     got = {x["doc_id"]: (x["n_bytes"], x["n_removed"], x["n_spans"], x["kept_sha256"]) for x in S.remove_repeats(docs).collect()}
     assert [got[k] for k in range(4)] == brute_removed(texts, 400)
+
+
+def test_repeats_query_columns(spark):
+    """The contract's columns in its order, further ones behind them."""
+    got = QUERIES["op6_suffix_dedup"](spark, "/root/testdata/sf0.001")
+    assert got.dtypes[:5] == [("doc_id", "bigint"), ("n_bytes", "bigint"), ("n_removed", "bigint"), ("n_spans", "bigint"), ("kept_sha256", "string")]
+    assert got.columns[5:] == ["text"]
+
+
+def test_repeats_go_from_400_bytes_on_whatever_their_words(spark):
+    """A passage of over 50 words that repeats goes if it has 400 bytes, and stays with 399."""
+    passages = [words(90, 4)[:399], words(90, 5)[:400]]
+    texts = [f"{'<>'[k]}{p}{'[]'[k]}" for p in passages for k in range(2)]
+    assert all(len(p.split()) > 50 for p in passages)
+    got = {x["doc_id"]: (x["n_removed"], x["text"]) for x in S.remove_repeats(table(spark, [(k, t, "s") for k, t in enumerate(texts)])).collect()}
+    assert got == {0: (0, texts[0]), 1: (0, texts[1]), 2: (400, "<["), 3: (400, ">]")}
