@@ -1,14 +1,17 @@
 """What only shows on larger tables: ties, orders that a shuffle loses, rows and disk of joins."""
 
 import duckdb
+import numpy as np
 import pytest
 from oracle import same
 from pyspark.sql import functions as F
 
-from simweave.operators import blocks, copies, exact
+from simweave.operators import blocks, copies, exact, tiles
 from simweave.plans import planner
+from simweave.plans.decision import JoinParams, decision_table
+from simweave.plans.planner import default_posterior
 from simweave.plans.staging import stage
-from simweave.queries import hashes, joins, load
+from simweave.queries import hashes, joins, load, studies
 from simweave.workloads import collection
 
 D = "/root/testdata/sf0.001"
@@ -119,3 +122,69 @@ def test_counts_in_blocks_shuffle_no_pair(spark, measure, t, monkeypatch):
     pairs = lambda frame: sorted((r["id_a"], r["id_b"], round(r["similarity"], 9)) for r in frame.collect())
     assert pairs(blocks.block_count_join(sets, t, measure)) == pairs(exact.brute_force_join(sets, t, measure)) != []
     assert "Join" not in plan(QUERIES["b07_brute_force_jaccard"](spark, D))
+
+
+@pytest.fixture(scope="module")
+def crowd(spark, tmp_path_factory):
+    """Events of 120 users, no two alike, with a few exact copies: most pairs of them are candidates."""
+    d = tmp_path_factory.mktemp("crowd")
+    rows = spark.read.parquet(f"{D}/events.parquet").withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(8))))
+    # the last copy is moved as the one before it
+    hours = F.pmod(F.xxhash64("event_id", F.least(F.col("copy"), F.lit(7))), F.lit(24))
+    rows = rows.withColumn("ts", F.col("ts") + F.make_dt_interval(hours=hours.cast("int"))).withColumn("user_id", F.col("user_id") + F.col("copy") * 100_000)
+    rows.drop("copy").write.parquet(f"{d}/events.parquet")
+    return str(d)
+
+
+def crowd_oracle(d, name):
+    duck = duckdb.connect()
+    duck.execute(f"create view events as select * from '{d}/events.parquet/*.parquet'")
+    return duck.execute(ORACLES[name])
+
+
+@pytest.mark.parametrize("name", ["a10_hash_work"])
+def test_walks_of_a_crowd_are_numbers(spark, crowd, name, monkeypatch):
+    """The oracle's rows where most pairs are candidates, from a table without a row a candidate."""
+    monkeypatch.setattr(tiles, "SLICE", 48)
+    trails = []
+    of = studies._weighed_trail
+    monkeypatch.setattr(studies, "_weighed_trail", lambda *a: trails.append(of(*a)) or trails[-1])
+    assert same(QUERIES[name](spark, crowd), crowd_oracle(crowd, name))
+    candidates = trails[0].agg(F.sum("pairs")).first()[0]
+    assert trails[0].where("pairs > 0").groupBy("n_used", "status").count().count() * 20 < candidates and "id_b" not in trails[0].columns
+
+
+def test_walk_of_a_tile_against_single_pairs(monkeypatch):
+    """Ends, longest walks and survivors, with classes of several members and without, whatever the strips and lists."""
+    draw = np.random.default_rng(5)
+    table = decision_table(default_posterior("cosine"), JoinParams(0.7, cap=512))
+    near = draw.integers(0, 2**32, (16, 1), dtype=np.uint32) ^ (draw.integers(0, 2**32, (16, 60), dtype=np.uint32) & draw.integers(0, 2**32, (16, 60), dtype=np.uint32) & draw.integers(0, 2**32, (16, 60), dtype=np.uint32))
+    far = draw.integers(0, 2**32, (16, 60), dtype=np.uint32)
+    words = np.where(np.arange(60) % 3, near, far)
+    monkeypatch.setattr(tiles, "STRIP", 7)
+    monkeypatch.setattr(tiles, "PART", 50)
+    for members in (np.ones(60, np.int64), 1 + np.arange(60) % 3):
+        ends = np.concatenate([[0], np.cumsum(members)])
+        side = tiles.Side(np.arange(60), tiles.Lists(np.arange(ends[-1]), ends), words)
+        plan = tiles.Plan(8, 2, table, table.cap, counted=True)
+        own, block, tally = side.part(20, 60), tiles.Slice(side.part(0, 50), plan), tiles.Tally(plan)
+        met = draw.random((40, 50)) < 0.6
+        met[3] = False
+        ended, most, left = {}, {}, np.zeros_like(met)
+        for i, j in np.argwhere(met):
+            x, y, weight = 20 + i, j, int(members[20 + i] * members[j])
+            n = m = 0
+            for k in range(table.cap // 32):
+                n, m = n + 32, m + 32 - int(words[k, x] ^ words[k, y]).bit_count()
+                if table.verdict(n, m) != "continue":
+                    break
+            status = {"prune": "pruned", "accept": "accepted"}.get(table.verdict(n, m), table.verdict(n, m))
+            status = "capped" if status == "continue" else status
+            ended[n, status] = ended.get((n, status), 0) + weight
+            left[i, j] = status != "pruned"
+            for o in (x, y):
+                most[o] = max(most.get(o, 0), n)
+        tiles._walk(own, block, met, plan, tally)
+        assert tally.ends == ended and len({s for _, s in ended}) > 1
+        assert {i: n for i, (_, n) in tally.most.items()} == most and len(set(most.values())) > 3
+        assert (met == left).all()
