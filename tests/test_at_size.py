@@ -154,6 +154,41 @@ def test_walks_of_a_crowd_are_numbers(spark, crowd, name, monkeypatch):
     assert trails[0].where("pairs > 0").groupBy("n_used", "status").count().count() * 20 < candidates and "id_b" not in trails[0].columns
 
 
+@pytest.mark.parametrize("name", ["b01_weighted_join_l2"])
+def test_joins_of_a_crowd_shuffle_no_candidate(spark, crowd, name, monkeypatch):
+    """The oracle's rows from several blocks and slices; candidates are never rows of a join."""
+    monkeypatch.setattr(tiles, "SLICE", 24)
+    monkeypatch.setattr(tiles, "BLOCK_BYTES", 60_000)
+    frame = QUERIES[name](spark, crowd)
+    assert same(frame, crowd_oracle(crowd, name))
+    assert "Join" not in plan(frame)
+
+
+def test_tiles_with_rare_keys_and_features(spark, monkeypatch):
+    """Lists beside bits and columns, all pairs that share a prefix feature, and sums of sign bits by both ways."""
+    from simweave.operators import hashing
+
+    vectors = stage(collection(spark, D, "docs_tfidf"), "vectors")
+    pairs = lambda frame: {(r["id_a"], r["id_b"], round(r["similarity"], 8)) for r in frame.collect()}
+    truth = pairs(exact.brute_force_join(vectors, 0.3, "cosine"))
+    monkeypatch.setattr(exact, "crowded", lambda *_: True)
+    monkeypatch.setattr(tiles, "AT_ONCE", 500)
+    assert pairs(exact.exact_weighted_join(vectors, 0.3)) == truth != set()
+    some = vectors.where("id % 7 = 0")
+    bits = {}
+    for filled in (0, 1 << 40):
+        monkeypatch.setattr(hashing, "FILLED", filled)
+        x = some.select("id", "feature", "weight").groupBy("id").agg(F.array_sort(F.collect_list(F.struct("feature", "weight"))).alias("v")).orderBy("id").collect()
+        names = {f: k + 1 for k, f in enumerate(sorted({e["feature"] for r in x for e in r["v"]}))}
+        own = [[(names[e["feature"]], int(e["weight"] * hashing.WEIGHT_SCALE + 0.5)) for e in r["v"]] for r in x]
+        ends = np.cumsum([0, *map(len, own)])
+        f, w = (np.array([e[k] for v in own for e in v], np.int64) for k in (0, 1))
+        bits[filled] = hashing._signs(f, w, ends, 96, 1, "table", 0)
+    assert (bits[0] == bits[1 << 40]).all()
+    lone = [sum(int(2 * hashing.gaussian_codes(np.array([a]), 0, 1, 1, "table")[0, 0] + 1 - 2 * hashing.LIMIT * hashing.CODES_PER_UNIT) * b for a, b in v) >= 0 for v in own]
+    assert [bool(b & 1) for b in bits[0][:, 0]] == lone
+
+
 def test_walk_of_a_tile_against_single_pairs(monkeypatch):
     """Ends, longest walks and survivors, with classes of several members and without, whatever the strips and lists."""
     draw = np.random.default_rng(5)
