@@ -142,7 +142,7 @@ def crowd_oracle(d, name):
     return duck.execute(ORACLES[name])
 
 
-@pytest.mark.parametrize("name", ["a07_pruning_curve", "a08_bytes_examined", "a10_hash_work"])
+@pytest.mark.parametrize("name", ["a07_pruning_curve", "a08_bytes_examined", "a09_set_sizes", "a10_hash_work"])
 def test_walks_of_a_crowd_are_numbers(spark, crowd, name, monkeypatch):
     """The oracle's rows where most pairs are candidates, from a table without a row a candidate."""
     monkeypatch.setattr(tiles, "SLICE", 48)
