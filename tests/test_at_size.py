@@ -154,7 +154,7 @@ def test_walks_of_a_crowd_are_numbers(spark, crowd, name, monkeypatch):
     assert trails[0].where("pairs > 0").groupBy("n_used", "status").count().count() * 20 < candidates and "id_b" not in trails[0].columns
 
 
-@pytest.mark.parametrize("name", ["b01_weighted_join_l2", "b01_weighted_join_maxweight", "bs_exact_cosine", "v02_prune_exact_cosine", "v03_classical_cosine"])
+@pytest.mark.parametrize("name", ["b01_weighted_join_l2", "b01_weighted_join_maxweight", "bs_exact_cosine", "bs_ml_cosine", "v02_prune_exact_cosine", "v03_classical_cosine"])
 def test_joins_of_a_crowd_shuffle_no_candidate(spark, crowd, name, monkeypatch):
     """The oracle's rows from several blocks and slices; candidates are never rows of a join."""
     monkeypatch.setattr(tiles, "SLICE", 24)
